@@ -1,6 +1,508 @@
-"""Registered queries and their SQL twins."""
+"""Registered queries and their SQL twins.
+
+Every query takes (spark, sf_dir). Exact results have a twin in :data:`ORACLE_SQL`; ordered traces and what is drawn from them
+depend on the order of search and have none: tests hold them against a simulator.
+"""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
+import uuid
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from ..functions.tables import shared_dir
+from ..operators import algebra, bgp, measures, paths, product
+from ..operators.deref import Combined, Endpoint, PartialDocs, PatternPages
+from ..operators.search import Limits, Spec, run, run_many
+from ..sources.graph import TripleGraph, construct, from_testdata
+from . import pathsql
+from .automaton import compile_path, pathmax_distance, state_distance
+from .grid import combined, dominance_of, grid_run, named
+from .twins import delta_sql, pairs_sql, reach_sql, triples_sql, walk_ctes
+from .workloads import WORKLOADS
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def add(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return add
+
+
+for _w in WORKLOADS.values():
+    query(_w.key, _w.sql())(_w.exact)
+
+# --- expressions as relations -------------------------------------------------------------------------------------------
+
+_GEO = ("geo",)
+
+
+def _algebra(name: str, expr: str, sql: str, sources: tuple[str, ...] = _GEO):
+    query(f"algebra_{name}", sql)(lambda spark, sf_dir: algebra.eval_pairs(from_testdata(spark, sf_dir, sources), expr))
+
+
+def _t(*labels: str, sources: tuple[str, ...] = _GEO) -> str:
+    return f"WITH t AS ({triples_sql(sources, labels)})"
+
+
+_algebra("label", "in_nation", f"{_t('in_nation')} SELECT s, o FROM t")
+_algebra("inverse", "^in_nation", f"{_t('in_nation')} SELECT o AS s, s AS o FROM t")
+_algebra("concat", "in_nation/in_region", f"{_t('in_nation', 'in_region')} SELECT DISTINCT a.s, b.o FROM t a JOIN t b ON a.o = b.s AND a.p = 'in_nation' AND b.p = 'in_region'")
+_algebra("union", "in_region|^in_nation", f"{_t('in_nation', 'in_region')} SELECT DISTINCT CASE p WHEN 'in_region' THEN s ELSE o END AS s, CASE p WHEN 'in_region' THEN o ELSE s END AS o FROM t")
+_algebra("optional_small", "in_region?", f"{_t('in_nation', 'in_region', 'name')} SELECT s, o FROM t WHERE p = 'in_region' UNION SELECT s, s FROM t UNION SELECT o, o FROM t")
+_algebra(
+    "star_small",
+    "next*",
+    f"WITH RECURSIVE t AS ({triples_sql(('dialog',), ('next',))}), r(s, o) AS (SELECT s, s FROM t UNION SELECT o, o FROM t UNION SELECT r.s, t.o FROM r JOIN t ON r.o = t.s) SELECT s, o FROM r",
+    ("dialog",),
+)
+_algebra("plus_small", "next+", f"WITH RECURSIVE t AS ({triples_sql(('dialog',), ('next',))}), r(s, o) AS (SELECT s, o FROM t UNION SELECT r.s, t.o FROM r JOIN t ON r.o = t.s) SELECT s, o FROM r", ("dialog",))
+_algebra("negated_small", "!(name|^in_nation)", f"{_t('in_nation', 'in_region', 'name')} SELECT DISTINCT s, o FROM t WHERE p <> 'name' UNION SELECT o, s FROM t WHERE p <> 'in_nation'")
+
+
+@query("closure_squaring", f"WITH RECURSIVE t AS ({triples_sql(('dialog',), ('next',))}), r(s, o, length) AS (SELECT s, o, 1 FROM t UNION SELECT r.s, t.o, length + 1 FROM r JOIN t ON r.o = t.s WHERE length < 50) SELECT s, o, min(length)::INTEGER AS length FROM r GROUP BY s, o")
+def closure_squaring(spark, sf_dir):
+    return product.closure(from_testdata(spark, sf_dir, ["dialog"]).match(p="next").select("s", "o"))
+
+
+# --- the product graph --------------------------------------------------------------------------------------------------
+
+_W2 = WORKLOADS["reach_orders"]
+
+
+@query("product_edges_count", f"WITH t AS ({triples_sql(_W2.sources, ('contains',))}), adj AS (SELECT s AS node, p, false AS inv, o AS nbr FROM t UNION ALL SELECT o, p, true, s FROM t), delta AS ({delta_sql(compile_path(_W2.expr))}) SELECT q, p AS label, q2, count(*) AS edges FROM adj JOIN delta ON adj.inv = delta.inv AND list_contains(names, p) GROUP BY ALL")
+def product_edges_count(spark, sf_dir):
+    g = _W2.graph(spark, sf_dir)
+    return product.materialize(g, compile_path(_W2.expr)).groupBy("q", "label", "q2").agg(F.count(F.lit(1)).alias("edges"))
+
+
+_PAIRS = [("part:0", "part:7"), ("part:0", "order:1"), ("part:0", "part:0"), ("part:0", "nobody:1")]
+
+
+@query("connected_pair", "SELECT a, b, b IN (SELECT node FROM (" + reach_sql("(^contains/contains)*", ("supply",), "part:0", 8) + ")) AS connected FROM (VALUES " + ", ".join(f"('{a}', '{b}')" for a, b in _PAIRS) + ") AS t(a, b)")
+def connected_pair(spark, sf_dir):
+    g = from_testdata(spark, sf_dir, ["supply"])
+    return spark.createDataFrame([(a, b, product.connected(g, "(^contains/contains)*", a, b)) for a, b in _PAIRS], "a string, b string, connected boolean")
+
+
+_STARTS = "SELECT 'customer:' || c_custkey AS seed FROM customer WHERE c_custkey < 10"
+
+
+@query("reach_from_many", f"SELECT seed AS customer, node, length FROM ({pairs_sql('^placed_by/contains/^supplies/in_nation', ('sales', 'supply', 'geo'), _STARTS, 5)})")
+def reach_from_many(spark, sf_dir):
+    g = from_testdata(spark, sf_dir, ["sales", "supply", "geo"])
+    starts = spark.read.parquet(f"{sf_dir}/customer.parquet").where("c_custkey < 10").select(F.concat(F.lit("customer:"), F.col("c_custkey").cast("string")).alias("customer"))
+    return product.reach_from(g, "^placed_by/contains/^supplies/in_nation", starts, "customer")
+
+
+@query("all_pairs_seeded", f"SELECT seed AS s, node AS o FROM ({pairs_sql('in_region/^in_region', ('geo',), '''SELECT 'nation:' || n_nationkey AS seed FROM nation''', 3)})")
+def all_pairs_seeded(spark, sf_dir):
+    g = from_testdata(spark, sf_dir, ["geo"])
+    seeds = g.match(p="in_region").select(F.col("s").alias("seed")).distinct()
+    return product.all_pairs(g, "in_region/^in_region", seeds)
+
+
+@query("single_source_answers", reach_sql("(^placed_by/placed_by)*/name", ("sales",), "customer:0", 6))
+def single_source_answers(spark, sf_dir):
+    """One centralised endpoint that answers the whole query on its own source."""
+    return product.reach(from_testdata(spark, sf_dir, ["sales", "supply"]).only("sales"), "(^placed_by/placed_by)*/name", "customer:0")
+
+
+def _states_sql(expr: str) -> str:
+    a = compile_path(expr)
+    h, hat = state_distance(a), pathmax_distance(a)
+    null = lambda x: "NULL" if x == float("inf") else str(int(x))
+    rows = ", ".join(f"({q}, {str(q in a.finals).lower()}, {null(h[q])}, {null(hat[q])})" for q in range(a.size))
+    return f"SELECT q::INTEGER AS q, is_final, h::INTEGER AS h, h_hat::INTEGER AS h_hat FROM (VALUES {rows}) AS t(q, is_final, h, h_hat)"
+
+
+@query("state_table", _states_sql(WORKLOADS["collab_multi_source"].expr))
+def state_table(spark, sf_dir):
+    return compile_path(WORKLOADS["collab_multi_source"].expr).states(spark)
+
+
+# --- searches whose answer lengths are fixed by optimality -----------------------------------------------------------------
+
+_W1, _W1L, _W7 = WORKLOADS["reach_coorder"], WORKLOADS["reach_coorder_names"], WORKLOADS["customer_reach"]
+
+
+def _lengths(name: str, spec: Spec, n: int, w=_W1L):
+    sql = f"SELECT row_number() OVER (ORDER BY length, node) AS rank, length FROM ({w.sql()}) ORDER BY rank LIMIT {n}"
+
+    def f(spark, sf_dir):
+        result = run_many(w.graph(spark, sf_dir), w.expr, w.start, [spec], Limits(max_answers=n, max_triples=None))
+        a = result.answers()
+        return a.select(F.col("rank").cast("long").alias("rank"), F.col("length").cast("int").alias("length"))
+
+    query(name, sql)(f)
+
+
+_lengths("astar_lengths_n", Spec("astar", 16), 40)
+_lengths("astar_plain_lengths_n", Spec("astar", 16, heuristic="state"), 40)
+_lengths("uniform_lengths_n", Spec("astar", 16, heuristic="zero"), 40)
+_lengths("bfs_lengths_n", Spec("bfs", 40), 40)
+_lengths("kastar_lengths_n", Spec("astar", 40), 50)
+_lengths("bucket_lengths_n", Spec("astar", None, batch="bucket"), 60)
+_lengths("layered_lengths_n", Spec("bfs", None), 100, WORKLOADS["customer_reach"])
+
+
+@query("bfs_layer_requests", f"WITH RECURSIVE {walk_ctes(_W1.expr, _W1.sources, '''SELECT 'part:0' AS seed''', _W1.cap)}, m AS (SELECT node, q, min(d) AS length FROM walk GROUP BY node, q) SELECT length::INTEGER AS length, count(*) AS expansions FROM m GROUP BY length")
+def bfs_layer_requests(spark, sf_dir):
+    seeds = spark.createDataFrame([("part:0",)], "seed string")
+    return measures.layer_requests(product.explore(_W1.graph(spark, sf_dir), _W1.expr, seeds))
+
+
+@query("length_histogram", f"SELECT length, count(*) AS answers FROM ({_W7.sql()}) GROUP BY length")
+def length_histogram(spark, sf_dir):
+    return _W7.exact(spark, sf_dir).groupBy("length").agg(F.count(F.lit(1)).alias("answers"))
+
+
+@query("nearest_answers", f"SELECT node, length FROM ({_W1L.sql()}) ORDER BY length, node LIMIT 25")
+def nearest_answers(spark, sf_dir):
+    return _W1L.exact(spark, sf_dir).orderBy("length", "node").limit(25)
+
+
+# --- ordered searches -------------------------------------------------------------------------------------------------------
+
+_TRACE = Limits(max_requests=40)
+
+
+def _trace(name: str, spec: Spec):
+    query(name)(lambda spark, sf_dir: run_many(_W1L.graph(spark, sf_dir), _W1L.expr, _W1L.start, [spec], _TRACE).trace().drop("run"))
+
+
+_trace("trace_bfs", Spec("bfs", 8))
+_trace("trace_dfs", Spec("dfs", 8))
+_trace("trace_astar", Spec("astar", 8))
+_trace("trace_astar_plain", Spec("astar", 8, heuristic="state"))
+_trace("trace_astar_fifo_ties", Spec("astar", 8, tie="fifo"))
+_trace("trace_astar_on_extract", Spec("astar", 8, emit_rule="on_extract"))
+
+
+@query("curve_requests")
+def curve_requests(spark, sf_dir):
+    result = grid_run(spark, sf_dir, _W1L, (10,), Limits(max_requests=80))
+    return named(result, measures.curve(result)).select("strategy", "k", "x", "answers")
+
+
+@query("curve_seconds_share")
+def curve_seconds_share(spark, sf_dir):
+    available = _W1L.exact(spark, sf_dir).count()
+    result = grid_run(spark, sf_dir, _W1L, (20,), Limits(max_requests=80))
+    return named(result, measures.curve(result, "seconds", available=available)).select("strategy", "k", "x", "answers")
+
+
+@query("dominance_requests")
+def dominance_requests(spark, sf_dir):
+    result = grid_run(spark, sf_dir, _W1L, (10,), Limits(max_requests=80))
+    return dominance_of(result, "requests")
+
+
+@query("dominance_by_k")
+def dominance_by_k(spark, sf_dir):
+    result = grid_run(spark, sf_dir, _W7, (20, 40), Limits(max_requests=160))
+    return dominance_of(result, "seconds")
+
+
+@query("first_answer_requests")
+def first_answer_requests(spark, sf_dir):
+    result = grid_run(spark, sf_dir, _W1L, (4,), Limits(max_answers=3, max_requests=80))
+    second = result.answers().where("rank = 2").select("run", F.col("req_at_emit").alias("second"))
+    return named(result, measures.first_answer(result).join(second, "run", "left")).select("strategy", "requests", "second")
+
+
+@query("lengths_at_ranks")
+def lengths_at_ranks(spark, sf_dir):
+    result = grid_run(spark, sf_dir, _W1L, (10,), Limits(max_requests=100))
+    return named(result, measures.lengths_at(result, [5, 10, 50, 200])).select("strategy", "rank", "length")
+
+
+@query("speed_up_by_k")
+def speed_up_by_k(spark, sf_dir):
+    g = _W1.graph(spark, sf_dir)
+    result = run_many(g, _W1.expr, _W1.start, [Spec("astar", k) for k in (5, 10, 20, 40)], Limits(max_requests=80), combined(g))
+    return named(result, measures.speed_up(result, 0)).select("k", "answers", "speed_up")
+
+
+@query("run_memory")
+def run_memory(spark, sf_dir):
+    result = grid_run(spark, sf_dir, _W1L, (20,), Limits(max_requests=80))
+    return named(result, measures.memory(result)).drop("run")
+
+
+@query("endpoint_search")
+def endpoint_search(spark, sf_dir):
+    g = _W1L.graph(spark, sf_dir)
+    return run(g, _W1L.expr, _W1L.start, "astar", 20, Limits(max_requests=60), Endpoint(g)).trace().drop("run")
+
+
+@query("paged_search")
+def paged_search(spark, sf_dir):
+    g = _W1L.graph(spark, sf_dir)
+    return run(g, _W1L.expr, _W1L.start, "astar", 20, Limits(max_requests=60), PatternPages(g, 10)).trace().drop("run")
+
+
+@query("witness_walks")
+def witness_walks(spark, sf_dir):
+    result = run(_W1L.graph(spark, sf_dir), _W1L.expr, _W1L.start, "astar", 20, Limits(max_answers=30, max_requests=200))
+    return paths.witness(result).select("rank", "node", paths.render("steps").alias("walk"), paths.hops("steps").alias("length"))
+
+
+_W8 = WORKLOADS["topic_reach"]
+
+
+@query(
+    "shortest_walks",
+    f"""WITH RECURSIVE {walk_ctes(_W8.expr, _W8.sources, "SELECT 'user:8' AS seed", _W8.cap)},
+m AS MATERIALIZED (SELECT node, q, min(d) AS length FROM walk GROUP BY node, q),
+best AS MATERIALIZED (SELECT * FROM (SELECT e.nbr AS n, e.q2 AS q, e.node AS pn, e.q AS pq, e.p, e.inv, row_number() OVER (PARTITION BY e.nbr, e.q2 ORDER BY e.node, e.q, e.p, e.inv) AS r FROM edge e JOIN m a ON a.node = e.node AND a.q = e.q JOIN m b ON b.node = e.nbr AND b.q = e.q2 AND b.length = a.length + 1) WHERE r = 1),
+hits AS (SELECT node, q FROM (SELECT node, q, row_number() OVER (PARTITION BY node ORDER BY length, q) AS r FROM m WHERE q IN ({', '.join(map(str, sorted(compile_path(_W8.expr).finals)))})) WHERE r = 1),
+chain AS (SELECT node AS goal, node AS n, q, '' AS tail, 0 AS back FROM hits UNION ALL SELECT goal, pn, pq, CASE WHEN inv THEN '<-' || p || '- ' ELSE '-' || p || '-> ' END || chain.n || CASE WHEN tail = '' THEN '' ELSE ' ' || tail END, back + 1 FROM chain JOIN best ON best.n = chain.n AND best.q = chain.q)
+SELECT goal AS node, n || CASE WHEN tail = '' THEN '' ELSE ' ' || tail END AS walk, back::INTEGER AS length FROM chain ANTI JOIN best USING (n, q)""",
+)
+def shortest_walks(spark, sf_dir):
+    seeds = spark.createDataFrame([(_W8.start,)], "seed string")
+    g = _W8.graph(spark, sf_dir)
+    walks = paths.shortest_walks(g, _W8.expr, product.explore(g, _W8.expr, seeds))
+    return walks.select("node", paths.render("steps").alias("walk"), paths.hops("steps").alias("length"))
+
+
+# --- lookups -------------------------------------------------------------------------------------------------------------
+
+@query("partial_docs_reach", reach_sql(_W2.expr, _W2.sources, _W2.start, 24, 0.5))
+def partial_docs_reach(spark, sf_dir):
+    """What incomplete documents alone lead to."""
+    partial = PartialDocs(_W2.graph(spark, sf_dir), 0.5)
+    graph = _Seen(partial)
+    return product.reach(graph, _W2.expr, _W2.start)
+
+
+class _Seen(TripleGraph):
+    """A graph whose adjacency is what a lookup shows."""
+
+    def __init__(self, lookup):
+        super().__init__(lookup.graph.parts, lookup.graph.spark)
+        self.lookup = lookup
+
+    def adjacency(self, labels=None):
+        return self.lookup.edges(labels)
+
+
+@query("partial_docs_recall", f"SELECT f.n AS found, e.n AS there, f.n / e.n::DOUBLE AS recall FROM (SELECT count(*) AS n FROM ({reach_sql(_W2.expr, _W2.sources, _W2.start, 24, 0.5)})) f, (SELECT count(*) AS n FROM ({_W2.sql()})) e")
+def partial_docs_recall(spark, sf_dir):
+    return measures.recall(partial_docs_reach(spark, sf_dir), _W2.exact(spark, sf_dir))
+
+
+@query("helped_docs_recall", f"SELECT count(*) AS found, count(*) AS there, 1.0::DOUBLE AS recall FROM ({_W2.sql()})")
+def helped_docs_recall(spark, sf_dir):
+    g = _W2.graph(spark, sf_dir)
+    helped = _Seen(Combined(PartialDocs(g, 0.5), Endpoint(g)))
+    return measures.recall(product.reach(helped, _W2.expr, _W2.start), _W2.exact(spark, sf_dir))
+
+
+_PATTERN = "SELECT 'order:' || l_orderkey AS nbr FROM lineitem WHERE l_partkey = 0 GROUP BY 1"
+
+
+@query("endpoint_pattern", _PATTERN)
+def endpoint_pattern(spark, sf_dir):
+    return Endpoint(from_testdata(spark, sf_dir, ["supply"])).pattern("part:0", "contains", True).select("nbr")
+
+
+@query("pattern_pages", f"SELECT floor((row_number() OVER (ORDER BY nbr) - 1) / 10.0)::INTEGER AS page, nbr FROM ({_PATTERN})")
+def pattern_pages(spark, sf_dir):
+    return PatternPages(from_testdata(spark, sf_dir, ["supply"]), 10).pages("part:0", "contains", True)
+
+
+# --- graphs and what surrounds them -----------------------------------------------------------------------------------------
+
+_ALL = ("supply", "sales", "geo", "catalog", "clicks", "web", "corpus", "dialog", "vectors")
+_MAIN = ("supply", "sales", "geo", "catalog")
+
+
+def _by_source(sources) -> str:
+    from .twins import TRIPLES
+
+    return " UNION ALL ".join(f"SELECT '{src}' AS src, '{p}' AS p, s, o FROM ({sql})" for (src, p), sql in TRIPLES.items() if src in sources)
+
+
+# A label that two sources share never has the same triple in both here, so counts by source are exact.
+@query("triples_by_label", f"SELECT src, p, count(*) AS n FROM (SELECT DISTINCT src, p, s, o FROM ({_by_source(_ALL)}) WHERE s IS NOT NULL AND o IS NOT NULL) GROUP BY src, p")
+def triples_by_label(spark, sf_dir):
+    return from_testdata(spark, sf_dir).by_label()
+
+
+_ADJ = f"WITH t AS ({triples_sql(_MAIN)}), adj AS (SELECT s AS node, p, false AS inv FROM t UNION ALL SELECT o, p, true FROM t)"
+
+
+@query("degree_stats", f"{_ADJ}, d AS (SELECT node, p, inv, count(*) AS degree FROM adj GROUP BY ALL) SELECT p, inv, count(*) AS nodes, max(degree) AS most, avg(degree) AS mean FROM d GROUP BY p, inv")
+def degree_stats(spark, sf_dir):
+    d = from_testdata(spark, sf_dir, _MAIN).degrees()
+    return d.groupBy("p", "inv").agg(F.count(F.lit(1)).alias("nodes"), F.max("degree").alias("most"), F.avg("degree").alias("mean"))
+
+
+@query("hub_nodes", f"{_ADJ} SELECT node, p, inv, count(*) AS degree FROM adj GROUP BY ALL HAVING count(*) >= 500")
+def hub_nodes(spark, sf_dir):
+    return from_testdata(spark, sf_dir, _MAIN).hubs(500)
+
+
+@query("source_overlap", f"WITH n AS (SELECT DISTINCT src, unnest([s, o]) AS node FROM (SELECT DISTINCT src, p, s, o FROM ({_by_source(_MAIN)}))) SELECT a.src AS a, b.src AS b, count(*) AS nodes FROM n a JOIN n b ON a.node = b.node AND a.src < b.src GROUP BY ALL")
+def source_overlap(spark, sf_dir):
+    return from_testdata(spark, sf_dir, _MAIN).source_overlap()
+
+
+@query("pattern_match", "SELECT 'customer:' || c_custkey AS s, 'in_nation' AS p, 'nation:7' AS o FROM customer WHERE c_nationkey = 7 UNION SELECT 'supplier:' || s_suppkey, 'in_nation', 'nation:7' FROM supplier WHERE s_nationkey = 7")
+def pattern_match(spark, sf_dir):
+    return from_testdata(spark, sf_dir, ["geo"]).match(p="in_nation", o="nation:7").select("s", "p", "o")
+
+
+_BGP = "SELECT DISTINCT 'order:' || o_orderkey AS \"order\", 'customer:' || o_custkey AS customer, 'nation:' || c_nationkey AS nation FROM orders JOIN customer ON o_custkey = c_custkey WHERE o_orderstatus = 'F'"
+
+
+def _bound(spark, sf_dir) -> tuple[TripleGraph, DataFrame]:
+    g = from_testdata(spark, sf_dir, ["sales", "geo", "clicks"])
+    return g, bgp.join(g, [("?order", "status", '"F'), ("?order", "placed_by", "?customer"), ("?customer", "in_nation", "?nation")])
+
+
+@query("pattern_join", _BGP)
+def pattern_join(spark, sf_dir):
+    return _bound(spark, sf_dir)[1]
+
+
+@query("pattern_optional", f"SELECT b.*, u.user FROM ({_BGP}) b LEFT JOIN (SELECT DISTINCT 'user:' || user_id AS user, 'customer:' || c_custkey AS customer FROM events JOIN customer ON user_id = c_custkey) u USING (customer)")
+def pattern_optional(spark, sf_dir):
+    g, b = _bound(spark, sf_dir)
+    return bgp.optional(g, b, [("?user", "same_as", "?customer")])
+
+
+@query("pattern_exists", f"SELECT b.* FROM ({_BGP}) b WHERE EXISTS (SELECT 1 FROM events WHERE 'customer:' || user_id = b.customer)")
+def pattern_exists(spark, sf_dir):
+    g, b = _bound(spark, sf_dir)
+    return bgp.exists(g, b, [("?user", "same_as", "?customer")])
+
+
+@query("pattern_not_exists", f"SELECT b.* FROM ({_BGP}) b WHERE NOT EXISTS (SELECT 1 FROM events WHERE 'customer:' || user_id = b.customer)")
+def pattern_not_exists(spark, sf_dir):
+    g, b = _bound(spark, sf_dir)
+    return bgp.exists(g, b, [("?user", "same_as", "?customer")], negated=True)
+
+
+@query("pattern_path", f"SELECT DISTINCT b.customer, b.nation, 'region:' || n_regionkey AS region FROM ({_BGP}) b JOIN nation ON b.nation = 'nation:' || n_nationkey")
+def pattern_path(spark, sf_dir):
+    g, b = _bound(spark, sf_dir)
+    return bgp.path(g, b.select("customer", "nation").distinct(), "customer", "in_nation/in_region", "region")
+
+
+@query("constructed_triples", "SELECT DISTINCT 'nation:' || c_nationkey AS s, p, CASE p WHEN 'trades_by' THEN 'order:' || o_orderkey ELSE 'customer:' || o_custkey END AS o FROM orders JOIN customer ON o_custkey = c_custkey, (VALUES ('trades_by'), ('home_of')) AS t(p) WHERE o_orderstatus = 'F'")
+def constructed_triples(spark, sf_dir):
+    _, b = _bound(spark, sf_dir)
+    return construct(b, [("?nation", "trades_by", "?order"), ("?nation", "home_of", "?customer")]).triples.select("s", "p", "o")
+
+
+@query("text_path_query", f"SELECT node AS x, length FROM ({reach_sql('^in_region/^in_nation', ('geo',), 'region:3', 3)})")
+def text_path_query(spark, sf_dir):
+    return pathsql.path_query(from_testdata(spark, sf_dir, ["geo"]), "region:3 ^in_region/^in_nation ?x")
+
+
+_A, _B = reach_sql("^contains/contains", ("supply",), "part:0", 3), reach_sql("^contains/contains", ("supply",), "part:1", 3)
+
+
+def _sides(spark, sf_dir):
+    g = from_testdata(spark, sf_dir, ["supply"])
+    return [product.reach(g, "^contains/contains", s).select("node") for s in ("part:0", "part:1")]
+
+
+@query("answers_intersect", f"SELECT node FROM ({_A}) INTERSECT SELECT node FROM ({_B})")
+def answers_intersect(spark, sf_dir):
+    a, b = _sides(spark, sf_dir)
+    return a.intersect(b)
+
+
+@query("answers_except", f"SELECT node FROM ({_A}) EXCEPT SELECT node FROM ({_B})")
+def answers_except(spark, sf_dir):
+    a, b = _sides(spark, sf_dir)
+    return a.exceptAll(b)
+
+
+@query("answers_symmetric_difference", f"(SELECT node FROM ({_A}) EXCEPT SELECT node FROM ({_B})) UNION (SELECT node FROM ({_B}) EXCEPT SELECT node FROM ({_A}))")
+def answers_symmetric_difference(spark, sf_dir):
+    a, b = _sides(spark, sf_dir)
+    return a.exceptAll(b).union(b.exceptAll(a))
+
+
+_KINDS = f"SELECT src, p, s, o, split_part(s, ':', 1) AS kind FROM (SELECT DISTINCT src, p, s, o FROM ({_by_source(_MAIN)}))"
+
+
+@query("tally_cube", f"SELECT src, p, kind, count(*) AS n, grouping(src, p, kind)::BIGINT AS level FROM ({_KINDS}) GROUP BY CUBE (src, p, kind)")
+def tally_cube(spark, sf_dir):
+    t = from_testdata(spark, sf_dir, _MAIN).triples.withColumn("kind", F.split_part("s", F.lit(":"), F.lit(1)))
+    return t.cube("src", "p", "kind").agg(F.count(F.lit(1)).alias("n"), F.grouping_id().alias("level"))
+
+
+@query("tally_rollup", f"SELECT src, p, kind, count(*) AS n, grouping(src, p, kind)::BIGINT AS level FROM ({_KINDS}) GROUP BY ROLLUP (src, p, kind)")
+def tally_rollup(spark, sf_dir):
+    t = from_testdata(spark, sf_dir, _MAIN).triples.withColumn("kind", F.split_part("s", F.lit(":"), F.lit(1)))
+    return t.rollup("src", "p", "kind").agg(F.count(F.lit(1)).alias("n"), F.grouping_id().alias("level"))
+
+
+# --- streams -------------------------------------------------------------------------------------------------------------
+
+def _event_folder(spark: SparkSession, sf_dir: str, files: int = 3) -> str:
+    """Events cut into files in order of time, as if they had arrived one file after another."""
+    path = f"{shared_dir(spark)}/events-{uuid.uuid4().hex}"
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    cuts = events.select(F.unix_micros(F.col("ts").cast("timestamp")).alias("t")).agg(F.percentile_approx("t", [i / files for i in range(1, files)], 1000).alias("c")).first()["c"]
+    place = F.lit(0)
+    for c in cuts:
+        place = place + (F.unix_micros(F.col("ts").cast("timestamp")) > c).cast("int")
+    for i in range(files):
+        events.where(place == i).coalesce(1).write.mode("append").parquet(path)
+    return path
+
+
+@query("stream_reach_final", f"SELECT node FROM ({WORKLOADS['topic_reach'].sql()})")
+def stream_reach_final(spark, sf_dir):
+    from ..streaming import live
+
+    path = _event_folder(spark, sf_dir)
+    triples = live.event_triples(live.read_events(spark, path))
+    return live.maintain_reach(triples, _W8.expr, _W8.start, f"{shared_dir(spark)}/reach-{uuid.uuid4().hex}").answers().select("node")
+
+
+@query("answer_rate_windows", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, event_type, count(*) AS n FROM events GROUP BY ALL")
+def answer_rate_windows(spark, sf_dir):
+    from ..streaming import live
+
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    return live.answer_rate(events, width="1 day", by="event_type").select("start", "event_type", "n")
+
+
+@query(
+    "session_windows",
+    "SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 6 HOUR AS \"end\", count(*) AS n FROM (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, g",
+)
+def session_windows(spark, sf_dir):
+    from ..streaming import live
+
+    return live.session_rate(spark.read.parquet(f"{sf_dir}/events.parquet"), "user_id", gap="6 hours")
+
+
+@query("event_lead_chain", "SELECT s, o FROM (SELECT 'event:' || event_id AS s, 'event:' || lead(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS o FROM events) WHERE o IS NOT NULL")
+def event_lead_chain(spark, sf_dir):
+    return from_testdata(spark, sf_dir, ["clicks"]).match(p="followed_by").select("s", "o")
+
+
+def _rank_within(df: DataFrame) -> DataFrame:
+    return df.withColumn("rank", F.row_number().over(Window.partitionBy("s").orderBy("o")).cast("long"))
+
+
+@query("paged_neighbours", f"SELECT s, o, row_number() OVER (PARTITION BY s ORDER BY o) AS rank FROM ({triples_sql(('geo',), ('in_region',))})")
+def paged_neighbours(spark, sf_dir):
+    return _rank_within(from_testdata(spark, sf_dir, ["geo"]).match(p="in_region").select("s", "o"))

@@ -11,7 +11,7 @@ from ..operators.product import succeed
 from ..plans.automaton import compile_path
 from ..plans.expr import PathExpr
 
-EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
+EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
 def read_events(spark: SparkSession, path: str, files_per_batch: int = 1) -> DataFrame:
@@ -26,7 +26,7 @@ def event_triples(events: DataFrame) -> DataFrame:
         F.struct(event.alias("s"), F.lit("actor").alias("p"), named("user", "user_id").alias("o")),
         F.struct(event.alias("s"), F.lit("about").alias("p"), F.concat(F.lit("topic:"), F.get_json_object("props", "$.k")).alias("o")),
     )
-    return events.select("ts", F.inline(rows)).where("o is not null")
+    return events.select(F.col("ts").cast("timestamp").alias("ts"), F.inline(rows)).where("o is not null")
 
 
 def distinct_triples(triples: DataFrame, lateness: str = "1 hour") -> DataFrame:
