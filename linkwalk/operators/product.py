@@ -28,7 +28,24 @@ def succeed(front: DataFrame, delta: DataFrame, adj: DataFrame, small: bool = Fa
     adjacency instead of both being shuffled; the caller vouches for its size."""
     wanted = front.join(F.broadcast(delta), "q")
     read = (F.col("t_inv") == F.col("inv")) & F.when(F.col("negated"), ~F.array_contains("excluded", F.col("p"))).otherwise(F.col("label") == F.col("p"))
-    return (F.broadcast(wanted) if small else wanted).join(adj, "node").where(read)
+    keys = ["node", "salt"] if "salt" in adj.columns else ["node"]
+    return (F.broadcast(wanted) if small else wanted).join(adj, keys).where(read).drop("salt")
+
+
+def salted(adj: DataFrame, hubs: DataFrame, shards: int) -> DataFrame:
+    """Adjacency with a ``salt``: the rows of each node in ``hubs(node)`` are cut into shards, all others have salt 0. ``hubs``
+    is broadcast, so its size is checked: a graph has few nodes of very high degree, and no more than 100,000 are salted."""
+    n = hubs.limit(100_001).count()
+    if n > 100_000:
+        raise ValueError("more than 100,000 hubs: raise the degree from which a node counts as one")
+    marked = adj.join(F.broadcast(hubs.select("node").distinct().withColumn("hub", F.lit(True))), "node", "left")
+    return marked.withColumn("salt", F.when(F.col("hub"), F.pmod(F.xxhash64("p", "nbr"), F.lit(shards))).otherwise(0).cast("int")).drop("hub")
+
+
+def spread_out(front: DataFrame, hubs: DataFrame, shards: int) -> DataFrame:
+    """A frontier that meets :func:`salted` adjacency: rows at hubs are copied to every shard, all others keep to salt 0."""
+    marked = front.join(F.broadcast(hubs.select("node").distinct().withColumn("hub", F.lit(True))), "node", "left")
+    return marked.withColumn("salt", F.explode(F.when(F.col("hub"), F.sequence(F.lit(0), F.lit(shards - 1))).otherwise(F.array(F.lit(0))))).drop("hub")
 
 
 def node_tests(succ: DataFrame, tests: dict[str, DataFrame] | None) -> DataFrame:
@@ -57,14 +74,16 @@ class Reached:
         return hits.groupBy(*keys).agg(F.min("length").alias("length"))
 
 
-def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_length: str = "always", tests: dict[str, DataFrame] | None = None, most_layers: int = 10_000) -> Reached:
+def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_length: str = "always", tests: dict[str, DataFrame] | None = None, most_layers: int = 10_000, hubs: DataFrame | None = None, shards: int = 16) -> Reached:
     """All product nodes reachable from ``seeds(seed)``. ``zero_length="graph_terms"`` leaves out seeds that no triple of the
-    graph mentions; otherwise a seed answers a nullable expression even where it does not exist."""
+    graph mentions; otherwise a seed answers a nullable expression even where it does not exist. ``hubs(node)`` names nodes of
+    very high degree, whose edges are cut into ``shards`` so that no task gets all of them."""
     spark = seeds.sparkSession
     a = compile_path(expr)
     delta = a.delta(spark)
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr").repartition(n, "node").persist(StorageLevel.MEMORY_AND_DISK)
+    adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr")
+    adj = (adj.repartition(n, "node") if hubs is None else salted(adj, hubs, shards).repartition(n, "node", "salt")).persist(StorageLevel.MEMORY_AND_DISK)
     first = seeds.where("seed is not null").select(F.col("seed").cast("string").alias("seed")).distinct()
     if zero_length == "graph_terms":
         first = first.join(graph.adjacency().select(F.col("node").alias("seed")).distinct(), "seed", "left_semi")
@@ -75,7 +94,8 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
         step, steps = layer, []
         for k in range(1, stride + 1):
             small = size <= NARROW and k == 1
-            succ = node_tests(succeed(step.select("seed", "node", "q"), delta, adj, small), tests)
+            front = step.select("seed", "node", "q")
+            succ = node_tests(succeed(front if hubs is None else spread_out(front, hubs, shards), delta, adj, small), tests)
             step = succ.select("seed", F.col("nbr").alias("node"), F.col("q2").alias("q")).distinct().withColumn("length", F.lit(depth + k))
             steps.append(step)
         every = steps[0]

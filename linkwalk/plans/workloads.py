@@ -41,7 +41,7 @@ WORKLOADS: dict[str, Workload] = {
         Workload("W1L", "reach_coorder_names", "(^contains/contains)*/label", "part:0", ("supply", "catalog"), 9, True),
         Workload("W2", "reach_orders", "(^contains/contains)*/^contains", "part:0", ("supply",), 9, True),
         Workload("W2D", "reach_order_dates", "(^contains/contains)*/^contains/dated", "part:0", ("supply", "sales"), 10),
-        Workload("W3", "region_trade", "^in_region/^in_nation/(^placed_by|^filled_by)", "region:3", ("geo", "sales", "supply"), 6, True),
+        Workload("W3", "region_trade", "^in_region/^in_nation/(^placed_by|^filled_by)", "region:3", ("geo", "sales", "supply"), 6),
         Workload("W3S", "region_trade_star", "^in_region/^in_nation/(^placed_by|^filled_by)/(contains/^contains)*", "region:3", ("geo", "sales", "supply"), 8, True),
         Workload("W4", "collab_multi_source", _COLLAB, "user:8", ("sales", "supply", "clicks"), 14, True),
         Workload("W5", "coorder_fixed", "^contains/contains", "part:0", ("supply",), 3, True),

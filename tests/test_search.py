@@ -84,6 +84,17 @@ def test_semantics(spark):
     assert reached.answers().count() == 1
 
 
+def test_salted_hubs_change_nothing(spark):
+    star = [("hub", "a", f"x{i}") for i in range(200)] + [("x5", "b", "end")]
+    g = graph(spark, star)
+    hubs = g.hubs(100)
+    assert [r["node"] for r in hubs.collect()] == ["hub"]
+    adj = product.salted(g.adjacency(), hubs, 8)
+    assert adj.where("node = 'hub'").select("salt").distinct().count() == 8 and adj.where("node <> 'hub' and salt <> 0").count() == 0
+    plain = {tuple(r) for r in product.reach(g, "a/b?", "hub").collect()}
+    assert {tuple(r) for r in product.reach(g, "a/b?", "hub", hubs=hubs, shards=8).collect()} == plain and len(plain) == 201
+
+
 def random_graph(r):
     nodes = [f"n{i}" for i in range(r.randint(4, 14))]
     return [(r.choice(nodes), r.choice("abc"), r.choice(nodes)) for _ in range(r.randint(4, 30))]
