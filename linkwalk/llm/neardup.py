@@ -5,8 +5,10 @@
 2. Members of a band bucket are first tried against the bucket's least representative (a star, linear in the bucket).
    Survivors of the Bayesian test are verified on full shingle sets, and verified links give components.
 3. Buckets that still hold several components are dealt out in bounded cells, in which only pairs of different components
-   are compared, the most frequent component never with itself; survivors are verified as before. So a bucket of many
-   copies costs a star, no pair between different components is skipped, and no cell outgrows a task.
+   are compared, the most frequent component never with itself. Cells of small buckets compare signatures, and survivors
+   are verified as before. Cells of buckets above ``HOT`` members hold full shingle sets, count intersections by blocks of a
+   product of incidence matrices, and send only a spanning forest of their links, so that a large group of copies never
+   turns into a list of pairs. No pair between different components is skipped, and no cell outgrows a task.
 
 The Bayesian test follows sequential pruning under a uniform prior: after each batch of ``BATCH`` hash agreements, a pair
 is dropped once the posterior chance that its similarity reaches the threshold falls below ``miss``.
@@ -29,7 +31,8 @@ from .words import LOWER, Hasher, chunks, find_words, mix, texts
 
 BANDS, ROWS, BATCH = 25, 5, 25
 HASHES = BANDS * ROWS
-CELL = 512
+#: Members above which a bucket is hot, and shingles that one side of a cell of a hot bucket holds.
+HOT, ROOM = 64, 150_000
 
 
 @cache
@@ -141,10 +144,8 @@ def prune(pairs: DataFrame, reps: DataFrame, threshold: float, miss: float) -> D
     return pairs.join(of("a"), "a").join(of("b"), "b").select("a", "b", "sig_a", "sig_b").mapInArrow(run, "a long, b long")
 
 
-def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, text_col: str, width: int, percent: int) -> DataFrame:
-    """Pairs ``(a, b)`` of representatives whose full shingle sets reach the similarity; sets are made anew, only for the
-    representatives that occur in ``pairs``."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("rid")).distinct().join(reps.select("rid", "uid"), "rid")
+def _sets(wanted: DataFrame, docs: DataFrame, text_col: str, width: int) -> DataFrame:
+    """``(rid, own)``: full shingle sets of the representatives ``wanted(rid, uid)``, made anew from their texts."""
     schema = pa.schema([("rid", pa.int64()), ("own", pa.binary())])
 
     def sets(batches):
@@ -152,7 +153,13 @@ def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, text_col: str, wi
             own = [x[3].tobytes() for x in shingle_sets(batch.column(1), width)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(own, pa.binary())], schema=schema)
 
-    made = docs.select("uid", F.col(text_col).alias("text")).join(wanted, "uid").select("rid", "text").mapInArrow(sets, "rid long, own binary")
+    return docs.select("uid", F.col(text_col).alias("text")).join(wanted, "uid").select("rid", "text").mapInArrow(sets, "rid long, own binary")
+
+
+def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, text_col: str, width: int, percent: int) -> DataFrame:
+    """Pairs ``(a, b)`` of representatives whose full shingle sets reach the similarity; sets are made only for the
+    representatives that occur in ``pairs``."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("rid")).distinct().join(reps.select("rid", "uid"), "rid")
 
     def run(batches):
         for batch in batches:
@@ -165,7 +172,7 @@ def verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, text_col: str, wi
                         keep.append(i)
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(keep, pa.int64())), batch.column(1).take(pa.array(keep, pa.int64()))], names=["a", "b"])
 
-    sets_table = cut(made)
+    sets_table = cut(_sets(wanted, docs, text_col, width))
     of = lambda x: sets_table.select(F.col("rid").alias(x), F.col("own").alias(f"own_{x}"))
     links = cut(pairs.join(of("a"), "a").join(of("b"), "b").select("a", "b", "own_a", "own_b").mapInArrow(run, "a long, b long"))
     discard(sets_table)
@@ -177,17 +184,105 @@ def _stars(buckets: DataFrame) -> DataFrame:
     return buckets.join(heads, "band").where("rid <> a").select("a", F.col("rid").alias("b")).distinct()
 
 
-def _cells(buckets: DataFrame, reps: DataFrame, labels: DataFrame, threshold: float, miss: float) -> DataFrame:
-    """Pairs of different components that share a bucket and survive pruning; every bucket is cut into bounded cells."""
-    needed = needed_matches(threshold, miss)
-    named = buckets.join(labels, buckets["rid"] == labels["node"], "left").select("band", "rid", F.coalesce("component", "rid").alias("comp"))
-    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n"))
-    open_ = sizes.groupBy("band").agg(F.sum("n").alias("n"), F.max(F.struct("n", "comp")).alias("most"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
-    open_ = open_.select("band", F.col("most.comp").alias("main"), F.ceil(F.col("n") / CELL).cast("int").alias("k"), F.ceil((F.col("n") - F.col("most.n")) / CELL).cast("int").alias("k2"))
-    rows = named.join(open_, "band").withColumn("other", F.col("comp") != F.col("main"))
+def _open_buckets(buckets: DataFrame, labels: DataFrame) -> DataFrame:
+    """``(band, rid, comp, main, n, k, k2)``: members of the buckets that hold several components; ``main`` is the most
+    frequent one, ``k`` and ``k2`` the numbers of cells that all members and the others need to stay within ``ROOM``."""
+    named = buckets.join(labels, buckets["rid"] == labels["node"], "left").select("band", "rid", "size", F.coalesce("component", "rid").alias("comp"))
+    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("size"))
+    open_ = sizes.groupBy("band").agg(F.sum("n").alias("n"), F.sum("size").alias("size"), F.max(F.struct("n", "comp", "size")).alias("most"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
+    cells = lambda c: F.when(F.col("n") > HOT, F.ceil(c / ROOM)).otherwise(1).cast("int")
+    open_ = open_.select("band", "n", F.col("most.comp").alias("main"), cells(F.col("size")).alias("k"), cells(F.col("size") - F.col("most.size")).alias("k2"))
+    return named.drop("size").join(open_, "band")
+
+
+def _dealt(members: DataFrame) -> DataFrame:
+    """Members dealt to cells: every member that is not of the main component meets every member in exactly one cell."""
+    rows = members.withColumn("other", F.col("comp") != F.col("main"))
     right = rows.select("band", F.explode(F.sequence(F.lit(0), F.col("k2") - 1)).alias("i"), F.pmod(F.xxhash64("rid"), "k").cast("int").alias("j"), "rid", "comp", "other", F.lit(False).alias("left"))
     left = rows.where("other").select("band", F.pmod(F.xxhash64("rid", F.lit(1)), "k2").cast("int").alias("i"), F.explode(F.sequence(F.lit(0), F.col("k") - 1)).alias("j"), "rid", "comp", "other", F.lit(True).alias("left"))
-    cells = left.unionByName(right).join(reps.select("rid", "sig"), "rid").select(F.xxhash64("band", "i", "j").alias("cell"), "band", "rid", "comp", "other", "left", "sig")
+    return left.unionByName(right).withColumn("cell", F.xxhash64("band", "i", "j"))
+
+
+def _runs(compare):
+    """Reads batches sorted by (cell, band) and calls ``compare`` on each cell as a table."""
+
+    def run(batches):
+        held = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            ids, bands = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+            edges = [0, *(np.flatnonzero((ids[1:] != ids[:-1]) | (bands[1:] != bands[:-1])) + 1).tolist(), len(ids)]
+            for lo, hi in zip(edges, edges[1:], strict=False):
+                part = batch.slice(lo, hi - lo)
+                if held and (held[0].column(0)[0], held[0].column(1)[0]) != (part.column(0)[0], part.column(1)[0]):
+                    yield from compare(pa.Table.from_batches(held))
+                    held = []
+                held.append(part)
+        if held:
+            yield from compare(pa.Table.from_batches(held))
+
+    return run
+
+
+def common_counts(left: list[np.ndarray], right: list[np.ndarray], block: int = 2048) -> np.ndarray:
+    """Intersection sizes of all pairs of two lists of sets, from incidence matrices over the elements that both lists hold."""
+    a, b = np.concatenate(left), np.concatenate(right)
+    shared = np.intersect1d(a, b)
+    out = np.zeros((len(left), len(right)), np.float32)
+    rows = [np.repeat(np.arange(len(x)), [len(v) for v in x]) for x in (left, right)]
+    places = [np.searchsorted(shared, v) for v in (a, b)]
+    hits = [(p < len(shared)) & (shared[np.minimum(p, len(shared) - 1)] == v) if len(shared) else np.zeros(len(v), bool) for p, v in zip(places, (a, b), strict=True)]
+    for lo in range(0, len(shared), block):
+        parts = []
+        for side, p, hit, row in ((left, places[0], hits[0], rows[0]), (right, places[1], hits[1], rows[1])):
+            use = hit & (p >= lo) & (p < lo + block)
+            m = np.zeros((len(side), block), np.float32)
+            m[row[use], p[use] - lo] = 1
+            parts.append(m)
+        out += parts[0] @ parts[1].T
+    return out
+
+
+def _hot_links(members: DataFrame, reps: DataFrame, docs: DataFrame, text_col: str, width: int, percent: int) -> DataFrame:
+    """Links ``(a, b)`` between different components in large buckets: a spanning forest of those in each cell."""
+    wanted = members.select("rid").distinct().join(reps.select("rid", "uid"), "rid")
+    cells = _dealt(members).join(_sets(wanted, docs, text_col, width), "rid").select("cell", "band", "rid", "comp", "left", "own")
+    cells = cells.repartition("cell").sortWithinPartitions("cell", "band")
+
+    def compare(cell: pa.Table):
+        rid, comp, left = (cell.column(c).to_numpy() for c in ("rid", "comp", "left"))
+        x, y = np.flatnonzero(left), np.flatnonzero(~left)
+        if not len(x) or not len(y):
+            return
+        own = [np.frombuffer(v, np.uint64) for v in cell.column("own").to_pylist()]
+        size = np.array([len(v) for v in own])
+        common = common_counts([own[i] for i in x], [own[i] for i in y]).astype(np.int64)
+        linked = (100 * common >= percent * (size[x][:, None] + size[y][None, :] - common)) & (comp[x][:, None] != comp[y][None, :])
+        parent: dict[int, int] = {}
+
+        def find(v: int) -> int:
+            while parent.setdefault(v, v) != v:
+                parent[v] = parent[parent[v]]
+                v = parent[v]
+            return v
+
+        out = []
+        for i, j in zip(*np.nonzero(linked), strict=True):
+            p, q = find(int(comp[x[i]])), find(int(comp[y[j]]))
+            if p != q:
+                parent[p] = q
+                out.append((int(rid[x[i]]), int(rid[y[j]])))
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array([min(e) for e in out]), pa.array([max(e) for e in out])], names=["a", "b"])
+
+    return cells.mapInArrow(_runs(compare), "a long, b long")
+
+
+def _cells(members: DataFrame, reps: DataFrame, threshold: float, miss: float) -> DataFrame:
+    """Pairs of different components that share a small bucket and survive pruning."""
+    needed = needed_matches(threshold, miss)
+    cells = _dealt(members).join(reps.select("rid", "sig"), "rid").select("cell", "band", "rid", "comp", "other", "left", "sig")
     cells = cells.repartition("cell").sortWithinPartitions("cell", "band")
     names = ["a", "b"]
 
@@ -212,23 +307,7 @@ def _cells(buckets: DataFrame, reps: DataFrame, labels: DataFrame, threshold: fl
             p, q = rid[p[alive]], rid[q[alive]]
             yield pa.RecordBatch.from_arrays([pa.array(np.minimum(p, q)), pa.array(np.maximum(p, q))], names=names)
 
-    def run(batches):
-        held = []
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            ids, bands = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            edges = [0, *(np.flatnonzero((ids[1:] != ids[:-1]) | (bands[1:] != bands[:-1])) + 1).tolist(), len(ids)]
-            for lo, hi in zip(edges, edges[1:], strict=False):
-                part = batch.slice(lo, hi - lo)
-                if held and (held[0].column(0)[0], held[0].column(1)[0]) != (part.column(0)[0], part.column(1)[0]):
-                    yield from compare(pa.Table.from_batches(held))
-                    held = []
-                held.append(part)
-        if held:
-            yield from compare(pa.Table.from_batches(held))
-
-    return cells.mapInArrow(run, "a long, b long")
+    return cells.mapInArrow(_runs(compare), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, miss: float = 1e-5) -> DataFrame:
@@ -247,19 +326,22 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     id_at, text_at = f"in_{given.index(id_col)}", f"in_{given.index(text_col)}"
     source = with_uid(own, id_at, text_at)
     base = cut(sketch(source, "uid", text_at, width))
-    reps = base.where("bands is not null").groupBy("k1", "k2").agg(F.min("uid").alias("uid"), F.first("sig").alias("sig"), F.first("bands").alias("bands"))
+    reps = base.where("bands is not null").groupBy("k1", "k2").agg(F.min("uid").alias("uid"), F.first("sig").alias("sig"), F.first("bands").alias("bands"), F.first("n_shingles").alias("size"))
     reps = cut(reps.withColumn("rid", F.col("uid")))
-    buckets = cut(reps.select("rid", F.explode("bands").alias("band")))
+    buckets = cut(reps.select("rid", "size", F.explode("bands").alias("band")))
     stars = cut(_stars(buckets))
     tried = cut(prune(stars, reps, threshold, miss))
     links = verify(tried, reps, source, text_at, width, percent)
     labels = cut(connected_components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))))
-    more = cut(_cells(buckets, reps, labels, threshold, miss).join(tried, ["a", "b"], "left_anti"))
+    members = cut(_open_buckets(buckets, labels))
     discard(buckets)
     discard(stars)
-    if not more.isEmpty():
-        rest = verify(more, reps, source, text_at, width, percent)
-        labels = cut(connected_components(links.unionByName(rest).select(F.col("a").alias("u"), F.col("b").alias("v"))))
+    hot = cut(_hot_links(members.where(F.col("n") > HOT), reps, source, text_at, width, percent))
+    more = cut(_cells(members.where(F.col("n") <= HOT), reps, threshold, miss).join(tried, ["a", "b"], "left_anti"))
+    rest = verify(more, reps, source, text_at, width, percent)
+    if not (hot.isEmpty() and rest.isEmpty()):
+        every = links.unionByName(rest).unionByName(hot)
+        labels = cut(connected_components(every.select(F.col("a").alias("u"), F.col("b").alias("v"))))
     least = reps.select("k1", "k2", "rid").join(labels, F.col("rid") == F.col("node"), "left").select("k1", "k2", F.coalesce("component", "rid").alias("head"))
     members = base.select("uid", "k1", "k2", "n_shingles").join(least, ["k1", "k2"], "left")
     # uid sorts as the id does, so the component's least uid is the row of its least id.
