@@ -9,6 +9,8 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import sys
+import types
 import unicodedata
 from functools import cache
 
@@ -22,8 +24,20 @@ OTHER, LETTER, NUMBER, SPACE = range(4)
 WHITE = [*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 
 
+def kept_by_worker(key: str, make):
+    """A value that outlives the task: a worker process makes it once and later tasks in it find it again."""
+    held = sys.modules.setdefault("linkwalk_kept", types.ModuleType("linkwalk_kept"))
+    if not hasattr(held, key):
+        setattr(held, key, make())
+    return getattr(held, key)
+
+
 @cache
 def classes() -> np.ndarray:
+    return kept_by_worker("classes", _classes)
+
+
+def _classes() -> np.ndarray:
     out = np.zeros(0x110000, np.uint8)
     kind = {"L": LETTER, "N": NUMBER}
     for at in range(0x110000):
@@ -142,12 +156,21 @@ class Vocabulary:
 
     def rank(self, key: np.ndarray) -> np.ndarray:
         """Rank of each pair ``a << 20 | b``; 2**40 where it does not merge."""
+        shape, key = key.shape, key.ravel()
         slot = self._slot(key)
-        out = np.where(self.keys[slot] == key, self.values[slot], 1 << 40)
-        for k in range(1, self.steps):
-            at = (slot + k) & (len(self.keys) - 1)
-            out = np.where(self.keys[at] == key, self.values[at], out)
-        return out
+        held = self.keys[slot]
+        out = np.where(held == key, self.values[slot], 1 << 40)
+        # Only keys whose slot another key took go on to the next slot.
+        todo = np.flatnonzero((held != key) & (held != -1))
+        for _ in range(1, self.steps):
+            if not len(todo):
+                break
+            slot = (slot + 1) & (len(self.keys) - 1)
+            held = self.keys[slot[todo]]
+            found = held == key[todo]
+            out[todo[found]] = self.values[slot[todo[found]]]
+            todo = todo[~found & (held != -1)]
+        return out.reshape(shape)
 
     def merge(self, pieces: list[bytes]) -> list[list[int]]:
         """Token ids of each piece: in every round each piece merges its leftmost pair of least rank."""
@@ -290,7 +313,7 @@ def encode_documents(docs: DataFrame, vocabulary: str, text_col: str = "text", w
     where = send.columns.index(f"in_{text_at}")
 
     def run(batches):
-        encoder = Encoder(vocabulary)
+        encoder = kept_by_worker(f"encoder:{vocabulary}", lambda: Encoder(vocabulary))
         for batch in batches:
             texts = [t or "" for t in batch.column(where).to_pylist()]
             n, ids, a, b = [], [], [], []
