@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .bpe import kept_by_worker
 from .storage import cut
 
 CAPACITY = 1024
@@ -55,7 +56,7 @@ def pieces(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", te
     schema = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())])
 
     def run(batches):
-        encode = _encoder(ranks, pattern)
+        encode = kept_by_worker(f"packing:{ranks}", lambda: _encoder(ranks, pattern))
         for batch in batches:
             out = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
