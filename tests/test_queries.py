@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from linkwalk.operators import product
-from linkwalk.operators.search import Spec, run_many
+from linkwalk.operators.search import Limits, Spec, run_many
 from linkwalk.plans.automaton import compile_path
 from linkwalk.plans.registry import ORACLE_SQL, QUERIES
 from linkwalk.plans.workloads import GRID, WORKLOADS
@@ -53,7 +53,7 @@ def test_known_counts(spark, sf):
 
 def test_first_answers_favour_guided_search(spark, sf):
     w = WORKLOADS["reach_coorder_names"]
-    result = run_many(w.graph(spark, sf), w.expr, w.start, [Spec("astar"), Spec("bfs", 8)])
+    result = run_many(w.graph(spark, sf), w.expr, w.start, [Spec("astar", 3), Spec("bfs", 8)], Limits(max_requests=45))
     at = {(r["run"], r["rank"]): r["req_at_emit"] for r in result.answers().where("rank = 2").collect()}
     assert at[0, 2] == 3 and at[1, 2] >= 36
 
