@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .storage import cut, with_uid
 
-CAP, DEGREE, CANDIDATES, ALPHA, BEAM, OVERLAP = 1024, 16, 48, 1.2, 24, 3
+CAP, DEGREE, CANDIDATES, ALPHA, BEAM, OVERLAP = 1024, 16, 48, 1.2, 24, 4
 SAMPLE, CENTRES, AUDIT = 40_000, 4096, 200
 
 
@@ -309,7 +309,7 @@ def audit_recall(reps: DataFrame, counts: DataFrame, least: float, queries: int
     return 1.0 if not got["t"] else got["l"] / got["t"]
 
 
-def near_vectors(vectors: DataFrame, id_col: str = "vec_id", label_col: str = "label", vector_col: str = "embedding", least: float = 0.93, target: float = 0.98) -> DataFrame:
+def near_vectors(vectors: DataFrame, id_col: str = "vec_id", label_col: str = "label", vector_col: str = "embedding", least: float = 0.93, target: float = 0.995) -> DataFrame:
     """``(vec_id, n_links, component_id, kept)`` for every row.
 
     Rows link when labels are equal and not null, vectors have one width, and the cosine in double precision is at least
