@@ -176,8 +176,9 @@ def _nodes(vectors: DataFrame, label_col: str, vector_col: str) -> DataFrame:
     return rows.mapInArrow(run, "uid long, label string, x binary")
 
 
-def _centres(reps: DataFrame) -> dict[tuple[str, int], np.ndarray]:
-    """Centres by (label, width of the vectors), about one for each ``CAP / 2`` vectors, at most ``CENTRES``, from a sample."""
+def _centres(reps: DataFrame, overlap: int) -> dict[tuple[str, int], np.ndarray]:
+    """Centres by (label, width of the vectors) from a sample: as many as keep a shard, with ``overlap`` shards for each vector,
+    to about three quarters of ``CAP``; at most ``CENTRES``."""
     held = reps.groupBy("label", F.octet_length("x").alias("w")).agg(F.count(F.lit(1)).alias("n")).collect()
     total = sum(r["n"] for r in held)
     bar = min(1.0, SAMPLE / max(1, total))
@@ -190,7 +191,7 @@ def _centres(reps: DataFrame) -> dict[tuple[str, int], np.ndarray]:
     for r in held:
         own = by.get((r["label"], r["w"]), [])
         x = np.frombuffer(b"".join(sorted(own)), np.float64).reshape(len(own), -1) if own else np.ones((1, r["w"] // 8))
-        k = max(1, min(len(x), round(r["n"] / (CAP / 2)), max(1, CENTRES * r["n"] // max(1, total))))
+        k = max(1, min(len(x), round(r["n"] * overlap / (0.75 * CAP)), max(1, CENTRES * r["n"] // max(1, total))))
         out[r["label"], r["w"]] = k_means(x, k)
     return out
 
@@ -324,7 +325,7 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", label_col: str = "l
     reps = cut(nodes.groupBy("label", "x").agg(F.min("uid").alias("rid"), F.count(F.lit(1)).alias("n")))
     overlap, beam = OVERLAP, BEAM
     while True:
-        units = cut(_units(_spread(reps, _centres(reps), overlap)))
+        units = cut(_units(_spread(reps, _centres(reps, overlap), overlap)))
         graph = cut(_graph(units))
         links = cut(_links(units, graph, least, beam))
         counts = links.groupBy("rid").agg(F.sum("links").alias("links"))
