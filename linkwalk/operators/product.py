@@ -88,9 +88,12 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
     if zero_length == "graph_terms":
         first = first.join(graph.adjacency().select(F.col("node").alias("seed")).distinct(), "seed", "left_semi")
     layer = keep(first.select("seed", F.col("seed").alias("node"), F.lit(0).alias("q"), F.lit(0).alias("length")))
-    parts, depth, size = [layer], 0, layer.count()
+    parts, depth, size, narrow = [layer], 0, layer.count(), 0
     while size and depth < most_layers:
-        stride = STRIDE if size <= NARROW and depth else 1
+        # Only after several narrow layers in a row is the graph taken for thin; elsewhere inner layers without an
+        # anti-join would repeat what is seen.
+        narrow = narrow + 1 if size <= NARROW else 0
+        stride = STRIDE if narrow > 6 else 1
         step, steps = layer, []
         for k in range(1, stride + 1):
             small = size <= NARROW and k == 1
