@@ -31,8 +31,8 @@ from .words import LOWER, Hasher, chunks, find_words, mix, texts
 
 BANDS, ROWS, BATCH = 25, 5, 25
 HASHES = BANDS * ROWS
-#: Members above which a bucket is hot, and shingles that one side of a cell of a hot bucket holds.
-HOT, ROOM = 64, 150_000
+#: Members above which a bucket is hot, and shingles and members that one side of a cell of a hot bucket holds.
+HOT, ROOM, SIDE = 64, 150_000, 1024
 
 
 @cache
@@ -186,12 +186,13 @@ def _stars(buckets: DataFrame) -> DataFrame:
 
 def _open_buckets(buckets: DataFrame, labels: DataFrame) -> DataFrame:
     """``(band, rid, comp, main, n, k, k2)``: members of the buckets that hold several components; ``main`` is the most
-    frequent one, ``k`` and ``k2`` the numbers of cells that all members and the others need to stay within ``ROOM``."""
+    frequent one, ``k`` and ``k2`` the numbers of cells that all members and the others need to stay near ``ROOM`` and ``SIDE``."""
     named = buckets.join(labels, buckets["rid"] == labels["node"], "left").select("band", "rid", "size", F.coalesce("component", "rid").alias("comp"))
     sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("size"))
     open_ = sizes.groupBy("band").agg(F.sum("n").alias("n"), F.sum("size").alias("size"), F.max(F.struct("n", "comp", "size")).alias("most"), F.count(F.lit(1)).alias("kinds")).where("kinds > 1")
-    cells = lambda c: F.when(F.col("n") > HOT, F.ceil(c / ROOM)).otherwise(1).cast("int")
-    open_ = open_.select("band", "n", F.col("most.comp").alias("main"), cells(F.col("size")).alias("k"), cells(F.col("size") - F.col("most.size")).alias("k2"))
+    cells = lambda c, n: F.when(F.col("n") > HOT, F.greatest(F.ceil(c / ROOM), F.ceil(n / SIDE))).otherwise(1).cast("int")
+    rest = cells(F.col("size") - F.col("most.size"), F.col("n") - F.col("most.n"))
+    open_ = open_.select("band", "n", F.col("most.comp").alias("main"), cells(F.col("size"), F.col("n")).alias("k"), rest.alias("k2"))
     return named.drop("size").join(open_, "band")
 
 

@@ -202,7 +202,9 @@ def test_near_duplicates(docs, percent):
     assert got == want
 
 
-def test_near_duplicates_dense_group(spark):
+@pytest.mark.parametrize("side", [neardup.SIDE, 20])
+def test_near_duplicates_dense_group(spark, monkeypatch, side):
+    monkeypatch.setattr(neardup, "SIDE", side)
     r = np.random.default_rng(0)
     base = [f"t{i}" for i in range(120)]
     rows = []
