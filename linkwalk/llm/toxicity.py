@@ -137,10 +137,16 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     if not n0 or not n1:
         return Model()
 
+    def tally(found, hits):
+        h, at = np.unique(np.concatenate(found), return_inverse=True)
+        toxic = np.bincount(at, np.concatenate(hits), len(h)).astype(np.int64)
+        both = np.bincount(at, minlength=len(h))
+        return pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(toxic), pa.array(both - toxic)], names=["h", "a", "b"])
+
     def spread(batches):
         for batch in batches:
             y = batch.column(0).to_numpy()
-            found, hits = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+            found, hits = [], []
             for lo, n, row, kinds in features(batch.column(1)):
                 for h in kinds:
                     # Document frequency: each feature once for each row.
@@ -151,10 +157,12 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
                     head &= hh != 0
                     found.append(hh[head])
                     hits.append(y[rr[head] + lo].astype(np.int64))
-            h, at = np.unique(np.concatenate(found), return_inverse=True)
-            toxic = np.bincount(at, np.concatenate(hits), len(h)).astype(np.int64)
-            both = np.bincount(at, minlength=len(h))
-            yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(toxic), pa.array(both - toxic)], names=["h", "a", "b"])
+                # Partial counts leave early, so that a worker never holds the features of a whole batch.
+                if sum(map(len, found)) > 1 << 19:
+                    yield tally(found, hits)
+                    found, hits = [], []
+            if found:
+                yield tally(found, hits)
 
     spread_out = sample.mapInArrow(spread, "h long, a long, b long").groupBy("h").agg(F.sum("a").alias("a"), F.sum("b").alias("b"))
     odds = F.log((F.col("a") + 0.1) / n1) - F.log((F.col("b") + 0.1) / n0)

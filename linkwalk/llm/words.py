@@ -85,7 +85,7 @@ def texts(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
     return (flat[offsets[0] : offsets[-1]], offsets - offsets[0]) if len(offsets) else (flat[:0], np.zeros(1, np.int64))
 
 
-def chunks(offsets: np.ndarray, limit: int = 1 << 20) -> Iterator[tuple[int, int]]:
+def chunks(offsets: np.ndarray, limit: int = 1 << 18) -> Iterator[tuple[int, int]]:
     """Row ranges of about ``limit`` bytes; a longer document is a range of its own."""
     lo, n = 0, len(offsets) - 1
     while lo < n:
