@@ -1,9 +1,10 @@
 """Best-fit packing of token sequences by the configuration linear program over the length histogram.
 
-A configuration is a multiset of lengths that fits one sequence. Multiplicative weights give each length a price; the
-priciest configuration, found by knapsack dynamic programming over the capacity, is used a little, and prices of the
-lengths that it covers fall. The fractional use is rounded down to what the histogram holds, and best fit, longest first,
-places the rest on the histogram. The histogram has at most one row for each length, whatever the size of the corpus.
+A configuration is a multiset of lengths that fits one sequence. Multiplicative weights give each length a price; in each
+round the priciest configurations that the counts allow, found by knapsack dynamic programming over the capacity, are used a
+little, in whole numbers, and prices of the lengths that lag behind grow. Rounds end when all but ``GAP`` of the tokens are
+placed; best fit, longest first, places that remainder on the histogram. The histogram has at most one row for each length,
+whatever the size of the corpus.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from pyspark.sql import functions as F
 from .bpe import kept_by_worker
 from .storage import cut
 
-CAPACITY = 1024
+CAPACITY, GAP = 1024, 0.01
 LONG_GAP = re.compile(r"\s{5000}|[^\W\d_]{20000}|[^\w\s]{20000}|\d{20000}")
 
 
@@ -70,49 +71,60 @@ def pieces(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", te
     return docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").alias("text")).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
-def price(weights: np.ndarray, lengths: np.ndarray, capacity: int) -> dict[int, int]:
-    """The configuration of most weight: unbounded knapsack over 0..capacity. Returns counts by index into ``lengths``."""
-    best, take = np.zeros(capacity + 1), np.full(capacity + 1, -1)
-    for c in range(int(lengths[0]), capacity + 1):
-        n = np.searchsorted(lengths, c, "right")
-        value = weights[:n] + best[c - lengths[:n]]
-        k = int(value.argmax())
-        if value[k] > best[c - 1]:
-            best[c], take[c] = value[k], k
-        else:
-            best[c] = best[c - 1]
-    out: dict[int, int] = {}
-    c = capacity
-    while c > 0:
-        if take[c] < 0:
-            c -= 1
-            continue
-        out[int(take[c])] = out.get(int(take[c]), 0) + 1
-        c -= int(lengths[take[c]])
-    return out
-
-
-def fractional(lengths: np.ndarray, counts: np.ndarray, capacity: int, rounds: int = 400, step: float = 0.08) -> list[tuple[dict[int, int], float]]:
-    """Configurations with their fractional use, by multiplicative weights; no length is used beyond its count."""
-    left, use = counts.astype(float), {}
-    weights = lengths / capacity
-    for _ in range(rounds):
-        live = np.flatnonzero(left > 0.5)
-        if not len(live):
-            break
-        got = price(weights[live], lengths[live], capacity)
-        chosen = {int(live[k]): n for k, n in got.items()}
-        room = min(left[k] / n for k, n in chosen.items())
-        much = min(room, max(1.0, step * min(counts[k] / n for k, n in chosen.items())))
-        key = tuple(sorted(chosen.items()))
-        use[key] = use.get(key, 0.0) + much
-        for k, n in chosen.items():
-            left[k] -= n * much
-            weights[k] *= np.exp(-step * n * much / counts[k])
-        # Lengths that lag behind the rest gain in price.
-        share = left / counts
-        weights = weights * np.exp(step * (share - share[live].mean()))
-    return [(dict(k), v) for k, v in use.items()]
+def price(weights: np.ndarray, lengths: np.ndarray, most: np.ndarray, capacity: int) -> np.ndarray:
+    """For each length the configuration of most weight that holds it, as a row of counts by length; none holds more than
+    ``most`` copies of a length. One knapsack over 0..capacity, with copies in powers of two, prices all of them."""
+    items: list[tuple[int, int]] = []
+    for k, (length, n) in enumerate(zip(lengths.tolist(), most.tolist(), strict=True)):
+        n, copies = min(n, capacity // length), 1
+        while n > 0:
+            items.append((k, min(copies, n)))
+            n -= copies
+            copies *= 2
+    best, took = np.zeros(capacity + 1), np.zeros((len(items), capacity + 1), bool)
+    for i, (k, copies) in enumerate(items):
+        size = int(lengths[k]) * copies
+        value = best[: capacity + 1 - size] + weights[k] * copies
+        took[i, size:] = value > best[size:] + 1e-12
+        best[size:] = np.maximum(best[size:], value)
+    out, room = np.zeros((len(lengths), len(lengths)), np.int64), capacity - lengths
+    for i in range(len(items) - 1, -1, -1):
+        k, copies = items[i]
+        hit = took[i, room]
+        out[hit, k] += copies
+        room = room - hit * (int(lengths[k]) * copies)
+    out[np.arange(len(lengths)), np.arange(len(lengths))] += 1
+    return np.minimum(out, most)
+
+
+def cover(lengths: np.ndarray, counts: np.ndarray, capacity: int, gap: float = GAP, step: float = 0.25, lean: float = 0.5, rate: float = 0.02) -> tuple[list[tuple[list[int], int]], np.ndarray]:
+    """``(configurations with their whole use, what is left of each length)``, by multiplicative weights.
+
+    Each round prices a configuration for every length that is left, within what is left, and uses those that are full up to
+    a tolerance, by at most ``step`` of a length's count; uses are whole, so they are rounded as they are made. Then prices of
+    lengths that lag behind grow. The tolerance doubles when no configuration meets it. Rounds go on until at most ``gap`` of
+    all tokens are left. Prices start above proportion for long pieces (``lean``), so that short ones last as filling.
+    """
+    left, total, out = counts.copy(), int((lengths * counts).sum()), []
+    weights, slack = lengths / capacity * (1 + lean * lengths / capacity), 0.001
+    while (lengths * left).sum() > gap * total:
+        live = np.flatnonzero(left > 0)
+        configurations = price(weights[live], lengths[live], left[live], capacity)
+        waste = 1 - configurations @ lengths[live] / capacity
+        used = False
+        for j in np.flatnonzero(waste <= slack)[::-1]:
+            held = np.flatnonzero(configurations[j])
+            k, m = live[held], configurations[j, held]
+            n = min(int((left[k] // m).min()), max(1, int(step * (counts[k] / m).min())))
+            if n > 0:
+                left[k] -= n * m
+                out.append((np.repeat(lengths[k], m).tolist(), n))
+                used = True
+        if not used:
+            slack = max(2 * slack, float(waste.min()) + 1e-12)
+        share = left[live] / counts[live]
+        weights[live] *= np.exp(rate * (share - share.mean()))
+    return out, left
 
 
 def best_fit(lengths: np.ndarray, counts: np.ndarray, capacity: int) -> list[tuple[list[int], int]]:
@@ -146,22 +158,25 @@ def best_fit(lengths: np.ndarray, counts: np.ndarray, capacity: int) -> list[tup
     return [([x for x, k in content for _ in range(k)], n) for held in classes.values() for content, n in held.items()]
 
 
-def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[list[int], int]]:
-    """``(lengths in one sequence, number of such sequences)`` that place the whole histogram."""
+def plan_with_report(histogram: dict[int, int], capacity: int = CAPACITY) -> tuple[list[tuple[list[int], int]], dict]:
+    """The plan, and ``pieces``, ``by_program`` (pieces that configurations place), ``sequences``, ``best_fit_alone`` (what best fit
+    alone would use) and ``at_least`` (all tokens over the capacity). Best fit alone is taken where it needs fewer
+    sequences; ``by_program`` is 0 then."""
     keep = sorted(x for x, n in histogram.items() if n > 0)
     if not keep:
-        return []
+        return [], {"pieces": 0, "by_program": 0, "sequences": 0, "best_fit_alone": 0, "at_least": 0}
     lengths, counts = np.array(keep), np.array([histogram[x] for x in keep], np.int64)
-    out, left = [], counts.copy()
-    for chosen, use in sorted(fractional(lengths, counts, capacity), key=lambda x: -x[1]):
-        n = min([int(use), *(int(left[k]) // m for k, m in chosen.items())])
-        if n > 0:
-            out.append(([int(lengths[k]) for k, m in chosen.items() for _ in range(m)], n))
-            for k, m in chosen.items():
-                left[k] -= n * m
+    out, left = cover(lengths, counts, capacity)
     out += best_fit(lengths[left > 0], left[left > 0], capacity)
     plain = best_fit(lengths, counts, capacity)
-    return min(out, plain, key=lambda p: sum(n for _, n in p))
+    used, alone = sum(n for _, n in out), sum(n for _, n in plain)
+    report = {"pieces": int(counts.sum()), "by_program": int((counts - left).sum()) if used <= alone else 0, "sequences": min(used, alone), "best_fit_alone": alone, "at_least": -(-int((lengths * counts).sum()) // capacity)}
+    return (out if used <= alone else plain), report
+
+
+def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[list[int], int]]:
+    """``(lengths in one sequence, number of such sequences)`` that place the whole histogram."""
+    return plan_with_report(histogram, capacity)[0]
 
 
 def pack(parts: DataFrame, capacity: int = CAPACITY) -> DataFrame:

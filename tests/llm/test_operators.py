@@ -324,6 +324,27 @@ def test_plan_places_all():
     assert sum(n for _, n in packing.plan({600: 5, 424: 5})) == 5
 
 
+def test_plan_covers_by_configurations():
+    r = np.random.default_rng(11)
+    wide = {n: int(r.integers(20, 80)) for n in range(1, 1025)}
+    thirds = {341: 1000, 342: 900, 512: 50, 683: 700, 700: 200, 30: 50}
+    for histogram in (wide, {n: 50 * k for n, k in wide.items()}, thirds):
+        plan, report = packing.plan_with_report(histogram)
+        used = Counter()
+        for content, n in plan:
+            assert sum(content) <= 1024 and n > 0
+            for x in content:
+                used[x] += n
+        assert used == Counter(histogram)
+        assert sum(n for _, n in plan) == report["sequences"] <= report["best_fit_alone"]
+        lengths, counts = np.array(sorted(histogram)), np.array([histogram[x] for x in sorted(histogram)])
+        _, left = packing.cover(lengths, counts, 1024)
+        assert (lengths * left).sum() <= packing.GAP * (lengths * counts).sum()
+        assert (counts - left).sum() > 0.9 * counts.sum() and report["by_program"] in (0, (counts - left).sum())
+    assert sum(n for _, n in packing.plan(thirds)) <= 1450  # best fit alone: 1475
+    assert packing.price(np.array([0.5, 0.1]), np.array([100, 300]), np.array([2, 1]), 1024).tolist() == [[2, 1], [2, 1]]
+
+
 def test_sharding(spark, docs, odd):
     rows = sharding.shard_documents(docs).collect()
     texts = dict(pairs(docs))
