@@ -474,6 +474,32 @@ def test_vectors(spark):
     assert vectors.near_vectors(df.limit(0)).count() == 0
 
 
+def test_vectors_compares_all_where_search_falls_short(spark, monkeypatch):
+    r = np.random.default_rng(8)
+    rows = [(i, i % 2, [float(a) for a in (np.ones(8) + r.normal(0, 0.3, 8))]) for i in range(1500)]
+    df = spark.createDataFrame(rows, "vec_id long, label int, embedding array<double>").repartition(3)
+    monkeypatch.setattr(vectors, "OVERLAP", vectors.MOST_OVERLAP)
+    monkeypatch.setattr(vectors, "CAP", 256)
+    true, seen = vectors.audit_recall, []
+
+    def audit(*args):
+        seen.append(true(*args))
+        return 0.5 if len(seen) == 1 else seen[-1]
+
+    monkeypatch.setattr(vectors, "audit_recall", audit)
+    got = {x["vec_id"]: x["n_links"] for x in vectors.near_vectors(df).collect()}
+    assert len(seen) == 2 and seen[1] == 1.0
+    assert got == {i: len(x) for i, x in links_of(rows).items()}
+
+
+def test_audit_counts_small_groups(spark):
+    # One query with all of its 1000 links, nine with none of their two: by links alone this is a recall of 0.98.
+    e = np.eye(10)
+    reps = spark.createDataFrame([(i, "a", e[i].tobytes(), 1) for i in range(10)] + [(100 + i, "a", e[i].tobytes(), 1000 if i == 0 else 2) for i in range(10)], "rid long, label string, x binary, n long")
+    counts = spark.createDataFrame([(0, 1000)] + [(100 + i, 1) for i in range(10)], "rid long, links long")
+    assert vectors.audit_recall(reps, counts, 0.93) < 0.6
+
+
 def test_robust_prune_spreads():
     x = np.array([[1, 0.0], [0.999, 0.04], [0.998, 0.06], [0, 1.0], [-1, 0.0]])
     x /= np.linalg.norm(x, axis=1, keepdims=True)
