@@ -317,6 +317,19 @@ def run(graph: TripleGraph, expr: str | PathExpr, start: str, strategy: str = "a
     return run_many(graph, expr, start, [Spec(strategy, k, **spec)], limits, lookup, costs)
 
 
+def answers_only(n: int) -> Limits:
+    """Limits of a search whose contract is its number of answers: nothing else stops it."""
+    return Limits(max_answers=n, max_triples=None, max_seconds=None, max_requests=None)
+
+
+def complete(result: SearchRun) -> SearchRun:
+    """The same run; raises where a run stopped before its answers or its graph were at an end."""
+    short = {i: why for i, why in result.stopped.items() if why not in ("answers", "exhausted")}
+    if short:
+        raise RuntimeError(f"search stopped early, by run: {short}")
+    return result
+
+
 def iter_answers(graph: TripleGraph, expr: str | PathExpr, start: str, limits: Limits = Limits(), lookup: Lookup | None = None, **spec) -> Iterator[DataFrame]:  # noqa: B008
     """Answers as they come: after each round the table of those that the round released."""
     rounds = _Rounds(graph, expr, start, [Spec(**spec)], limits, lookup, None)

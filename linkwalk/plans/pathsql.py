@@ -7,7 +7,7 @@ import re
 from pyspark.sql import DataFrame
 
 from ..operators.product import reach
-from ..operators.search import Limits, SearchRun, run
+from ..operators.search import SearchRun, answers_only, complete, run
 from ..sources.graph import TripleGraph
 
 QUERY = re.compile(r"^\s*(?P<start>\S+)\s+(?P<expr>.+?)\s+\?(?P<var>\w+)(?:\s+limit\s+(?P<n>\d+))?\s*$", re.IGNORECASE | re.DOTALL)
@@ -30,7 +30,8 @@ def path_query(graph: TripleGraph, text: str) -> DataFrame:
     if not m:
         raise ValueError("a path query reads: start expression ?variable [limit n]")
     if m["n"]:
-        found = run(graph, m["expr"], m["start"], k=None, batch="bucket", limits=Limits(max_answers=int(m["n"]))).top(int(m["n"])).select("node", "length")
+        result = run(graph, m["expr"], m["start"], k=None, batch="bucket", limits=answers_only(int(m["n"])))
+        found = complete(result).top(int(m["n"])).select("node", "length")
     else:
         found = reach(graph, m["expr"], m["start"])
     return found.withColumnRenamed("node", m["var"])

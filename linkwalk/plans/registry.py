@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from ..functions.tables import shared_dir
 from ..operators import algebra, bgp, measures, paths, product
 from ..operators.deref import Combined, Endpoint, PartialDocs, PatternPages
-from ..operators.search import Limits, Spec, run, run_many
+from ..operators.search import Limits, Spec, answers_only, complete, run, run_many
 from ..sources.graph import TripleGraph, construct, from_testdata
 from . import pathsql
 from .automaton import compile_path, pathmax_distance, state_distance
@@ -138,7 +138,7 @@ def _lengths(name: str, spec: Spec, n: int, w=_W1L):
     sql = f"SELECT row_number() OVER (ORDER BY length, node) AS rank, length FROM ({w.sql()}) ORDER BY rank LIMIT {n}"
 
     def f(spark, sf_dir):
-        result = run_many(w.graph(spark, sf_dir), w.expr, w.start, [spec], Limits(max_answers=n, max_triples=None))
+        result = complete(run_many(w.graph(spark, sf_dir), w.expr, w.start, [spec], answers_only(n)))
         a = result.answers()
         return a.select(F.col("rank").cast("long").alias("rank"), F.col("length").cast("int").alias("length"))
 

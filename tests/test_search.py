@@ -6,7 +6,7 @@ from simulate import G1, G2, G3, exact, simulate
 
 from linkwalk.operators import algebra, measures, paths, product
 from linkwalk.operators.deref import Combined, Endpoint, FullDocs, Latency, MultiSource, PartialDocs, PatternPages
-from linkwalk.operators.search import Limits, Spec, iter_answers, run, run_many, timed
+from linkwalk.operators.search import Limits, Spec, answers_only, complete, iter_answers, run, run_many, timed
 from linkwalk.sources.graph import from_triples
 
 
@@ -201,3 +201,20 @@ def test_walks(spark):
     assert text['"nB'] == 'A <-c- P1 -c-> B -name-> "nB'
     assert walks.where(paths.visits(F.col("steps"), "P3")).count() == 2 and walks.where(paths.uses(F.col("steps"), "c")).count() == 4
     assert paths.path_steps(walks).count() == 2 + 4 + 4 + 6 + 8
+
+
+def test_path_query_gives_all_nearest_past_the_triple_limit(spark):
+    # One hub holds more triples than the experiments' limit.
+    from linkwalk.plans.pathsql import path_query
+
+    hub = spark.range(100_500).selectExpr("'A' AS s", "'c' AS p", "'x' || id AS o")
+    more = spark.createDataFrame([("x7", "d", "B"), ("B", "d", "C")], "s string, p string, o string")
+    got = path_query(from_triples(hub.unionByName(more)), "A c/d/d? ?x limit 2").collect()
+    assert [(r["x"], int(r["length"])) for r in got] == [("B", 2), ("C", 3)]
+
+
+def test_stopped_searches_are_told(spark):
+    g = graph(spark, [("A", "c", "B"), ("B", "c", "C"), ("C", "c", "D")])
+    with pytest.raises(RuntimeError, match="requests"):
+        complete(run(g, "c*", "A", limits=Limits(max_requests=1)))
+    assert complete(run(g, "c*", "A", limits=answers_only(9))).answers().count() == 4
