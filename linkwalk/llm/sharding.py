@@ -1,6 +1,7 @@
 """Balanced label propagation: documents move towards their neighbours' shards under capacity quotas.
 
-Neighbours are documents with equal texts. Shards start by hash. In each round a group's counts by shard are joined to its
+Neighbours are documents with equal texts. Large groups get their shards first, largest first, and are split only where no
+shard holds them; the others start in order of group, within the room that is left. In each round a group's counts by shard are joined to its
 members; members outside the shard with the most of their neighbours ask to move there, and each shard admits as many as it
 has room for, by gain: the driver sees only counts by shard and gain class, and sets how many of each class go. Documents without
 a neighbour cut no edge anywhere and are dealt last, so that all shards end within one document of each other.
@@ -31,16 +32,59 @@ def _ranked(rows: DataFrame, keys: list[str], uid: str, n: int, name: str) -> Da
     return tagged.join(sums, [*keys, "bucket_"]).withColumn(name, (F.col("base_") + F.row_number().over(inside) - 1).cast("long")).drop("bucket_", "base_")
 
 
-def propagate(linked: DataFrame, quota: int, shards: int = SHARDS, rounds: int = 24) -> DataFrame:
-    """``linked(uid, g)`` → ``(uid, g, shard)``; no shard gets more than ``quota`` rows."""
-    sizes = linked.groupBy("g").agg(F.count(F.lit(1)).alias("n"))
-    # A group that outgrows a shard is treated as several, each of which can stay whole.
-    state = linked.join(sizes, "g").withColumn("parts", F.ceil(F.col("n") * 1.15 / F.lit(max(quota, 1))))
-    state = state.select("uid", "g", F.when(F.col("n") > 0.8 * quota, F.xxhash64("g", F.pmod(F.xxhash64("uid", F.lit(3)), "parts"))).otherwise(F.xxhash64("g")).alias("sub"), F.pmod(F.xxhash64("uid"), F.lit(shards)).cast("int").alias("shard"))
+def reserve(sizes: list[tuple[str, int]], room: list[int]) -> list[tuple[str, int, int, int]]:
+    """``(group, from, to, shard)`` for the given groups, largest first; ``room`` is lowered. A group goes whole to the fullest
+    shard that holds it; one that no shard holds fills the emptiest shards, which is the least number of parts."""
+    out = []
+    for g, n in sorted(sizes, key=lambda x: (-x[1], x[0])):
+        at = 0
+        while at < n:
+            fits = [s for s, r in enumerate(room) if r >= n - at]
+            s = min(fits, key=lambda s: room[s]) if fits else max(range(len(room)), key=lambda s: room[s])
+            take = min(n - at, room[s])
+            out.append((g, at, at + take, s))
+            room[s] -= take
+            at += take
+    return out
+
+
+def _by_ends(rank: Column, ends: list[int]) -> Column:
+    return F.size(F.filter(F.array(*[F.lit(e) for e in ends]), lambda e: e <= rank)).cast("int")
+
+
+def place(linked: DataFrame, room: list[int], n: int) -> DataFrame:
+    """``linked(uid, g, group_size)`` → ``(uid, g, shard)``; no shard gets more rows than its room.
+
+    Groups of at least a twentieth of a shard are reserved their places by the driver; there are at most about twenty for each
+    shard. The others propagate in the room that is left.
+    """
+    quota = max(room)
+    large = linked.where(F.col("group_size") * 20 >= quota)
+    sizes = [(r["g"], r["group_size"]) for r in large.select("g", "group_size").distinct().collect()]
+    room = list(room)
+    held = reserve(sizes, room)
+    spark = linked.sparkSession
+    places = F.broadcast(spark.createDataFrame(held, "g string, from_ long, to_ long, shard int"))
+    ranked = _ranked(large.select("uid", "g"), ["g"], "uid", n, "rank_")
+    fixed = ranked.join(places, "g").where("rank_ >= from_ and rank_ < to_").select("uid", "g", "shard")
+    rest = linked.where(F.col("group_size") * 20 < quota).select("uid", "g")
+    many = rest.count()
+    return fixed.unionByName(propagate(rest, room, many)) if many else fixed
+
+
+def propagate(linked: DataFrame, quotas: list[int], n: int, rounds: int = 24) -> DataFrame:
+    """``linked(uid, g)`` of ``n`` rows → ``(uid, g, shard)``; no shard gets more rows than its quota."""
+    shards, total = len(quotas), sum(quotas)
+    # Rows start in order of group, dealt in proportion to the room: no start is overfull (n <= total), and few groups start cut.
+    ends, before = [], 0
+    for q in quotas:
+        before += q
+        ends.append(before * n // total)
+    state = _ranked_range(linked, n).select("uid", "g", F.xxhash64("g").alias("sub"), _by_ends(F.col("rank_"), ends).alias("shard"))
     state = cut(state)
     for _ in range(rounds):
         load = {r["shard"]: r["n"] for r in state.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).collect()}
-        room = {s: quota - load.get(s, 0) for s in range(shards)}
+        room = {s: quotas[s] - load.get(s, 0) for s in range(shards)}
         open_ = [s for s, r in room.items() if r > 0]
         if not open_:
             break
@@ -87,14 +131,8 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, id_col: str = "doc_id
     groups = rows.where("g is not null").groupBy("g").agg(F.count(F.lit(1)).alias("group_size")).where("group_size > 1")
     linked = cut(rows.join(groups, "g").select("uid", "g", "group_size"))
     quota = n // shards
-    placed = cut(propagate(linked.select("uid", "g"), quota, shards))
+    placed = cut(place(linked, [quota + (s < n % shards) for s in range(shards)], n))
     load = {r["shard"]: r["n"] for r in placed.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).collect()}
-    # With few documents a start by hash may exceed a quota; then all are dealt anew, group by group.
-    full = any(v > quota for v in load.values())
-    if full:
-        order = _dealt(linked.select("uid", "g"), n, shards)
-        placed = cut(order)
-        load = {r["shard"]: r["n"] for r in placed.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).collect()}
     extra = sorted(range(shards), key=lambda s: (-load.get(s, 0), s))[: n % shards]
     need = [quota + (s in extra) - load.get(s, 0) for s in range(shards)]
     ends, total = [], 0
@@ -103,25 +141,12 @@ def shard_documents(docs: DataFrame, shards: int = SHARDS, id_col: str = "doc_id
         ends.append(total)
     free = rows.select("uid").join(placed.select("uid"), "uid", "left_anti").withColumn("one_", F.lit(0))
     free = _ranked(free, ["one_"], "uid", n, "rank_")
-    shard = F.size(F.filter(F.array(*[F.lit(e) for e in ends]), lambda e: e <= F.col("rank_")))
-    every = placed.select("uid", "shard").unionByName(free.select("uid", shard.cast("int").alias("shard")))
+    every = placed.select("uid", "shard").unionByName(free.select("uid", _by_ends(F.col("rank_"), ends).alias("shard")))
     slotted = _ranked(every, ["shard"], "uid", n, "slot")
     out = rows.join(slotted, "uid").join(linked.select("uid", "group_size"), "uid", "left")
     return out.select(F.col("id").alias(id_col), "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), F.coalesce("group_size", F.lit(1)).alias("group_size"))
 
 
-def _dealt(linked: DataFrame, n: int, shards: int) -> DataFrame:
-    """Linked rows in order of group, cut into equal stretches: at most one group is cut at each of the ends. Used only where
-    so few rows have no neighbour that quotas leave no room to move."""
-    held = linked.count()
-    each = max(1, -(-held // shards))
-    ranked = _ranked_range(linked, each)
-    quota = n // shards
-    spare = F.col("rank_") - F.lit(quota * shards)
-    place = F.when(F.col("rank_") < quota * shards, F.floor(F.col("rank_") / F.lit(max(quota, 1)))).otherwise(spare)
-    return ranked.select("uid", "g", place.cast("int").alias("shard"))
-
-
 def _ranked_range(linked: DataFrame, each: int) -> DataFrame:
     """Global rank in order of (g, uid), from counts by the first digits of g."""
     tagged = linked.withColumn("head_", F.substring("g", 1, 3))

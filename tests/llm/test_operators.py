@@ -372,6 +372,20 @@ def test_sharding_hot_group(spark):
     assert len(hot) <= 16  # twice the least number of shards that hold it
 
 
+@pytest.mark.parametrize(("sizes", "most"), [({"a": 216, "b": 240, "c": 228}, 1), ({"a": 456}, 2), (dict.fromkeys(map(str, range(2880)), 2), 1)])
+def test_sharding_keeps_groups_whole(spark, sizes, most):
+    # 240 rows a shard: groups of 0.9 to 1.0 and 1.9 shards; and a table where every text has a copy.
+    texts = [g for g, n in sizes.items() for _ in range(n)]
+    rows = [(i, texts[i] if i < len(texts) else f"single {i}") for i in range(5760)]
+    text = dict(rows)
+    out = sharding.shard_documents(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()
+    assert sorted(Counter(r["shard"] for r in out).values()) == [240] * 24
+    groups = defaultdict(set)
+    for r in out:
+        groups[text[r["doc_id"]]].add(r["shard"])
+    assert max(map(len, groups.values())) == most
+
+
 def test_fingerprints(spark, sf, docs):
     rows = sorted(pairs(docs))
     got = {r["doc_id"]: r for r in QUERIES["op5_fingerprints"](spark, sf).collect()}
