@@ -103,6 +103,14 @@ def reach_from_many(spark, sf_dir):
     return product.reach_from(g, "^placed_by/contains/^supplies/in_nation", starts, "customer")
 
 
+@query("reach_from_all", f"SELECT seed AS customer, node, length FROM ({pairs_sql('^placed_by/contains/^supplies/in_nation', ('sales', 'supply', 'geo'), _STARTS.split(' WHERE ')[0], 5)})")
+def reach_from_all(spark, sf_dir):
+    """The query of :func:`reach_from_many` with every customer as a start."""
+    g = from_testdata(spark, sf_dir, ["sales", "supply", "geo"])
+    starts = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.concat(F.lit("customer:"), F.col("c_custkey").cast("string")).alias("customer"))
+    return product.reach_from(g, "^placed_by/contains/^supplies/in_nation", starts, "customer")
+
+
 @query("all_pairs_seeded", f"SELECT seed AS s, node AS o FROM ({pairs_sql('in_region/^in_region', ('geo',), '''SELECT 'nation:' || n_nationkey AS seed FROM nation''', 3)})")
 def all_pairs_seeded(spark, sf_dir):
     g = from_testdata(spark, sf_dir, ["geo"])

@@ -42,6 +42,12 @@ def test_query_equals_its_twin(spark, sf, duck, name):
     assert got == Counter(tuple(norm(x) for x in r) for r in want.select(*[f'"{c}"' for c in columns]).fetchall())
 
 
+def test_reach_from_all_starts_everywhere(spark, sf, duck):
+    got = Counter(tuple(r) for r in QUERIES["reach_from_all"](spark, sf).select("customer", "node", "length").collect())
+    assert got == Counter(duck.sql(f"SELECT customer, node, length FROM ({ORACLE_SQL['reach_from_all']})").fetchall())
+    assert len({c for c, _, _ in got}) > 10
+
+
 def test_registry_is_whole():
     assert set(ORACLE_SQL) <= set(QUERIES) and len(GRID) == 11 and set(WORKLOADS) <= set(QUERIES)
 
