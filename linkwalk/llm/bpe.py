@@ -9,30 +9,21 @@ from __future__ import annotations
 
 import base64
 import hashlib
-import sys
-import types
 import unicodedata
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .storage import names_out
+from .words import kept_by_worker
+
 OTHER, LETTER, NUMBER, SPACE = range(4)
 #: Code points of the White_Space property.
 WHITE = [*range(0x09, 0x0E), 0x20, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]
 
 
-def kept_by_worker(key: str, make):
-    """A value that outlives the task: a worker process makes it once and later tasks in it find it again."""
-    held = sys.modules.setdefault("linkwalk_kept", types.ModuleType("linkwalk_kept"))
-    if not hasattr(held, key):
-        setattr(held, key, make())
-    return getattr(held, key)
-
-
-@cache
 def classes() -> np.ndarray:
     return kept_by_worker("classes", _classes)
 
@@ -46,8 +37,11 @@ def _classes() -> np.ndarray:
     return out
 
 
-@cache
 def _compose() -> np.ndarray:
+    return kept_by_worker("compose", _composed)
+
+
+def _composed() -> np.ndarray:
     """``table[f, g]``: first f, then g, for functions of three states packed in six bits."""
     f = np.arange(64)
     parts = np.stack([f & 3, f >> 2 & 3, f >> 4 & 3], 1)
@@ -303,7 +297,8 @@ def encode_documents(docs: DataFrame, vocabulary: str, text_col: str = "text", w
     """Input columns plus ``n_tokens``, ``ids_sha256``, ``decoded_sha256`` and, if asked, ``ids`` (array of int).
 
     ``vocabulary`` is the path of a rank file that every executor can read. Null counts as empty and has no token. Rows are
-    handled one by one, so null ids, repeated rows and empty tables need no rule; clashing names are given new ones.
+    handled one by one, so null ids, repeated rows and empty tables need no rule; input columns with the name of an added one
+    come back with ``_in`` appended.
     """
     given = docs.columns
     own = docs.select(*[F.col(f"`{c}`").alias(f"in_{i}") for i, c in enumerate(given)])
@@ -330,5 +325,5 @@ def encode_documents(docs: DataFrame, vocabulary: str, text_col: str = "text", w
 
     kinds = ", ".join(f"{c} {t}" for c, t in send.dtypes if c in names)
     out = send.mapInArrow(run, f"{kinds}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
-    keep = [F.col(f"in_{i}").alias(c) for i, c in enumerate(given) if f"in_{i}" in names]
+    keep = [F.col(f"in_{i}").alias(c) for i, c in enumerate(names_out(given, ["n_tokens", "ids_sha256", "decoded_sha256", "ids"])) if f"in_{i}" in names]
     return out.select(*keep, "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids)

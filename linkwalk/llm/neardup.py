@@ -18,7 +18,6 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -26,8 +25,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .storage import cut, discard, with_uid
-from .words import LOWER, Hasher, chunks, find_words, mix, texts
+from .storage import cut, discard, names_out, with_uid
+from .words import LOWER, Hasher, chunks, find_words, kept_by_worker, mix, texts
 
 BANDS, ROWS, BATCH = 25, 5, 25
 HASHES = BANDS * ROWS
@@ -35,8 +34,11 @@ HASHES = BANDS * ROWS
 HOT, ROOM, SIDE = 64, 150_000, 1024
 
 
-@cache
 def _hashers() -> tuple[Hasher, Hasher, np.ndarray, np.ndarray]:
+    return kept_by_worker("neardup", _made)
+
+
+def _made() -> tuple[Hasher, Hasher, np.ndarray, np.ndarray]:
     r = np.random.default_rng(8)
     return Hasher(81), Hasher(82), r.integers(0, 1 << 31, HASHES, dtype=np.uint32) * np.uint32(2) + np.uint32(1), r.integers(0, 1 << 32, HASHES, dtype=np.uint64).astype(np.uint32)
 
@@ -99,7 +101,6 @@ def sketch(docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame
     return docs.select(F.col(id_col).alias("uid"), F.col(text_col).alias("text")).mapInArrow(run, "uid long, k1 long, k2 long, n_shingles long, sig binary, bands array<long>")
 
 
-@cache
 def needed_matches(threshold: float, miss: float) -> tuple[int, ...]:
     """After 1, 2, ... batches: the fewest agreements with which a pair goes on."""
     s = (np.arange(4000) + 0.5) / 4000
@@ -317,7 +318,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Two documents are linked when 100 * |A and B| >= percent * |A or B| for their sets of ``width``-word shingles (ASCII
     lower case); a shorter text has its whole word sequence as its one shingle. Null, empty and white-space texts have no
     shingle and no link, not even with each other. Rows with null or repeated ids are rows of their own; a component's id is
-    the least non-null id in it (null if it has none), and ``kept`` marks its first row. An empty table gives an empty one.
+    the least non-null id in it (null if it has none), and ``kept`` marks its first row. An empty table gives an empty one. Input
+    columns with the name of an added one come back with ``_in`` appended.
     ``miss`` is the posterior bound under which a candidate is dropped; the bands miss a pair at 0.85 with chance 4e-7, at
     0.80 with chance 5e-5.
     """
@@ -350,7 +352,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     ids = source.select(F.col("uid").alias("head"), F.col(id_at).alias("component_id"))
     members = members.join(ids, "head").select("uid", "n_shingles", "component_id", (F.col("uid") == F.col("head")).alias("kept"))
     out = source.join(members, "uid")
-    return out.select(*[F.col(f"in_{i}").alias(c) for i, c in enumerate(given)], "n_shingles", "component_id", "kept")
+    names = names_out(given, ["n_shingles", "component_id", "kept"])
+    return out.select(*[F.col(f"in_{i}").alias(c) for i, c in enumerate(names)], "n_shingles", "component_id", "kept")
 
 
 def miss_chance(similarity: float) -> float:

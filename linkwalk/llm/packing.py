@@ -18,8 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .bpe import kept_by_worker
 from .storage import cut
+from .words import kept_by_worker
 
 CAPACITY, GAP = 1024, 0.01
 LONG_GAP = re.compile(r"\s{5000}|[^\W\d_]{20000}|[^\w\s]{20000}|\d{20000}")

@@ -28,7 +28,7 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found, _ = secret_scan.scan_secrets(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    found = secret_scan.scan_secrets(table(spark, sf_dir, "documents").select("doc_id", "text"), secret_scan.new_ledger(spark))
     base = by_start(F.filter("spans", lambda s: s["kind"].isin(secret_scan.BASE)), secret_scan.BASE)
     every = by_start(F.col("spans"), secret_scan.BASE + secret_scan.ADDED)
     return found.select("doc_id", *[count(F.col("spans"), k).alias(f"n_{k}") for k in secret_scan.BASE], F.sha2(listed(base).cast("binary"), 256).alias("base_sha256"), listed(every).alias("spans"))
@@ -61,7 +61,7 @@ def op8_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = pii.find_pii(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text")
     base = F.filter("pii", lambda s: s["kind"].isin(pii.BASE))
-    return found.select("doc_id", *[count(F.col("pii"), k).alias(f"n_{k}") for k in pii.BASE], F.sha2(listed(base).cast("binary"), 256).alias("base_sha256"), listed(F.col("pii")).alias("spans"))
+    return found.select("doc_id", *[count(F.col("pii"), k).alias(f"n_{k}") for k in pii.BASE], F.sha2(listed(base).cast("binary"), 256).alias("base_sha256"), listed(F.col("pii")).alias("spans"), F.array_join(F.transform("pii", lambda s: F.round(s["score"] * 100).cast("int").cast("string")), ",").alias("scores"))
 
 
 def op10_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,15 +1,19 @@
 """Secret scans over an incremental blob ledger. Built-in functions only.
 
 A *blob* is a text, named by its SHA-256. The ledger holds (blob, rule version, spans) for all that was scanned; a run
-scans each blob that the ledger lacks for the version at hand once, and joins findings to every path that holds the blob.
+scans each blob that the ledger lacks for the version at hand once, writes the new rows to the ledger, and joins findings to
+every path that holds the blob. A ledger is a folder that every executor can reach; each run adds files to it.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import uuid
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .spans import SPAN, find, has
+from .storage import names_out, shared_dir
 
 BASE = ["assign", "access", "hex"]
 ADDED = ["pem", "jwt"]
@@ -45,18 +49,31 @@ def scan_unseen(blobs: DataFrame, ledger: DataFrame | None = None, rule_version:
     return once.select("blob", F.lit(rule_version).alias("rule_version"), secret_spans(F.col("text")).alias("spans"))
 
 
-def scan_secrets(paths: DataFrame, text_col: str = "text", ledger: DataFrame | None = None, rule_version: str = RULE_VERSION) -> tuple[DataFrame, DataFrame]:
-    """(``paths`` plus ``blob`` and ``spans``, ledger with the new rows).
+def new_ledger(spark: SparkSession) -> str:
+    """A place for a ledger in the shared folder."""
+    return f"{shared_dir(spark)}/secret-ledger-{uuid.uuid4().hex}"
+
+
+def read_ledger(spark: SparkSession, path: str) -> DataFrame:
+    """The ledger's rows; none where nothing was written yet."""
+    target = spark._jvm.org.apache.hadoop.fs.Path(path)
+    if not target.getFileSystem(spark._jsc.hadoopConfiguration()).exists(target):
+        return spark.createDataFrame([], LEDGER)
+    return spark.read.schema(LEDGER).parquet(path)
+
+
+def scan_secrets(paths: DataFrame, ledger: str, text_col: str = "text", rule_version: str = RULE_VERSION) -> DataFrame:
+    """``paths`` plus ``blob`` and ``spans``; what the ledger in the folder ``ledger`` lacks is scanned once and added to it.
 
     Every version of a file is a row of ``paths``. A null text is the empty blob; equal texts are scanned once; rows that
-    repeat each get the findings; an empty table gives empty results.
+    repeat each get the findings; an empty table gives an empty result. Input columns named ``blob`` or ``spans`` come back with
+    ``_in`` appended. A run that is broken off and started again finds what it has committed.
     """
-    given = paths.columns
+    spark, given = paths.sparkSession, paths.columns
     own = paths.select(*[F.col(f"`{c}`").alias(f"in_{i}") for i, c in enumerate(given)])
     text = F.col(f"in_{given.index(text_col)}")
     named = own.withColumn("blob", blob_name(text))
-    fresh = scan_unseen(named.select("blob", text.alias("text")), ledger, rule_version)
-    whole = fresh if ledger is None else ledger.unionByName(fresh)
-    found = whole.where(F.col("rule_version") == rule_version).where(F.size("spans") > 0).select("blob", "spans")
+    scan_unseen(named.select("blob", text.alias("text")), read_ledger(spark, ledger), rule_version).write.mode("append").parquet(ledger)
+    found = read_ledger(spark, ledger).where(F.col("rule_version") == rule_version).where(F.size("spans") > 0).select("blob", "spans")
     out = named.join(found, "blob", "left").withColumn("spans", F.coalesce("spans", F.array().cast(SPAN)))
-    return out.select(*[F.col(f"in_{i}").alias(c) for i, c in enumerate(given)], "blob", "spans"), whole
+    return out.select(*[F.col(f"in_{i}").alias(c) for i, c in enumerate(names_out(given, ["blob", "spans"]))], "blob", "spans")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -9,14 +10,31 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+def names_out(given: list[str], added: list[str]) -> list[str]:
+    """Names under which input columns come back: their own, or with ``_in`` appended (again while that is taken too) where an
+    operator adds a column of that name. Case does not tell names apart."""
+    taken, out = {c.lower() for c in [*given, *added]}, []
+    for c in given:
+        name = c
+        if c.lower() in {a.lower() for a in added}:
+            while name.lower() in taken:
+                name += "_in"
+            taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; a temporary one only where that setting is absent (local tests)."""
+    """The folder named by ``spark.checkpoint.dir``; a temporary one only where that setting is absent and Spark runs in this
+    one process (local tests). On a cluster without the setting this raises: no local folder is shared there."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     held = spark.sparkContext._jsc.sc().getCheckpointDir()
     if held.isDefined():
         return held.get().rstrip("/")
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="linkwalk-"))
     return spark.sparkContext._jsc.sc().getCheckpointDir().get().rstrip("/")
 

@@ -17,24 +17,22 @@ Minimiser plus content hash give 128-bit keys. Reference places always lie earli
 from __future__ import annotations
 
 import hashlib
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .storage import cut, discard, with_uid
-from .words import Hasher, chunks, find_words, mix, texts
+from .storage import cut, discard, names_out, with_uid
+from .words import Hasher, chunks, find_words, kept_by_worker, mix, texts
 
 GRAM = 5
 BLOCK = "key long, content long, uid long, start int, n int, ref_uid long, ref_start int, send boolean"
 _BLOCK = pa.schema([(c, {"long": pa.int64(), "int": pa.int32(), "boolean": pa.bool_()}[t]) for c, t in (x.split() for x in BLOCK.split(", "))])
 
 
-@cache
 def _hashers() -> tuple[Hasher, Hasher]:
-    return Hasher(41), Hasher(42)
+    return kept_by_worker("substring", lambda: (Hasher(41), Hasher(42)))
 
 
 def _hashed(flat: np.ndarray, offsets: np.ndarray, lo: int, hi: int):
@@ -180,7 +178,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     A word goes when a window of ``span`` words covers it whose words also start earlier: in a smaller id, or earlier in the
     same document. Null and empty texts have no words. Rows whose ids are null or repeated are documents of their own, null
     ids last, repeated ones in an order by text hash. An empty table gives an empty one. ``digest`` leaves out the texts and
-    the other input columns but the id.
+    the other input columns but the id. Input columns with the name of an added one come back with ``_in`` appended.
     """
     given = [id_col, text_col] if digest else docs.columns
     own = docs.select(*[F.col(f"`{c}`").alias(f"in_{i}") for i, c in enumerate(given)])
@@ -215,4 +213,5 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
     kinds = ", ".join(f"{c} {t}" for c, t in source.dtypes if c in names)
     out = source.join(hits, "uid", "left").mapInArrow(run, f"{kinds}, {PARSED}")
-    return out.select(*[F.col(f"in_{i}").alias(c) for i, c in enumerate(given) if f"in_{i}" in names], "n_words", "n_removed", "kept_text", "kept_sha256", "factors")
+    named = names_out(given, ["n_words", "n_removed", "kept_text", "kept_sha256", "factors"])
+    return out.select(*[F.col(f"in_{i}").alias(c) for i, c in enumerate(named) if f"in_{i}" in names], "n_words", "n_removed", "kept_text", "kept_sha256", "factors")

@@ -11,24 +11,22 @@ carry a marked feature (fewer than 3, fewer than 6, more).
 from __future__ import annotations
 
 from dataclasses import dataclass, field
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import cut
-from .words import LOWER, Hasher, chunks, texts
+from .storage import cut, names_out
+from .words import LOWER, Hasher, chunks, kept_by_worker, texts
 
 LETTERS = np.zeros(256, bool)
 LETTERS[65:91] = LETTERS[97:123] = LETTERS[128:] = True
 STEPS = (3, 6)
 
 
-@cache
 def _hasher() -> Hasher:
-    return Hasher(11)
+    return kept_by_worker("toxicity", lambda: Hasher(11))
 
 
 def features(column):
@@ -193,7 +191,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
 def score(docs: DataFrame, model: Model, text_col: str = "text", cut_at: float = 0.5, digest: str | None = None) -> DataFrame:
     """Input columns plus ``severity`` (expected grade), ``grade`` (nearest) and ``toxic`` (severity >= cut_at). Null and
     empty texts have no feature and the least severity. Rows are handled one by one. ``digest`` names the one input column
-    to return."""
+    to return; input columns with the name of an added one come back with ``_in`` appended."""
     given = docs.columns
     own = docs.select(*[F.col(f"`{c}`").alias(f"in_{i}") for i, c in enumerate(given)])
     text_at = given.index(text_col)
@@ -211,4 +209,5 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", cut_at: float =
 
     kinds = ", ".join(f"{c} {t}" for c, t in own.dtypes[:-1])
     out = own.mapInArrow(run, f"{kinds}, severity double, grade int, toxic boolean")
-    return out.select(*[F.col(f"in_{i}").alias(given[i]) for i in keep], "severity", "grade", "toxic")
+    names = names_out(given, ["severity", "grade", "toxic"])
+    return out.select(*[F.col(f"in_{i}").alias(names[i]) for i in keep], "severity", "grade", "toxic")

@@ -3,6 +3,8 @@ before each match gives the places."""
 
 from __future__ import annotations
 
+from .pii import AGAINST, CONTEXT
+
 
 def _found(kinds: dict[str, tuple[str, str]]) -> str:
     """``f(doc_id, kind, k, a, b, v)``: confirmed spans; each kind has a pattern and a condition on the value v."""
@@ -15,13 +17,24 @@ s AS (SELECT *, sum(n) OVER (PARTITION BY doc_id, kind ORDER BY i) AS e FROM u),
 f AS (SELECT doc_id, kind, k, (e - n + h)::BIGINT AS a, e::BIGINT AS b, v FROM s WHERE {keep})"""
 
 
-def _listed(kinds: dict[str, tuple[str, str]], base: list[str], order: str) -> str:
+def _listed(kinds: dict[str, tuple[str, str]], base: list[str], order: str, score: str = "") -> str:
     counts = ", ".join(f"count(*) FILTER (WHERE kind = '{k}') AS n_{k}" for k in base)
     names = ", ".join(f"'{k}'" for k in base)
     one = "kind || ':' || a || ':' || b"
-    return f"""WITH {_found(kinds)},
-g AS (SELECT doc_id, {counts}, string_agg({one}, ',' ORDER BY {order}) AS every, string_agg({one}, ',' ORDER BY {order}) FILTER (WHERE kind IN ({names})) AS base FROM f GROUP BY doc_id)
-SELECT d.doc_id, {', '.join(f'coalesce(n_{k}, 0)::BIGINT AS n_{k}' for k in base)}, sha256(coalesce(base, '')) AS base_sha256, coalesce(every, '') AS spans FROM d LEFT JOIN g USING (doc_id)"""
+    more, scores = (", string_agg(score, ',' ORDER BY " + order + ") AS scores", ", coalesce(scores, '') AS scores") if score else ("", "")
+    rated = f", f AS (SELECT *, ({score})::VARCHAR AS score FROM {_NEAR})" if score else ""
+    return f"""WITH {_found(kinds).replace("f AS (", "f0 AS (") if score else _found(kinds)}{rated},
+g AS (SELECT doc_id, {counts}{more}, string_agg({one}, ',' ORDER BY {order}) AS every, string_agg({one}, ',' ORDER BY {order}) FILTER (WHERE kind IN ({names})) AS base FROM f GROUP BY doc_id)
+SELECT d.doc_id, {', '.join(f'coalesce(n_{k}, 0)::BIGINT AS n_{k}' for k in base)}, sha256(coalesce(base, '')) AS base_sha256, coalesce(every, '') AS spans{scores} FROM d LEFT JOIN g USING (doc_id)"""
+
+
+#: Spans with the whole words near them.
+_NEAR = """(SELECT f0.*, list_transform(regexp_extract_all(CASE WHEN a > 40 THEN regexp_replace(substr(t, a - 39, 40), '^[A-Za-z]+', '') ELSE substr(t, 1, a) END || ' ' || CASE WHEN b + 40 < length(t) THEN regexp_replace(substr(t, b + 1, 40), '[A-Za-z]+$', '') ELSE substr(t, b + 1) END, '[A-Za-z]+'), lambda x: lower(x)) AS near FROM f0 JOIN d USING (doc_id))"""
+
+
+def _score(start: int, up: int, down: int, plus: dict[str, list[str]], minus: dict[str, list[str]]) -> str:
+    case = lambda t: "CASE kind " + " ".join(f"WHEN '{k}' THEN list_has_any(near, {w})" for k, w in t.items()) + " END::INTEGER"
+    return f"{start} + {up} * {case(plus)} - {down} * {case(minus)}"
 
 
 _DIGITS = "regexp_replace(v, '[^0-9]', '', 'g')"
@@ -39,6 +52,7 @@ PII_SQL = _listed(
     },
     ["email", "ip", "card", "phone"],
     "k, a",
+    _score(60, 35, 30, CONTEXT, AGAINST),
 )
 
 

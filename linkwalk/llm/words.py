@@ -7,12 +7,27 @@ on bytes equals work on code points. Hashes are polynomials over bytes (or over
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import sys
+import types
+from collections.abc import Callable, Iterator
+from typing import TypeVar
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+T = TypeVar("T")
+
+
+def kept_by_worker(key: str, make: Callable[[], T]) -> T:
+    """A value that outlives the task: a worker process makes it once and later tasks in it find it again. Unlike a cache
+    decorator, which travels to executors by name and so needs the repository there, this travels by value."""
+    held = sys.modules.setdefault("linkwalk_kept", types.ModuleType("linkwalk_kept"))
+    if not hasattr(held, key):
+        setattr(held, key, make())
+    return getattr(held, key)
+
+
 SEPARATOR = np.zeros(256, bool)
 SEPARATOR[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 LOWER = np.arange(256, dtype=np.uint8)

@@ -89,18 +89,42 @@ def private_of(text):
 @pytest.mark.parametrize("which", ["docs", "odd"])
 def test_secrets(spark, which, request):
     df = request.getfixturevalue(which)
-    found, ledger = secret_scan.scan_secrets(df)
     from linkwalk.llm.spans import by_start, listed
 
+    path = secret_scan.new_ledger(spark)
+    found = secret_scan.scan_secrets(df, path)
+
     base = by_start(F.filter("spans", lambda s: s["kind"].isin(secret_scan.BASE)), secret_scan.BASE)
     got = Counter((r["text"] or "", r["h"]) for r in found.select("text", F.sha2(listed(base).cast("binary"), 256).alias("h")).collect())
     assert got == Counter((t, secrets_of(t)) for _, t in pairs(df))
+    ledger = secret_scan.read_ledger(spark, path)
     assert ledger.count() == len({t for _, t in pairs(df)})
     again = secret_scan.scan_unseen(df.select(secret_scan.blob_name(F.col("text")).alias("blob"), "text"), ledger)
     assert again.count() == 0
     assert secret_scan.scan_unseen(df.select(secret_scan.blob_name(F.col("text")).alias("blob"), "text"), ledger, "next").count() == ledger.count()
 
 
+def test_ledger_scans_only_what_it_lacks(spark):
+    path = secret_scan.new_ledger(spark)
+    old = [("a", "token = abcdefgh"), ("b", "nothing"), ("c", None)]
+    new = [*old, ("d", "token = abcdefgh"), ("a", "secret: zyxwvuts")]
+    of = lambda rows: spark.createDataFrame(rows, "path string, text string")
+    assert secret_scan.read_ledger(spark, path).count() == 0
+    first = secret_scan.scan_secrets(of(old), path)
+    assert {r["path"]: len(r["spans"]) for r in first.collect()} == {"a": 1, "b": 0, "c": 0}
+    assert secret_scan.read_ledger(spark, path).count() == 3
+    # What is in the ledger is taken from it: a marked row shows that its blob was not scanned again.
+    mark = secret_scan.read_ledger(spark, path).where(F.size("spans") > 0).select("blob").first()["blob"]
+    got = Counter((r["path"], r["blob"] == mark, len(r["spans"])) for r in secret_scan.scan_secrets(of(new), path).collect())
+    assert got == Counter([("a", True, 1), ("b", False, 0), ("c", False, 0), ("d", True, 1), ("a", False, 1)])
+    assert secret_scan.read_ledger(spark, path).count() == 4
+    secret_scan.scan_secrets(of(new), path)
+    assert secret_scan.read_ledger(spark, path).count() == 4
+    secret_scan.scan_secrets(of(new), path, rule_version="next")
+    assert secret_scan.read_ledger(spark, path).groupBy("rule_version").count().count() == 2
+    assert secret_scan.scan_secrets(of([]), path).count() == 0
+
+
 @pytest.mark.parametrize("which", ["docs", "odd"])
 def test_pii(which, request):
     from linkwalk.llm.spans import listed
@@ -122,6 +146,34 @@ def test_pii_values_and_redaction(spark):
     assert [len(r["pii"]) for r in pii.find_pii(long_).collect()] == [0, 0, 0, 0]
 
 
+def test_context_decides_what_is_masked(spark):
+    texts = ["version 10.20.30.40 of it", "the server version 10.20.30.40", "a ship 10.20.30.40 hotel", "ip 10.20.30.40", "w" * 30 + "x ip 1.2.3.4"]
+    rows = pii.find_pii(spark.createDataFrame([(t,) for t in texts], "text string")).select("text", "pii", pii.redact(F.col("text"), F.col("pii")).alias("r")).collect()
+    by = {r["text"]: (r["pii"][0]["score"], r["r"]) for r in rows}
+    assert [by[t][0] for t in texts] == [0.3, 0.65, 0.6, 0.95, 0.95]
+    assert by[texts[0]][1] == texts[0] and by[texts[2]][1] == "a ship <IP> hotel"
+    # A word that the edge of the context cuts does not count.
+    cut = "xship " + "." * 38 + "1.2.3.4"
+    assert pii.find_pii(spark.createDataFrame([(cut,)], "text string")).first()["pii"][0]["score"] == 0.6
+    over = spark.createDataFrame([("+4111111111111111 1.2.3.4.5.6.7.8 ß😀a@b.cd",)], "text string")
+    assert pii.find_pii(over).select(pii.redact(F.col("text"), F.col("pii")).alias("r")).first()["r"].endswith("ß😀<EMAIL>")
+
+
+def test_many_matches_stay_cheap(spark):
+    import time
+
+    n = 200_000
+    rows = [(1, "12, " * n + "visa 4111 1111 1111 1111 end"), (2, "a@b.cd 10.0.0.1; " * (n // 4))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    began = time.time()
+    got = {r["doc_id"]: r for r in pii.find_pii(df).select("doc_id", F.size("pii").alias("n"), F.element_at("pii", -1)["end"].alias("e"), pii.redact(F.col("text"), F.col("pii")).alias("r")).collect()}
+    assert time.time() - began < 30
+    assert got[1]["n"] == 1 and got[1]["r"].endswith("12, visa <CARD> end") and got[2]["n"] == n // 2 and got[2]["r"] == "<EMAIL> <IP>; " * (n // 4)
+    began = time.time()
+    found = secret_scan.scan_secrets(spark.createDataFrame([("token = abcdefgh12 " * n,)], "text string"), secret_scan.new_ledger(spark)).select(F.size("spans").alias("n"), F.element_at("spans", -1)["end"].alias("e")).first()
+    assert time.time() - began < 30 and (found["n"], found["e"]) == (n, 19 * n - 1)
+
+
 def removed(rows):
     seen, out = set(), []
     for _, text in rows:
@@ -220,7 +272,8 @@ def test_near_duplicates_dense_group(spark, monkeypatch, side):
 
 
 def test_near_duplicates_odd_rows(odd):
-    out = neardup.near_duplicates(odd.drop("n_shingles"))
+    out = neardup.near_duplicates(odd)
+    assert out.columns == ["doc_id", "text", "lang", "source", "n_chars", "uid", "n_shingles_in", "n_shingles", "component_id", "kept"]
     assert out.count() == len(ODD)
     by = defaultdict(list)
     for r in out.collect():
@@ -411,12 +464,64 @@ def test_fingerprints_follow_order_and_repeats(spark):
     twice = base + " " + base
     texts = [base, moved, twice, base.replace("w7 ", "v7 "), "", None, "  ", "a", "ab " * 3000]
     df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "i int, text string")
-    fp = [r["f"].split(",") for r in df.select("i", fingerprints.fingerprint(F.col("text")).alias("f")).orderBy("i").collect()]
+    fp = [r["fingerprint"].split(",") for r in fingerprints.fingerprints(df, "i").orderBy("i").collect()]
     like = lambda a, b: sum(x == y for x, y in zip(fp[a], fp[b], strict=True)) / 32
     assert like(0, 3) > 0.85 > like(0, 1) and like(0, 2) < 0.9
     assert fp[4] == fp[5] == fp[6] != fp[7]
 
 
+def shingled(text):
+    """Units and occurrence-numbered k-mers with their places, by hand."""
+    out = []
+    for w in re.findall(r"[^ \t\n\x0b\f\r]+", text):
+        out += [w] if len(w) <= fingerprints.LONG else [w[i : i + fingerprints.GRAM] for i in range(len(w) - fingerprints.GRAM + 1)]
+    seen, kmers = Counter(), []
+    for i in range(max(1, len(out) - 1)):
+        k = tuple(out[i : i + 2])
+        kmers.append((k, seen[k]))
+        seen[k] += 1
+    return kmers
+
+
+def test_fingerprints_against_brute_force(spark):
+    """The picks are the ends of each order over all k-mers: hashes come from Spark, the choice is made here."""
+    r = np.random.default_rng(5)
+    texts = [" ".join(r.choice(["ab", "cde", "f", "ghij", "k" * 40, "lm nop"], r.integers(1, 120))) for _ in range(12)] + ["", "one", "q" * 300, "é" * 17 + " 😀" * 30]
+    got = {x["i"]: x["fingerprint"] for x in fingerprints.fingerprints(spark.createDataFrame(list(enumerate(texts)), "i int, text string"), "i").collect()}
+    rows = []
+    for i, t in enumerate(texts):
+        for place, (k, o) in enumerate(shingled(t), 1):
+            k = (*k, None, None)[:2]
+            rows.append((i, place, *k, o))
+    df = spark.createDataFrame(rows, "i int, place long, a string, b string, o int")
+    top = lambda c: F.shiftleft(F.shiftrightunsigned(c, fingerprints.PLACE + 1), fingerprints.PLACE)
+    kmer = F.shiftright(top(F.xxhash64(F.shiftright(top(F.xxhash64("a", "b")), fingerprints.PLACE), "o")), fingerprints.PLACE)
+    ranks = df.select("i", "place", *[F.shiftright(F.xxhash64(kmer, F.lit(j)), fingerprints.PLACE).alias(f"r{j}") for j in range(fingerprints.SKETCHES)]).collect()
+    pairs_ = []
+    for i in range(len(texts)):
+        own = [x for x in ranks if x["i"] == i]
+        for j in range(fingerprints.SKETCHES):
+            low, high = min((x[f"r{j}"], x["place"]) for x in own), max((x[f"r{j}"], x["place"]) for x in own)
+            first, last = (low, high) if low[1] <= high[1] else (high, low)
+            pairs_.append((i, j, first[0], last[0], low[1] <= high[1]))
+    want = spark.createDataFrame(pairs_, "i int, j int, x long, y long, up boolean")
+    h = F.when(F.col("up"), F.xxhash64("j", "x", "y")).otherwise(F.xxhash64("j", "x", "y", F.lit(1)))
+    made = defaultdict(dict)
+    for x in want.select("i", "j", F.substring(F.lower(F.lpad(F.hex(h), 16, "0")), 1, 8).alias("t")).collect():
+        made[x["i"]][x["j"]] = x["t"]
+    assert got == {i: ",".join(made[i][j] for j in range(fingerprints.SKETCHES)) for i in range(len(texts))}
+
+
+def test_fingerprints_bear_shifts_in_long_runs(spark):
+    r = np.random.default_rng(9)
+    run = "".join(r.choice(list("abcdefghij0123456789"), 4000))
+    other = "".join(r.choice(list("abcdefghij0123456789"), 4000))
+    df = spark.createDataFrame(list(enumerate([run, "x" + run, run[:2000] + "y" + run[2000:], other])), "i int, text string")
+    fp = [x["fingerprint"].split(",") for x in fingerprints.fingerprints(df, "i").orderBy("i").collect()]
+    like = lambda a, b: sum(x == y for x, y in zip(fp[a], fp[b], strict=True)) / 32
+    assert like(0, 1) > 0.9 and like(0, 2) > 0.9 and like(0, 3) < 0.1
+
+
 def test_fingerprints_odd_rows(odd):
     assert fingerprints.edit_probe(odd).count() == len(ODD)
     assert fingerprints.edit_probe(odd.limit(0)).count() == 0
