@@ -2,14 +2,15 @@
 
 A configuration is a multiset of lengths that fits one sequence. Multiplicative weights give each length a price; in each
 round the priciest configurations that the counts allow, found by knapsack dynamic programming over the capacity, are used a
-little, in whole numbers, and prices of the lengths that lag behind grow. Rounds end when all but ``GAP`` of the tokens are
-placed; best fit, longest first, places that remainder on the histogram. The histogram has at most one row for each length,
-whatever the size of the corpus.
+little, in whole numbers, and prices of the lengths that lag behind grow. Rounds end when every token is placed, so the plan is
+the rounded program and nothing else. Prices scaled by the best configuration's are a dual solution, which bounds from below
+what any packing needs. The histogram has at most one row for each length, whatever the size of the corpus.
 """
 
 from __future__ import annotations
 
 import base64
+import json
 import re
 import zlib
 
@@ -21,19 +22,21 @@ from pyspark.sql import functions as F
 from .storage import cut
 from .words import kept_by_worker
 
-CAPACITY, GAP = 1024, 0.01
+CAPACITY = 1024
+#: Rounds between two looks at the dual bound.
+LOOK = 8
 LONG_GAP = re.compile(r"\s{5000}|[^\W\d_]{20000}|[^\w\s]{20000}|\d{20000}")
 
 
-def _encoder(ranks: str, pattern: str):
+def _encoder(ranks: str, pattern: str, special: dict[str, int]):
     import tiktoken
 
     from .bpe import Encoder
 
     with open(ranks, "rb") as f:
         table = {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
-    end = "<|endoftext|>"
-    fast = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=table, special_tokens={end: len(table)})
+    fast = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=table, special_tokens=special)
+    marks = re.compile("|".join(re.escape(x) for x in sorted(special, key=len, reverse=True)) or "(?!)")
     slow: list = []
 
     def encode(text: str) -> list[int]:
@@ -41,23 +44,31 @@ def _encoder(ranks: str, pattern: str):
             # Very long runs go through the vectorised encoder, whose time stays near linear on them.
             if not slow:
                 slow.append(Encoder(ranks))
-            parts = text.split(end)
-            out = slow[0].ids(parts[0])
-            for part in parts[1:]:
-                out = out + [len(table)] + slow[0].ids(part)
-            return out
-        return fast.encode(text, allowed_special={end})
+            out, at = [], 0
+            for m in marks.finditer(text):
+                out += [*slow[0].ids(text[at : m.start()]), special[m[0]]]
+                at = m.end()
+            return out + slow[0].ids(text[at:])
+        return fast.encode(text, allowed_special=set(special), disallowed_special=())
 
     return encode
 
 
-def pieces(docs: DataFrame, ranks: str, pattern: str, id_col: str = "doc_id", text_col: str = "text", end_id: int = 2, capacity: int = CAPACITY) -> DataFrame:
+def special_tokens(tokenizer: str) -> dict[str, int]:
+    """The special tokens that a tokenizer's JSON file names; read by the driver."""
+    with open(tokenizer, encoding="utf-8") as f:
+        return {x["content"]: x["id"] for x in json.load(f)["added_tokens"]}
+
+
+def pieces(docs: DataFrame, ranks: str, pattern: str, special: dict[str, int] | None = None, id_col: str = "doc_id", text_col: str = "text", end_id: int = 2, capacity: int = CAPACITY) -> DataFrame:
     """``(doc_id, piece, start, length, ids_crc32)``: each document's ids and ``end_id``; one longer than ``capacity`` is cut
-    so that all pieces but the first are full. Null counts as empty, which is one piece of one id."""
+    so that all pieces but the first are full. ``special`` maps strings that are one token to their ids. Null counts as empty,
+    which is one piece of one id. Rows with null or repeated ids are documents of their own; an empty table gives an empty one."""
     schema = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())])
+    special = special or {}
 
     def run(batches):
-        encode = kept_by_worker(f"packing:{ranks}", lambda: _encoder(ranks, pattern))
+        encode = kept_by_worker(f"packing:{ranks}:{sorted(special)}", lambda: _encoder(ranks, pattern, special))
         for batch in batches:
             out = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
@@ -97,17 +108,38 @@ def price(weights: np.ndarray, lengths: np.ndarray, most: np.ndarray, capacity:
     return np.minimum(out, most)
 
 
-def cover(lengths: np.ndarray, counts: np.ndarray, capacity: int, gap: float = GAP, step: float = 0.25, lean: float = 0.5, rate: float = 0.02) -> tuple[list[tuple[list[int], int]], np.ndarray]:
-    """``(configurations with their whole use, what is left of each length)``, by multiplicative weights.
+def dual_bound(weights: np.ndarray, lengths: np.ndarray, counts: np.ndarray, capacity: int) -> float:
+    """Sequences that the program needs at least: the pieces' worth over that of the best configuration within the counts."""
+    worth = np.zeros(capacity + 1)
+    for length, n, w in zip(lengths.tolist(), counts.tolist(), weights.tolist(), strict=True):
+        n, copies = min(n, capacity // length), 1
+        while n > 0:
+            k = min(copies, n)
+            worth[length * k :] = np.maximum(worth[length * k :], worth[: capacity + 1 - length * k] + k * w)
+            n -= copies
+            copies *= 2
+    return float((weights * counts).sum() / worth[capacity])
+
+
+def cover(lengths: np.ndarray, counts: np.ndarray, capacity: int, step: float = 0.25, lean: float = 2.0, rate: float = 0.02) -> tuple[list[tuple[list[int], int]], float]:
+    """``(configurations with their whole use, the best dual bound met)``, by multiplicative weights.
 
     Each round prices a configuration for every length that is left, within what is left, and uses those that are full up to
     a tolerance, by at most ``step`` of a length's count; uses are whole, so they are rounded as they are made. Then prices of
-    lengths that lag behind grow. The tolerance doubles when no configuration meets it. Rounds go on until at most ``gap`` of
-    all tokens are left. Prices start above proportion for long pieces (``lean``), so that short ones last as filling.
+    lengths that lag behind grow. The tolerance doubles when no configuration meets it. Prices start above proportion for long
+    pieces (``lean``), so that short ones last as filling.
     """
-    left, total, out = counts.copy(), int((lengths * counts).sum()), []
+    left, out, rounds = counts.copy(), [], 0
     weights, slack = lengths / capacity * (1 + lean * lengths / capacity), 0.001
-    while (lengths * left).sum() > gap * total:
+    # Dual solutions known beforehand: for a threshold, pieces that leave less than it count 1, shorter ones than it nothing,
+    # the others their share of a sequence.
+    near = lengths[lengths * 2 <= capacity]
+    share = lambda t: np.where(lengths > capacity - t, 1.0, np.where(lengths < t, 0.0, lengths / capacity))
+    bound = max(float((counts * share(t)).sum()) for t in [0, *near.tolist(), capacity // 2])
+    while left.any():
+        if rounds % LOOK == 0:
+            bound = max(bound, dual_bound(weights, lengths, counts, capacity))
+        rounds += 1
         live = np.flatnonzero(left > 0)
         configurations = price(weights[live], lengths[live], left[live], capacity)
         waste = 1 - configurations @ lengths[live] / capacity
@@ -124,11 +156,11 @@ def cover(lengths: np.ndarray, counts: np.ndarray, capacity: int, gap: float = G
             slack = max(2 * slack, float(waste.min()) + 1e-12)
         share = left[live] / counts[live]
         weights[live] *= np.exp(rate * (share - share.mean()))
-    return out, left
+    return out, bound
 
 
 def best_fit(lengths: np.ndarray, counts: np.ndarray, capacity: int) -> list[tuple[list[int], int]]:
-    """Best fit, longest first, on a histogram: bins of equal content are one class with a count."""
+    """The plain rule to compare with: best fit, longest first, on a histogram. Bins of equal content are one class with a count."""
     classes: dict[int, dict[tuple[tuple[int, int], ...], int]] = {}
     free = np.zeros(capacity + 1, bool)
 
@@ -158,25 +190,26 @@ def best_fit(lengths: np.ndarray, counts: np.ndarray, capacity: int) -> list[tup
     return [([x for x, k in content for _ in range(k)], n) for held in classes.values() for content, n in held.items()]
 
 
-def plan_with_report(histogram: dict[int, int], capacity: int = CAPACITY) -> tuple[list[tuple[list[int], int]], dict]:
-    """The plan, and ``pieces``, ``by_program`` (pieces that configurations place), ``sequences``, ``best_fit_alone`` (what best fit
-    alone would use) and ``at_least`` (all tokens over the capacity). Best fit alone is taken where it needs fewer
-    sequences; ``by_program`` is 0 then."""
+def _arrays(histogram: dict[int, int]) -> tuple[np.ndarray, np.ndarray]:
     keep = sorted(x for x, n in histogram.items() if n > 0)
-    if not keep:
-        return [], {"pieces": 0, "by_program": 0, "sequences": 0, "best_fit_alone": 0, "at_least": 0}
-    lengths, counts = np.array(keep), np.array([histogram[x] for x in keep], np.int64)
-    out, left = cover(lengths, counts, capacity)
-    out += best_fit(lengths[left > 0], left[left > 0], capacity)
-    plain = best_fit(lengths, counts, capacity)
-    used, alone = sum(n for _, n in out), sum(n for _, n in plain)
-    report = {"pieces": int(counts.sum()), "by_program": int((counts - left).sum()) if used <= alone else 0, "sequences": min(used, alone), "best_fit_alone": alone, "at_least": -(-int((lengths * counts).sum()) // capacity)}
-    return (out if used <= alone else plain), report
+    return np.array(keep, np.int64), np.array([histogram[x] for x in keep], np.int64)
 
 
 def plan(histogram: dict[int, int], capacity: int = CAPACITY) -> list[tuple[list[int], int]]:
     """``(lengths in one sequence, number of such sequences)`` that place the whole histogram."""
-    return plan_with_report(histogram, capacity)[0]
+    lengths, counts = _arrays(histogram)
+    return cover(lengths, counts, capacity)[0] if len(lengths) else []
+
+
+def report(histogram: dict[int, int], capacity: int = CAPACITY) -> dict[str, int]:
+    """``pieces``, ``sequences`` of the plan, ``at_least`` (what the dual bound says that any packing needs), and
+    ``best_fit`` (what the plain rule needs)."""
+    lengths, counts = _arrays(histogram)
+    if not len(lengths):
+        return {"pieces": 0, "sequences": 0, "at_least": 0, "best_fit": 0}
+    out, bound = cover(lengths, counts, capacity)
+    used = lambda plan: sum(n for _, n in plan)
+    return {"pieces": int(counts.sum()), "sequences": used(out), "at_least": int(np.ceil(bound - 1e-6)), "best_fit": used(best_fit(lengths, counts, capacity))}
 
 
 def pack(parts: DataFrame, capacity: int = CAPACITY) -> DataFrame:

@@ -361,7 +361,7 @@ def test_packing(spark, sf, docs, odd):
     assert n <= -(-total // 1024) * 1.02 + 1
     extra = spark.createDataFrame([(20, "a <|endoftext|> b" + " " * 6000 + "x")], "doc_id long, text string").unionByName(odd.select("doc_id", "text"))
     ranks = public_tokenizers.path("byte_bpe_50k.tiktoken")
-    check_packing(packing.pack(packing.pieces(extra, ranks, public_tokenizers.PATTERN)).collect(), pairs(extra))
+    check_packing(packing.pack(packing.pieces(extra, ranks, public_tokenizers.PATTERN, packing.special_tokens(public_tokenizers.path("byte_bpe_50k.json")))).collect(), pairs(extra))
 
 
 def test_plan_places_all():
@@ -377,27 +377,63 @@ def test_plan_places_all():
     assert sum(n for _, n in packing.plan({600: 5, 424: 5})) == 5
 
 
-def test_plan_covers_by_configurations():
+def least_bins(pieces, capacity):
+    """The least number of bins, by trying all ways."""
+    best = [len(pieces)]
+
+    def go(i, rooms):
+        if len(rooms) >= best[0]:
+            return
+        if i == len(pieces):
+            best[0] = len(rooms)
+            return
+        for j, r in enumerate(rooms):
+            if r >= pieces[i] and r not in rooms[:j]:
+                go(i + 1, [*rooms[:j], r - pieces[i], *rooms[j + 1 :]])
+        go(i + 1, [*rooms, capacity - pieces[i]])
+
+    go(0, [])
+    return best[0]
+
+
+def test_plan_against_all_ways():
+    r = np.random.default_rng(21)
+    for _ in range(60):
+        pieces = sorted(r.integers(1, 21, r.integers(1, 10)).tolist(), reverse=True)
+        got = packing.report(Counter(pieces), 20)
+        least = least_bins(pieces, 20)
+        assert got["at_least"] <= least <= got["sequences"] <= least + 1
+        assert sum(n for _, n in packing.plan(Counter(pieces), 20)) == got["sequences"]
+
+
+def test_plan_is_near_the_dual_bound():
     r = np.random.default_rng(11)
     wide = {n: int(r.integers(20, 80)) for n in range(1, 1025)}
     thirds = {341: 1000, 342: 900, 512: 50, 683: 700, 700: 200, 30: 50}
-    for histogram in (wide, {n: 50 * k for n, k in wide.items()}, thirds):
-        plan, report = packing.plan_with_report(histogram)
+    long_ = {700: 10, 600: 20, 513: 5, 100: 1}
+    for histogram, most in ((wide, 1.01), ({n: 50_000 * k for n, k in wide.items()}, 1.01), (thirds, 1.15), (long_, 1.0)):
         used = Counter()
-        for content, n in plan:
+        for content, n in packing.plan(histogram):
             assert sum(content) <= 1024 and n > 0
             for x in content:
                 used[x] += n
         assert used == Counter(histogram)
-        assert sum(n for _, n in plan) == report["sequences"] <= report["best_fit_alone"]
-        lengths, counts = np.array(sorted(histogram)), np.array([histogram[x] for x in sorted(histogram)])
-        _, left = packing.cover(lengths, counts, 1024)
-        assert (lengths * left).sum() <= packing.GAP * (lengths * counts).sum()
-        assert (counts - left).sum() > 0.9 * counts.sum() and report["by_program"] in (0, (counts - left).sum())
-    assert sum(n for _, n in packing.plan(thirds)) <= 1450  # best fit alone: 1475
+        got = packing.report(histogram)
+        assert got["at_least"] <= got["sequences"] <= most * got["at_least"] and got["sequences"] <= got["best_fit"]
+    # The dual bound sees what the sum of tokens does not: no two of these fit together.
+    assert packing.report(long_)["at_least"] == 35
     assert packing.price(np.array([0.5, 0.1]), np.array([100, 300]), np.array([2, 1]), 1024).tolist() == [[2, 1], [2, 1]]
 
 
+@pytest.mark.parametrize("size", ["sf0.001", "sf0.01", "sf0.1"])
+def test_plan_on_the_tables(spark, size):
+    path = public_tokenizers.path("byte_bpe_50k.tiktoken")
+    docs = spark.read.parquet(f"/root/testdata/{size}/documents.parquet")
+    parts = packing.pieces(docs, path, public_tokenizers.PATTERN)
+    got = packing.report({r["length"]: r["count"] for r in parts.groupBy("length").count().collect()})
+    assert got["sequences"] <= 1.01 * got["at_least"] and got["sequences"] <= got["best_fit"]
+
+
 def test_sharding(spark, docs, odd):
     rows = sharding.shard_documents(docs).collect()
     texts = dict(pairs(docs))
