@@ -4,15 +4,15 @@
    from k-means on a bounded sample; every vector is indexed. A shard that outgrows ``CAP`` is cut into slices, and each
    pair of slices becomes a unit of work, so no task holds more than two slices.
 2. In each unit every vector gets its nearest candidates, and robust pruning keeps those that no kept one lies closer to by
-   the factor ``ALPHA``; reverse edges are added and pruned again. Adjacency lists of all units are united by vector.
-3. Each unit searches its part of the united graph: every vector is a query, starting at the unit's medoid and at its own
-   node; a beam walks towards it, then the search expands through every node in range until nothing new is in range.
+   the factor ``ALPHA``; places left free go to the nearest pruned ones, without which a dense group around one centre becomes
+   a star that search cannot walk. Reverse edges are added and pruned again. Adjacency lists of all units are united by vector.
+3. Each unit searches its part of the united graph: every vector is a query, and starts at the unit's medoids, never at its
+   own node; a beam walks towards it, then the search expands through every node in range until nothing new is in range.
 4. Pairs found are verified in double precision. A pair that shares several shards counts in the least of them, so counts
-   add up without listing pairs; units that share a pair compare it exactly, so all of them find it. Each unit sends a
-   spanning forest of its links, from which components follow.
+   add up without listing pairs. Each unit sends a spanning forest of its links, from which components follow.
 5. Recall is audited against brute force for a bounded sample of queries, as the lower of the share of links found and the mean
    share over queries; while it is below the target, beam and overlap double and the search runs again. Where the widest
-   search falls short too, all rows of a label are compared exactly, in pairs of slices.
+   search falls short too, all rows of a label are compared exactly, in pairs of slices, and the log says so.
 
 Equal vectors of a label are one node with a multiplicity.
 """
@@ -29,22 +29,28 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .storage import cut, with_uid
 
-CAP, DEGREE, CANDIDATES, ALPHA, BEAM, OVERLAP = 1024, 16, 48, 1.2, 24, 4
-SAMPLE, CENTRES, AUDIT = 40_000, 4096, 200
+CAP, DEGREE, CANDIDATES, ALPHA, BEAM, OVERLAP = 1024, 16, 48, 1.2, 48, 4
+SAMPLE, CENTRES, AUDIT = 40_000, 16_384, 200
 #: The widest search; what falls short with it is compared exactly.
 MOST_OVERLAP = 24
 log = logging.getLogger(__name__)
 
 
 def robust_prune(x: np.ndarray, own: np.ndarray, cand: np.ndarray, degree: int = DEGREE, alpha: float = ALPHA) -> np.ndarray:
-    """For each row of ``cand`` (node numbers, -1 for none), at most ``degree`` kept neighbours, -1 filled."""
-    n, m = cand.shape
+    """For each row of ``cand`` (node numbers, -1 for none, repeats allowed), at most ``degree`` neighbours, -1 filled: first
+    those that robust pruning keeps, then the nearest of the others."""
+    n, _ = cand.shape
     out = np.full((n, degree), -1, np.int64)
     for lo in range(0, n, 256):
         c = cand[lo : lo + 256]
         rows = np.arange(len(c))
         d = 2 - 2 * np.einsum("ij,ikj->ik", x[own[lo : lo + 256]], x[c])
-        d[(c < 0) | (c == own[lo : lo + 256, None])] = np.inf
+        order = np.argsort(c, axis=1, kind="stable")
+        again = np.zeros(c.shape, bool)
+        again[:, 1:] = np.diff(np.take_along_axis(c, order, 1), axis=1) == 0
+        np.put_along_axis(again, order, again.copy(), 1)
+        d[(c < 0) | (c == own[lo : lo + 256, None]) | again] = np.inf
+        rest = d.copy()
         for k in range(degree):
             best = d.argmin(axis=1)
             live = np.isfinite(d[rows, best])
@@ -54,7 +60,12 @@ def robust_prune(x: np.ndarray, own: np.ndarray, cand: np.ndarray, degree: int =
             out[lo : lo + len(c), k] = pick
             far = 2 - 2 * np.einsum("ij,ikj->ik", x[np.maximum(pick, 0)], x[c])
             d[live] = np.where((alpha * np.maximum(far, 0) <= d)[live], np.inf, d[live])
-            d[rows[live], best[live]] = np.inf
+            d[rows[live], best[live]] = rest[rows[live], best[live]] = np.inf
+        for k in range(degree):
+            best = rest.argmin(axis=1)
+            free = (out[lo : lo + len(c), k] < 0) & np.isfinite(rest[rows, best])
+            out[lo + rows[free], k] = c[rows[free], best[free]]
+            rest[rows[free], best[free]] = np.inf
     return out
 
 
@@ -85,8 +96,15 @@ def build(x: np.ndarray) -> np.ndarray:
     return robust_prune(x, np.arange(n), np.concatenate([first, back], 1))
 
 
-def search(x: np.ndarray, graph: np.ndarray, medoid: int, least: float, beam: int, slack: float = 0.05) -> np.ndarray:
-    """Square matrix of pairs (query, node) found with cosine >= ``least``; every node is a query."""
+def medoids(x: np.ndarray, parts: int = 8) -> np.ndarray:
+    """The medoid of all vectors, and those of ``parts`` parts of them: where searches start."""
+    centres = np.vstack([x.mean(axis=0), k_means(x, min(parts, len(x)), 3)])
+    return np.unique((x @ centres.T).argmax(axis=0))
+
+
+def search(x: np.ndarray, graph: np.ndarray, starts: np.ndarray, least: float, beam: int, slack: float = 0.05) -> np.ndarray:
+    """Square matrix of pairs (query, node) found with cosine >= ``least``; every node is a query, from ``starts`` on."""
+    starts = starts[:beam]
     n = len(x)
     found = np.zeros((n, n), bool)
     for lo in range(0, n, 256):
@@ -95,12 +113,10 @@ def search(x: np.ndarray, graph: np.ndarray, medoid: int, least: float, beam: in
         seen = np.zeros((len(q), n), bool)
         ids = np.full((len(q), beam), -1, np.int64)
         sims, open_ = np.full((len(q), beam), -np.inf), np.zeros((len(q), beam), bool)
-        ids[:, 0], sims[:, 0], open_[:, 0] = medoid, x[q] @ x[medoid], True
-        own = q != medoid
-        ids[own, 1], sims[own, 1], open_[own, 1] = q[own], 1.0, True
-        seen[:, medoid] = True
-        seen[rows, q] = True
-        for _ in range(4 * beam):
+        k = len(starts)
+        ids[:, :k], sims[:, :k], open_[:, :k] = starts, x[q] @ x[starts].T, True
+        seen[:, starts] = True
+        while True:
             best = np.where(open_, sims, -np.inf).argmax(axis=1)
             live = open_[rows, best]
             if not live.any():
@@ -185,12 +201,13 @@ def _nodes(vectors: DataFrame, label_col: str, vector_col: str) -> DataFrame:
 
 def _centres(reps: DataFrame, overlap: int) -> dict[tuple[str, int], np.ndarray]:
     """Centres by (label, width of the vectors) from a sample: as many as keep a shard, with ``overlap`` shards for each vector,
-    to about three quarters of ``CAP``; at most ``CENTRES``."""
+    to about three quarters of ``CAP``; at most ``CENTRES``. The sample holds four vectors for each centre, ``SAMPLE`` at least."""
     held = reps.groupBy("label", F.octet_length("x").alias("w")).agg(F.count(F.lit(1)).alias("n")).collect()
     total = sum(r["n"] for r in held)
-    bar = min(1.0, SAMPLE / max(1, total))
+    sample = max(SAMPLE, 4 * min(CENTRES, round(total * overlap / (0.75 * CAP))))
+    bar = min(1.0, sample / max(1, total))
     lot = F.pmod(F.xxhash64("rid", F.lit(10)), F.lit(1_000_000)) / 1_000_000.0
-    got = reps.where(lot < bar).select("label", "x").limit(2 * SAMPLE).toArrow()
+    got = reps.where(lot < bar).select("label", "x").limit(2 * sample).toArrow()
     by: dict[tuple[str, int], list[bytes]] = {}
     for label, x in zip(got["label"].to_pylist(), got["x"].to_pylist(), strict=True):
         by.setdefault((label, len(x)), []).append(x)
@@ -260,22 +277,7 @@ def _links(units: DataFrame, graph: DataFrame | None, least: float, beam: int) -
         counts = np.bincount(row, minlength=len(rid))
         adjacency = np.full((len(rid), max(1, int(counts.max(initial=0)))), -1, np.int64)
         adjacency[row, np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)] = at
-        medoid = int((x @ x.mean(axis=0)).argmax())
-        found = search(x, adjacency, medoid, least, beam)
-        # Pairs that other units hold too are compared exactly: the unit that counts a pair misses none that another finds.
-        lists = table["shards"].combine_chunks().to_pylist()
-        numbers = {s: i for i, s in enumerate(sorted({s for held in lists for s in held}))}
-        member = np.zeros((len(rid), len(numbers)), np.float32)
-        for i, held in enumerate(lists):
-            member[i, [numbers[s] for s in held]] = 1
-        slices, sliced = table["slice"].to_numpy(), table["k"][0].as_py() > 1
-        for lo in range(0, len(rid), 256):
-            several = member[lo : lo + 256] @ member.T > 1
-            if sliced:
-                several |= slices[lo : lo + 256, None] == slices
-            found[lo : lo + 256] |= several & (x[lo : lo + 256] @ x.T >= least)
-        np.fill_diagonal(found, False)
-        return found | found.T
+        return search(x, adjacency, medoids(x), least, beam)
 
     def compared(x: np.ndarray) -> np.ndarray:
         found = np.vstack([x[lo : lo + 256] @ x.T >= least for lo in range(0, len(x), 256)])
@@ -350,7 +352,8 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", label_col: str = "l
     Rows link when labels are equal and not null, vectors have one width, and the cosine in double precision is at least
     ``least``. Vectors that are null, empty, zero or hold null or non-finite components link with nothing. Rows with null or
     repeated ids are rows of their own; a component's id is the id of its first row, nulls last. An empty table gives an
-    empty one. The audited recall is logged.
+    empty one. The audited recall is logged. Repeated ids are told apart by vector only in the order of rows. Where the graph
+    search falls short of ``target`` at its widest, all pairs of a label are compared; if the audit fails even then, this raises.
     """
     own = vectors.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{label_col}`").alias("label_"), F.col(f"`{vector_col}`").alias("v"))
     source = with_uid(own, "id", "v")
@@ -365,7 +368,7 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", label_col: str = "l
         links = cut(_links(units, None if exact else cut(_graph(units)), least, beam))
         counts = links.groupBy("rid").agg(F.sum("links").alias("links"))
         recall = audit_recall(reps, counts, least)
-        log.info("near_vectors: audited recall %.4f (%s)", recall, "all pairs" if exact else f"overlap {overlap}")
+        (log.warning if exact else log.info)("near_vectors: audited recall %.4f (%s)", recall, "all pairs" if exact else f"overlap {overlap}, beam {beam}")
         if recall >= target:
             break
         if exact:
