@@ -24,7 +24,7 @@ def connected_components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """``edges(u, v)`` of longs → ``(node, component)``: the least node reachable, for each node on an edge.
 
     Null ends and loops are ignored; repeated edges count once; no edges give no rows. The number of rounds grows with the
-    logarithm of the longest path.
+    logarithm of the longest path; where ``rounds`` do not do, this raises.
     """
     pairs = edges.where("u is not null and v is not null and u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
     now = cut(pairs.distinct())
@@ -44,4 +44,7 @@ def connected_components(edges: DataFrame, rounds: int = 60) -> DataFrame:
         if then == state:
             break
         state = then
+    else:
+        if state[0]:
+            raise RuntimeError(f"components did not settle in {rounds} rounds")
     return now.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("component")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())

@@ -5,10 +5,11 @@
 2. Members of a band bucket are first tried against the bucket's least representative (a star, linear in the bucket).
    Survivors of the Bayesian test are verified on full shingle sets, and verified links give components.
 3. Buckets that still hold several components are dealt out in bounded cells, in which only pairs of different components
-   are compared, the most frequent component never with itself. Cells of small buckets compare signatures, and survivors
-   are verified as before. Cells of buckets above ``HOT`` members hold full shingle sets, count intersections by blocks of a
-   product of incidence matrices, and send only a spanning forest of their links, so that a large group of copies never
-   turns into a list of pairs. No pair between different components is skipped, and no cell outgrows a task.
+   are compared, the most frequent component never with itself. In every cell, signatures are compared in batches, and the
+   sequential test prunes pairs as in 2. Survivors of small buckets are joined to their shingle sets and verified there. Cells
+   of buckets above ``HOT`` members hold the sets, so survivors are verified in place, each member against those that no link
+   found so far joins to it; only a spanning forest of links leaves the cell, so that a large group of copies never turns into
+   a list of pairs. No pair between different components is skipped, and no cell outgrows a task.
 
 The Bayesian test follows sequential pruning under a uniform prior: after each batch of ``BATCH`` hash agreements, a pair
 is dropped once the posterior chance that its similarity reaches the threshold falls below ``miss``.
@@ -227,27 +228,36 @@ def _runs(compare):
     return run
 
 
-def common_counts(left: list[np.ndarray], right: list[np.ndarray], block: int = 2048) -> np.ndarray:
-    """Intersection sizes of all pairs of two lists of sets, from incidence matrices over the elements that both lists hold."""
-    a, b = np.concatenate(left), np.concatenate(right)
-    shared = np.intersect1d(a, b)
-    out = np.zeros((len(left), len(right)), np.float32)
-    rows = [np.repeat(np.arange(len(x)), [len(v) for v in x]) for x in (left, right)]
-    places = [np.searchsorted(shared, v) for v in (a, b)]
-    hits = [(p < len(shared)) & (shared[np.minimum(p, len(shared) - 1)] == v) if len(shared) else np.zeros(len(v), bool) for p, v in zip(places, (a, b), strict=True)]
-    for lo in range(0, len(shared), block):
-        parts = []
-        for side, p, hit, row in ((left, places[0], hits[0], rows[0]), (right, places[1], hits[1], rows[1])):
-            use = hit & (p >= lo) & (p < lo + block)
-            m = np.zeros((len(side), block), np.float32)
-            m[row[use], p[use] - lo] = 1
-            parts.append(m)
-        out += parts[0] @ parts[1].T
+def common_counts(one: np.ndarray, others: list[np.ndarray]) -> np.ndarray:
+    """Sizes of the intersections of one sorted set with each of the others."""
+    flat = np.concatenate(others)
+    at = np.minimum(np.searchsorted(one, flat), len(one) - 1)
+    return np.bincount(np.repeat(np.arange(len(others)), [len(v) for v in others])[one[at] == flat], minlength=len(others))
+
+
+def forest(sets: list[np.ndarray], comp: np.ndarray, x: np.ndarray, y: np.ndarray, needed: tuple[int, ...], percent: int) -> list[tuple[int, int]]:
+    """Links between members ``x`` and ``y`` that join their components ``comp``, found by the sequential test on signatures and
+    verified on full sets: a spanning forest of all links between different components."""
+    sigs = np.stack([signature(v) for v in sets])
+    size = np.array([len(v) for v in sets])
+    label, out = comp.copy(), []
+    for i in x.tolist():
+        js = y[label[y] != label[i]]
+        js = js[100 * np.minimum(size[js], size[i]) >= percent * np.maximum(size[js], size[i])]
+        js = js[_survive(np.broadcast_to(sigs[i], (len(js), HASHES)), sigs[js], needed)]
+        if not len(js):
+            continue
+        common = common_counts(sets[i], [sets[j] for j in js])
+        for j in js[100 * common >= percent * (size[i] + size[js] - common)].tolist():
+            if label[j] != label[i]:
+                out.append((i, j))
+                label[label == label[j]] = label[i]
     return out
 
 
-def _hot_links(members: DataFrame, reps: DataFrame, docs: DataFrame, text_col: str, width: int, percent: int) -> DataFrame:
+def _hot_links(members: DataFrame, reps: DataFrame, docs: DataFrame, text_col: str, width: int, percent: int, threshold: float, miss: float) -> DataFrame:
     """Links ``(a, b)`` between different components in large buckets: a spanning forest of those in each cell."""
+    needed = needed_matches(threshold, miss)
     wanted = members.select("rid").distinct().join(reps.select("rid", "uid"), "rid")
     cells = _dealt(members).join(_sets(wanted, docs, text_col, width), "rid").select("cell", "band", "rid", "comp", "left", "own")
     cells = cells.repartition("cell").sortWithinPartitions("cell", "band")
@@ -255,28 +265,11 @@ def _hot_links(members: DataFrame, reps: DataFrame, docs: DataFrame, text_col: s
     def compare(cell: pa.Table):
         rid, comp, left = (cell.column(c).to_numpy() for c in ("rid", "comp", "left"))
         x, y = np.flatnonzero(left), np.flatnonzero(~left)
-        if not len(x) or not len(y):
-            return
-        own = [np.frombuffer(v, np.uint64) for v in cell.column("own").to_pylist()]
-        size = np.array([len(v) for v in own])
-        common = common_counts([own[i] for i in x], [own[i] for i in y]).astype(np.int64)
-        linked = (100 * common >= percent * (size[x][:, None] + size[y][None, :] - common)) & (comp[x][:, None] != comp[y][None, :])
-        parent: dict[int, int] = {}
-
-        def find(v: int) -> int:
-            while parent.setdefault(v, v) != v:
-                parent[v] = parent[parent[v]]
-                v = parent[v]
-            return v
-
-        out = []
-        for i, j in zip(*np.nonzero(linked), strict=True):
-            p, q = find(int(comp[x[i]])), find(int(comp[y[j]]))
-            if p != q:
-                parent[p] = q
-                out.append((int(rid[x[i]]), int(rid[y[j]])))
-        if out:
-            yield pa.RecordBatch.from_arrays([pa.array([min(e) for e in out]), pa.array([max(e) for e in out])], names=["a", "b"])
+        if len(x) and len(y):
+            own = [np.frombuffer(v, np.uint64) for v in cell.column("own").to_pylist()]
+            out = [(int(rid[i]), int(rid[j])) for i, j in forest(own, comp, x, y, needed, percent)]
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array([min(e) for e in out]), pa.array([max(e) for e in out])], names=["a", "b"])
 
     return cells.mapInArrow(_runs(compare), "a long, b long")
 
@@ -337,14 +330,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     links = verify(tried, reps, source, text_at, width, percent)
     labels = cut(connected_components(links.select(F.col("a").alias("u"), F.col("b").alias("v"))))
     members = cut(_open_buckets(buckets, labels))
-    discard(buckets)
-    discard(stars)
-    hot = cut(_hot_links(members.where(F.col("n") > HOT), reps, source, text_at, width, percent))
+    for table in (buckets, stars):
+        discard(table)
+    hot = cut(_hot_links(members.where(F.col("n") > HOT), reps, source, text_at, width, percent, threshold, miss))
     more = cut(_cells(members.where(F.col("n") <= HOT), reps, threshold, miss).join(tried, ["a", "b"], "left_anti"))
     rest = verify(more, reps, source, text_at, width, percent)
     if not (hot.isEmpty() and rest.isEmpty()):
         every = links.unionByName(rest).unionByName(hot)
+        discard(labels)
         labels = cut(connected_components(every.select(F.col("a").alias("u"), F.col("b").alias("v"))))
+    for table in (tried, members, hot, more, links, rest):
+        discard(table)
     least = reps.select("k1", "k2", "rid").join(labels, F.col("rid") == F.col("node"), "left").select("k1", "k2", F.coalesce("component", "rid").alias("head"))
     members = base.select("uid", "k1", "k2", "n_shingles").join(least, ["k1", "k2"], "left")
     # uid sorts as the id does, so the component's least uid is the row of its least id.

@@ -284,6 +284,36 @@ def test_near_duplicates_odd_rows(odd):
     assert by[2][0][2] == 1 and not by[2][0][3]
 
 
+def test_forest_joins_what_is_linked():
+    r = np.random.default_rng(3)
+    base = np.unique(r.integers(0, 1 << 60, 120, dtype=np.uint64))
+    sets = []
+    for i in range(150):
+        if i % 3 == 2:
+            sets.append(np.unique(r.integers(0, 1 << 60, 120, dtype=np.uint64)))
+        else:
+            v = base.copy() if i % 3 else np.sort(base ^ np.uint64(1 << 61))
+            v[r.choice(len(v), r.integers(0, 8), replace=False)] = r.integers(0, 1 << 60)
+            sets.append(np.unique(v))
+    at = np.arange(150)
+    needed = neardup.needed_matches(0.85, 1e-5)
+    joined = components_of([(int(i), set(v.tolist())) for i, v in zip(at, sets, strict=True)], 85)
+    label = at.copy()
+    edges = neardup.forest(sets, at.copy(), at, at, needed, 85)
+    assert len(edges) == 150 - len(set(joined))
+    for i, j in edges:
+        label[label == max(label[i], label[j])] = min(label[i], label[j])
+    assert label.tolist() == joined
+    # Members of one component are not compared.
+    assert neardup.forest(sets, np.zeros(150, np.int64), at, at, needed, 85) == []
+
+
+def test_components_raise_where_rounds_do_not_do(spark):
+    chain = spark.createDataFrame([(i, i + 1) for i in range(200)], "u long, v long")
+    with pytest.raises(RuntimeError, match="settle"):
+        connected_components(chain, rounds=1)
+
+
 def test_sequential_test_keeps_what_it_should():
     needed = neardup.needed_matches(0.8, 1e-5)
     r = np.random.default_rng(1)
@@ -658,5 +688,34 @@ def test_audit_counts_small_groups(spark):
 def test_robust_prune_spreads():
     x = np.array([[1, 0.0], [0.999, 0.04], [0.998, 0.06], [0, 1.0], [-1, 0.0]])
     x /= np.linalg.norm(x, axis=1, keepdims=True)
-    out = vectors.robust_prune(x, np.array([0]), np.array([[1, 2, 3, 4]]), degree=3)
-    assert out[0, 0] == 1 and 2 not in out[0]
+    out = vectors.robust_prune(x, np.array([0]), np.array([[1, 2, 3, 4, 4, 1, -1]]), degree=3)
+    assert out[0].tolist() == [1, 3, 2]
+    # What was pruned fills the places that stay free, nearest first.
+    assert vectors.robust_prune(x, np.array([0]), np.array([[1, 2, 3, 4]]), degree=2)[0].tolist() == [1, 3]
+    assert vectors.robust_prune(x, np.array([0]), np.array([[1, 2, 3, 4]]), degree=4)[0].tolist() == [1, 3, 2, 4]
+
+
+def test_graph_search_walks_from_medoids():
+    r = np.random.default_rng(14)
+    dense = np.ones(32) + r.normal(0, 0.1, (400, 32))  # around one centre, which lies nearer to each than they to each other
+    pairs_ = r.normal(0, 1, (300, 32))
+    x = np.vstack([np.ones((1, 32)), dense, pairs_, pairs_ + r.normal(0, 0.1, (300, 32))])
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    true = x @ x.T >= 0.93
+    np.fill_diagonal(true, False)
+    starts = vectors.medoids(x)
+    found = vectors.search(x, vectors.build(x), starts, 0.93, vectors.BEAM)
+    assert len(starts) <= 9 and not (found & ~true).any()
+    share = (found & true).sum(1)[true.any(1)] / true.sum(1)[true.any(1)]
+    assert share.mean() >= 0.98 and (found & true).sum() >= 0.99 * true.sum()
+    # Without edges a search sees its starting points only.
+    alone = vectors.search(x, np.full((len(x), 4), -1), starts, 0.93, vectors.BEAM)
+    assert alone.sum() <= true[starts].sum() * 2
+
+
+def test_vectors_odd_ids(spark):
+    v = [1.0, 2.0, 3.0]
+    rows = [(None, 1, v, 7), (None, 1, v, 7), (4, 1, v, 7), (4, 1, v, 7), (2, 1, [-1.0, 0.0, 0.0], 7), (3, None, v, 7)]
+    df = spark.createDataFrame(rows, "vec_id long, label int, embedding array<double>, kept int")
+    got = Counter((r["vec_id"], r["n_links"], r["component_id"], r["kept"]) for r in vectors.near_vectors(df).collect())
+    assert got == Counter({(4, 3, 4, True): 1, (4, 3, 4, False): 1, (None, 3, 4, False): 2, (2, 0, 2, True): 1, (3, 0, 3, True): 1})
