@@ -613,6 +613,48 @@ def test_toxicity_odd_rows(spark, odd):
     assert toxicity.score(odd.limit(0), toxicity.fit(odd, labels)).count() == 0
 
 
+def test_scores_against_brute_force(spark):
+    toxic, fine = ["vile", "nasty", "awful", "rotten"], ["kindly", "garden", "morning", "river"]
+    r = np.random.default_rng(4)
+    rows = []
+    for i in range(400):
+        ws = list(r.choice(["the", "and", "house", "walk", "green"], 12)) + (list(r.choice(toxic, r.integers(1, 9))) if i % 2 else list(r.choice(fine, 3)))
+        rows.append((i, " ".join(r.permutation(ws)), i % 2))
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    model = toxicity.fit(df, df.select("doc_id", "toxic"))
+    weight = dict(zip(model.keys.tolist(), model.weights.tolist(), strict=True))
+    assert min(weight.values()) < 0 < max(weight.values())  # features of both signs
+    hasher = toxicity._hasher()
+
+    def hashes(word):
+        b = np.frombuffer(word.encode(), np.uint8)
+        one = lambda part, salt: int(hasher.words(b, np.array([0]), np.array([len(part)]))[0]) ^ salt
+        return [one(word, 0)] + [one(word[:n], salt) for n, salt in ((4, 0x5851F42D4C957F2D), (5, 0x14057B7EF767814F)) if len(word) > n]
+
+    for x in toxicity.score(df, model).collect():
+        counts = Counter(h for word in x["text"].split() for h in hashes(word) if h in weight)
+        z = sum(weight[h] * np.log1p(n) for h, n in counts.items())
+        severity = sum(1 / (1 + np.exp(t - z)) for t in model.thresholds)
+        assert abs(x["severity"] - severity) < 1e-5 and x["toxic_in"] == int(x["toxic"])
+    graded = toxicity.fit(df, df.select("doc_id", (F.col("toxic") * (1 + F.col("doc_id") % 3)).alias("toxic")))
+    assert len(graded.thresholds) == 3 and graded.rows == 400
+
+
+def test_slopes_against_differences():
+    r = np.random.default_rng(8)
+    n, m = 40, 6
+    row, place = np.nonzero(r.random((n, m)) < 0.5)
+    x, grade, weight = r.random(len(row)), r.integers(0, 4, n), r.random(n) + 0.5
+    w, raw = r.normal(0, 1, m), np.array([0.3, -0.2, 0.1])
+    loss = lambda w, raw: toxicity.loss_and_slopes(row, place, x, grade, weight, w, raw, 0.01)[0]
+    _, d_w, d_raw = toxicity.loss_and_slopes(row, place, x, grade, weight, w, raw, 0.01)
+    step = 1e-6
+    for k in range(m):
+        assert abs((loss(w + step * np.eye(m)[k], raw) - loss(w - step * np.eye(m)[k], raw)) / (2 * step) - d_w[k]) < 1e-6
+    for k in range(3):
+        assert abs((loss(w, raw + step * np.eye(3)[k]) - loss(w, raw - step * np.eye(3)[k])) / (2 * step) - d_raw[k]) < 1e-6
+
+
 def test_ordinal_fit_recovers_order():
     r = np.random.default_rng(2)
     n = 3000
