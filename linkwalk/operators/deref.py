@@ -1,13 +1,13 @@
 """Lookups: what asking for a node's document yields, and what it costs.
 
 Every lookup gives ``edges()``, the adjacency rows that it can see, and ``cost(batch, matched)``, the requests and triples of
-each expansion in a batch. Literals are never looked up.
+each expansion in a batch. For a client that keeps documents itself, ``rows()`` gives them with what each counts, and
+``requests_for()`` the requests of one expansion. Literals are never looked up.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
-from functools import reduce as fold
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -22,9 +22,24 @@ KEY = ["run", "node", "q"]
 class Lookup:
     """Base: one request for each expansion, which returns the node's whole document."""
 
+    #: Whether triples that a pattern brought count as transferred.
+    pays_matches = False
+
     def __init__(self, graph: TripleGraph):
         self.graph = graph
 
+    def shows(self) -> Column:
+        """Whether a node's document holds an adjacency row."""
+        return F.lit(True)
+
+    def rows(self) -> DataFrame:
+        """Visible adjacency rows of all labels, and ``shown``: whether the document holds them."""
+        return self.edges(None).withColumn("shown", F.lit(True))
+
+    def requests_for(self, patterns: int) -> int:
+        """Requests of one expansion out of a state with that many transitions."""
+        return 1
+
     def edges(self, labels: set[str] | None) -> DataFrame:
         return self.graph.adjacency(labels)
 
@@ -32,10 +47,13 @@ class Lookup:
         """Whole documents, for counting what a lookup transfers."""
         return self.edges(None)
 
-    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, documents: DataFrame) -> DataFrame:
-        """``(run, node, q, n_triples, requests)`` for each expansion in ``batch``."""
-        held = documents.groupBy("node").agg(F.count(F.lit(1)).alias("n_triples"))
-        return batch.select(*KEY).join(held, "node", "left").select(*KEY, F.coalesce("n_triples", F.lit(0)).alias("n_triples"), F.lit(1).cast("long").alias("requests"))
+    def sizes(self) -> DataFrame:
+        """``(node, n_triples)`` of all documents."""
+        return self.documents().groupBy("node").agg(F.count(F.lit(1)).alias("n_triples"))
+
+    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, sizes: DataFrame) -> DataFrame:
+        """``(run, node, q, n_triples, requests)`` for each expansion in ``batch``; ``sizes`` as by :meth:`sizes`."""
+        return batch.select(*KEY).join(sizes, "node", "left").select(*KEY, F.coalesce("n_triples", F.lit(0)).alias("n_triples"), F.lit(1).cast("long").alias("requests"))
 
 
 class FullDocs(Lookup):
@@ -54,9 +72,11 @@ class PartialDocs(Lookup):
         super().__init__(graph)
         self.keep_in = keep_in
 
+    def shows(self) -> Column:
+        return F.lit(True) if self.keep_in >= 1 else ~F.col("inv") | kept_incoming(self.keep_in)
+
     def edges(self, labels: set[str] | None) -> DataFrame:
-        rows = self.graph.adjacency(labels)
-        return rows if self.keep_in >= 1 else rows.where(~F.col("inv") | kept_incoming(self.keep_in))
+        return self.graph.adjacency(labels).where(self.shows())
 
 
 def _asked(batch: DataFrame, automaton: Automaton) -> Column:
@@ -68,10 +88,18 @@ def _asked(batch: DataFrame, automaton: Automaton) -> Column:
 class Endpoint(Lookup):
     """Pattern queries: only the wanted label and direction travel; one request for each pattern."""
 
+    pays_matches = True
+
+    def rows(self) -> DataFrame:
+        return self.edges(None).withColumn("shown", F.lit(False))
+
+    def requests_for(self, patterns: int) -> int:
+        return patterns
+
     def pattern(self, node: str, label: str, inv: bool) -> DataFrame:
         return self.graph.adjacency([label]).where((F.col("node") == node) & (F.col("inv") == inv))
 
-    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, documents: DataFrame) -> DataFrame:
+    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, sizes: DataFrame) -> DataFrame:
         got = matched.groupBy(*KEY).agg(F.count(F.lit(1)).alias("n_triples"))
         return batch.select(*KEY).join(got, KEY, "left").select(*KEY, F.coalesce("n_triples", F.lit(0)).alias("n_triples"), _asked(batch, automaton).alias("requests"))
 
@@ -83,6 +111,9 @@ class PatternPages(Endpoint):
         super().__init__(graph)
         self.page_size = page_size
 
+    def requests_for(self, patterns: int) -> int:
+        raise NotImplementedError("pages depend on what a pattern matches: use search.run_many")
+
     def pages(self, node: str, label: str, inv: bool) -> DataFrame:
         """``(page, nbr)`` of one pattern, in order of neighbour."""
         from pyspark.sql import Window
@@ -90,7 +121,7 @@ class PatternPages(Endpoint):
         rank = F.row_number().over(Window.partitionBy("node").orderBy("nbr")) - 1
         return self.pattern(node, label, inv).withColumn("page", F.floor(rank / self.page_size).cast("int")).select("page", "nbr")
 
-    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, documents: DataFrame) -> DataFrame:
+    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, sizes: DataFrame) -> DataFrame:
         by = matched.groupBy(*KEY, "t_rank").agg(F.count(F.lit(1)).alias("n"))
         got = by.groupBy(*KEY).agg(F.sum("n").alias("n_triples"), F.sum(F.greatest(F.ceil(F.col("n") / self.page_size), F.lit(1)) - 1).alias("more"))
         return batch.select(*KEY).join(got, KEY, "left").select(*KEY, F.coalesce("n_triples", F.lit(0)).alias("n_triples"), (_asked(batch, automaton) + F.coalesce("more", F.lit(0))).alias("requests"))
@@ -98,7 +129,9 @@ class PatternPages(Endpoint):
 
 class Combined(Lookup):
     """A document and an endpoint asked together; both answers are used. ``count="pair"`` takes the two as one request,
-    ``"each"`` counts the document and every pattern."""
+    ``"each"`` counts the document and every pattern. Triples are counted from both: the document's, and what the patterns match."""
+
+    pays_matches = True
 
     def __init__(self, docs: Lookup, endpoint: Endpoint, count: str = "pair"):
         super().__init__(docs.graph)
@@ -110,8 +143,16 @@ class Combined(Lookup):
     def documents(self) -> DataFrame:
         return self.docs.documents()
 
-    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, documents: DataFrame) -> DataFrame:
-        out = super().cost(batch, matched, automaton, documents)
+    def rows(self) -> DataFrame:
+        return self.endpoint.edges(None).withColumn("shown", self.docs.shows())
+
+    def requests_for(self, patterns: int) -> int:
+        return 1 if self.count == "pair" else 1 + patterns
+
+    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, sizes: DataFrame) -> DataFrame:
+        got = matched.groupBy(*KEY).agg(F.count(F.lit(1)).alias("m_"))
+        out = super().cost(batch, matched, automaton, sizes).join(got, KEY, "left")
+        out = out.select(*KEY, (F.col("n_triples") + F.coalesce("m_", F.lit(0))).alias("n_triples"), "requests")
         return out if self.count == "pair" else out.withColumn("requests", F.col("requests") + _asked(batch, automaton))
 
 
@@ -122,8 +163,11 @@ class MultiSource(Lookup):
         super().__init__(graph if sources is None else graph.only(*sources))
         self.asked = len(sources) if sources is not None else len({src for src, _ in graph.parts})
 
-    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, documents: DataFrame) -> DataFrame:
-        return super().cost(batch, matched, automaton, documents).withColumn("requests", F.lit(self.asked).cast("long"))
+    def requests_for(self, patterns: int) -> int:
+        return self.asked
+
+    def cost(self, batch: DataFrame, matched: DataFrame, automaton: Automaton, sizes: DataFrame) -> DataFrame:
+        return super().cost(batch, matched, automaton, sizes).withColumn("requests", F.lit(self.asked).cast("long"))
 
 
 @dataclass(frozen=True)
@@ -136,7 +180,3 @@ class Latency:
 
     def seconds(self) -> Column:
         return F.lit(self.mean) * (1 + self.spread * (2 * jitter("node", seed=self.seed) - 1))
-
-
-def union_of(lookups: list[Lookup], labels: set[str] | None) -> DataFrame:
-    return fold(DataFrame.unionByName, [x.edges(labels) for x in lookups]).dropDuplicates(["node", "p", "inv", "nbr"])

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .deref import Latency
@@ -48,21 +48,21 @@ def finished(run: SearchRun, x: str = "requests", latency: Latency | None = None
     return timed(run, latency or Latency()).groupBy("run").agg(F.max("seconds").alias("x"))
 
 
-def dominance(curves: DataFrame, ends: DataFrame, share: float = 0.8, points: int = 400) -> DataFrame:
-    """``(run, dominates, share)``. A run dominates if its curve is at least every other's on ``share`` of the range, which goes
+def dominance(curves: DataFrame, ends: DataFrame, share: float = 0.8, points: int = 400, by: tuple[str, ...] = ()) -> DataFrame:
+    """``(by, run, dominates, share)``. A run dominates if its curve is at least every other's on ``share`` of the range, which goes
     from nothing to the furthest end; a finished curve keeps its last value. Curves are read at evenly spaced points, each
-    taking the last step at or before it."""
-    top = ends.agg(F.max("x").alias("top"))
-    grid = top.select(F.explode(F.sequence(F.lit(1), F.lit(points))).alias("i"), "top").select("i", (F.col("top") * F.col("i") / points).alias("at"))
-    runs = ends.select("run").distinct()
+    taking the last step at or before it. Runs are compared with those that agree on the columns ``by``."""
+    by = list(by)
+    runs = ends.withColumn("top", F.max("x").over(Window.partitionBy(*by)) if by else F.max("x").over(Window.partitionBy(F.lit(1)))).select(*by, "run", "top").distinct()
     # Each point takes the last step before it: points and steps in one order, the last value carried forward by run.
-    steps = curves.select("run", "x", "answers", F.lit(0).alias("kind"), F.lit(None).cast("int").alias("i"))
-    asks = runs.join(F.broadcast(grid)).select("run", F.col("at").alias("x"), F.lit(None).cast("double").alias("answers"), F.lit(1).alias("kind"), "i")
-    w = Window.partitionBy("run").orderBy("x", "kind").rowsBetween(Window.unboundedPreceding, 0)
+    steps = curves.select(*by, "run", "x", "answers", F.lit(0).alias("kind"), F.lit(None).cast("int").alias("i"))
+    asks = runs.select(*by, "run", "top", F.explode(F.sequence(F.lit(1), F.lit(points))).alias("i"))
+    asks = asks.select(*by, "run", (F.col("top") * F.col("i") / points).alias("x"), F.lit(None).cast("double").alias("answers"), F.lit(1).alias("kind"), "i")
+    w = Window.partitionBy(*by, "run").orderBy("x", "kind").rowsBetween(Window.unboundedPreceding, 0)
     filled = steps.withColumn("answers", F.col("answers").cast("double")).unionByName(asks).withColumn("value", F.coalesce(F.last("answers", ignorenulls=True).over(w), F.lit(0.0))).where("kind = 1")
-    best = filled.withColumn("best", F.max("value").over(Window.partitionBy("i")))
-    got = best.groupBy("run").agg(F.avg((F.col("value") >= F.col("best")).cast("double")).alias("share"))
-    return got.select("run", (F.col("share") >= share).alias("dominates"), "share")
+    best = filled.withColumn("best", F.max("value").over(Window.partitionBy(*by, "i")))
+    got = best.groupBy(*by, "run").agg(F.avg((F.col("value") >= F.col("best")).cast("double")).alias("share"))
+    return got.select(*by, "run", (F.col("share") >= share).alias("dominates"), "share")
 
 
 def tally(rows: DataFrame) -> DataFrame:
@@ -94,11 +94,12 @@ def lengths_at(run: SearchRun, ranks: list[int]) -> DataFrame:
 def speed_up(run: SearchRun, base: int, latency: Latency | None = None) -> DataFrame:
     """``(run, answers, speed_up)``: simulated time of run ``base`` over each run's, at the last answer that both have."""
     c = curve(run, "seconds", latency=latency)
-    ends = c.groupBy("run").agg(F.max("answers").alias("n"))
-    least = ends.select(F.min("n").alias("n")).first()["n"]
-    at = c.where(F.col("answers") >= least).groupBy("run").agg(F.min("x").alias("x"))
-    of = at.where(F.col("run") == base).select(F.col("x").alias("b"))
-    return at.join(F.broadcast(of)).select("run", F.lit(least).alias("answers"), (F.col("b") / F.col("x")).alias("speed_up"))
+    mine = c.where(F.col("run") == base)
+    last = mine.agg(F.max("answers").alias("m"))
+    common = c.groupBy("run").agg(F.max("answers").alias("n")).join(F.broadcast(last)).select("run", F.least("n", "m").alias("n"))
+    at = c.join(F.broadcast(common), "run").where(F.col("answers") >= F.col("n")).groupBy("run", "n").agg(F.min("x").alias("x"))
+    of = common.join(mine.select(F.col("answers").alias("a"), F.col("x").alias("b"))).where("a >= n").groupBy("run").agg(F.min("b").alias("b"))
+    return at.join(of, "run").select("run", F.col("n").alias("answers"), (F.col("b") / F.col("x")).alias("speed_up"))
 
 
 def triples(run: SearchRun) -> DataFrame:
@@ -139,12 +140,11 @@ def discovered_lengths(run: SearchRun, steps: DataFrame) -> DataFrame:
 
 
 def expansion_containment(run: SearchRun, inner: int, outer: int) -> DataFrame:
-    """Product nodes that run ``inner`` expanded and run ``outer`` did not, below the length of ``inner``'s last answer: a
-    breadth-first run may stop in the middle of that last layer."""
-    last = run.answers().where(F.col("run") == inner).agg(F.max("length").alias("last"))
-    mine = run.trace().where(F.col("run") == inner).select("node", "q", "g").join(F.broadcast(last)).where("g < last - 1")
+    """Product nodes that run ``inner`` expanded and run ``outer`` did not. ``outer``, a breadth-first run, should have finished the
+    layers up to the length of ``inner``'s last answer: then none is expected."""
+    mine = run.trace().where(F.col("run") == inner).select("node", "q")
     theirs = run.trace().where(F.col("run") == outer).select("node", "q")
-    return mine.select("node", "q").distinct().join(theirs, ["node", "q"], "left_anti")
+    return mine.distinct().join(theirs, ["node", "q"], "left_anti")
 
 
 def recall(found: DataFrame, exact: DataFrame) -> DataFrame:
@@ -165,6 +165,3 @@ def layer_requests(reached: Reached) -> DataFrame:
     hits = reached.table.where(F.col("q").isin(live) & ~F.startswith("node", F.lit('"')))
     return hits.groupBy("length").agg(F.count(F.lit(1)).alias("expansions"))
 
-
-def share_column(n: Column, total: Column) -> Column:
-    return n / F.greatest(total, F.lit(1))

@@ -30,6 +30,8 @@ def witness(run: SearchRun, answers: DataFrame | None = None, most_hops: int = 1
         now = at.where("parent_node is not null").select("run", "rank", "goal", F.col("parent_node").alias("n_"), F.col("parent_q").alias("q_"), (F.col("back") + 1).alias("back"))
         if now.isEmpty():
             break
+    else:
+        raise RuntimeError(f"walks of more than {most_hops} hops")
     rows = fold(DataFrame.unionByName, hops)
     lists = rows.groupBy("run", "rank", "goal").agg(F.array_sort(F.collect_list(F.struct((-F.col("back")).alias("k"), "node", "label", "inv"))).alias("r"))
     steps = F.transform("r", lambda x, i: F.struct(i.alias("step"), x["node"].alias("node"), x["label"].alias("label"), x["inv"].alias("inv")))
@@ -43,7 +45,7 @@ def shortest_walks(graph: TripleGraph, expr: str | PathExpr, reached: Reached, a
     table = reached.table
     delta = a.delta(graph.spark)
     adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr")
-    edges = succeed(table.select("seed", "node", "q", "length"), delta, adj).select("seed", F.col("nbr").alias("n_"), F.col("q2").alias("q_"), F.col("length").alias("from_"), F.struct("node", "q", F.col("p").alias("label"), "inv").alias("parent"))
+    edges = succeed(table.select("seed", "node", "q", "length"), a, delta, adj).select("seed", F.col("nbr").alias("n_"), F.col("q2").alias("q_"), F.col("length").alias("from_"), F.struct("node", "q", F.col("p").alias("label"), "inv").alias("parent"))
     own = table.select("seed", F.col("node").alias("n_"), F.col("q").alias("q_"), "length")
     best = edges.join(own, ["seed", "n_", "q_"]).where("length = from_ + 1").groupBy("seed", "n_", "q_").agg(F.min("parent").alias("parent"))
     links = keep(best)

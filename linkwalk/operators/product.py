@@ -1,8 +1,9 @@
 """Exact evaluation: layers of the product of graph and automaton, grown from the start.
 
 Each round joins the frontier to the automaton's transitions (broadcast: a few dozen rows) and to the adjacency, which is
-partitioned by node once and stays where it is; only frontier rows move. Rounds end in a written table, so a lost executor
-costs a re-read. While layers are narrow, several layers go into one job.
+partitioned by (node, label, direction) once and stays where it is, as does what is seen, by (seed, node, state): a round moves
+the frontier to the adjacency and its successors to what is seen, and nothing else. Rounds end in a written table, so a lost
+executor costs a re-read. While layers are narrow, several layers go into one job.
 """
 
 from __future__ import annotations
@@ -10,7 +11,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.tables import keep
@@ -21,12 +22,24 @@ from ..sources.graph import TripleGraph
 
 #: A layer up to this size counts as narrow; then up to this many layers share a job.
 NARROW, STRIDE = 2000, 6
+#: From this many triples of one node, label and direction on, they are cut into shards. Seen parts are merged beyond ``PARTS``.
+HUB, PARTS = 1_000_000, 12
 
 
-def succeed(front: DataFrame, delta: DataFrame, adj: DataFrame, small: bool = False) -> DataFrame:
-    """Product steps out of ``front``: its columns plus transition and edge columns. A small frontier is sent to the
-    adjacency instead of both being shuffled; the caller vouches for its size."""
+def keys_of(a: Automaton) -> list[str]:
+    """What an edge is looked up by. A transition that reads any label but some can only be looked up by node."""
+    return ["node"] if a.labels is None else ["node", "p", "inv"]
+
+
+def succeed(front: DataFrame, a: Automaton, delta: DataFrame, adj: DataFrame, small: bool = False) -> DataFrame:
+    """Product steps out of ``front``: its columns plus transition and edge columns. Transitions of ``a`` are unfolded first, so
+    a node meets only its edges with the label and direction that one of them reads. A small frontier is sent to the adjacency
+    instead of both being shuffled; the caller vouches for its size."""
     wanted = front.join(F.broadcast(delta), "q")
+    if a.labels is not None:
+        wanted = wanted.drop("negated", "excluded").withColumnsRenamed({"label": "p", "t_inv": "inv"})
+        keys = ["node", "p", "inv"] + ["salt"] * ("salt" in adj.columns)
+        return (F.broadcast(wanted) if small else wanted).join(adj, keys).drop("salt")
     read = (F.col("t_inv") == F.col("inv")) & F.when(F.col("negated"), ~F.array_contains("excluded", F.col("p"))).otherwise(F.col("label") == F.col("p"))
     keys = ["node", "salt"] if "salt" in adj.columns else ["node"]
     return (F.broadcast(wanted) if small else wanted).join(adj, keys).where(read).drop("salt")
@@ -74,22 +87,35 @@ class Reached:
         return hits.groupBy(*keys).agg(F.min("length").alias("length"))
 
 
-def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_length: str = "always", tests: dict[str, DataFrame] | None = None, most_layers: int = 10_000, hubs: DataFrame | None = None, shards: int = 16) -> Reached:
+def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_length: str = "always", tests: dict[str, DataFrame] | None = None, most_layers: int = 10_000, hubs: DataFrame | None = None, shards: int = 16, hub: int = HUB) -> Reached:
     """All product nodes reachable from ``seeds(seed)``. ``zero_length="graph_terms"`` leaves out seeds that no triple of the
-    graph mentions; otherwise a seed answers a nullable expression even where it does not exist. ``hubs(node)`` names nodes of
-    very high degree, whose edges are cut into ``shards`` so that no task gets all of them."""
+    graph mentions; otherwise a seed answers a nullable expression even where it does not exist. Nodes with ``hub`` or more edges of one
+    label and direction, or those that ``hubs(node)`` names, have their edges cut into ``shards``, so that no task gets all of
+    them. More than ``most_layers`` layers raise."""
     spark = seeds.sparkSession
     a = compile_path(expr)
     delta = a.delta(spark)
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr")
-    adj = (adj.repartition(n, "node") if hubs is None else salted(adj, hubs, shards).repartition(n, "node", "salt")).persist(StorageLevel.MEMORY_AND_DISK)
+    keys = keys_of(a)
+    adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr").repartition(n, *keys).persist(StorageLevel.MEMORY_AND_DISK)
+    if hubs is None:
+        found = keep(adj.groupBy("node", "p", "inv").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= hub).select("node").distinct())
+        hubs = None if found.isEmpty() else found
+    if hubs is not None:
+        plain, adj = adj, salted(adj, hubs, shards).repartition(n, *keys, "salt").persist(StorageLevel.MEMORY_AND_DISK)
+        adj.count()
+        plain.unpersist()
     first = seeds.where("seed is not null").select(F.col("seed").cast("string").alias("seed")).distinct()
     if zero_length == "graph_terms":
         first = first.join(graph.adjacency().select(F.col("node").alias("seed")).distinct(), "seed", "left_semi")
     layer = keep(first.select("seed", F.col("seed").alias("node"), F.lit(0).alias("q"), F.lit(0).alias("length")))
     parts, depth, size, narrow = [layer], 0, layer.count(), 0
-    while size and depth < most_layers:
+    product = ["seed", "node", "q"]
+    settled = lambda df: df.select(*product).repartition(n, *product).persist(StorageLevel.MEMORY_AND_DISK)
+    seen = [settled(layer)]
+    while size:
+        if depth >= most_layers:
+            raise RuntimeError(f"walks go on after {most_layers} layers")
         # Only after several narrow layers in a row is the graph taken for thin; elsewhere inner layers without an
         # anti-join would repeat what is seen.
         narrow = narrow + 1 if size <= NARROW else 0
@@ -98,7 +124,7 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
         for k in range(1, stride + 1):
             small = size <= NARROW and k == 1
             front = step.select("seed", "node", "q")
-            succ = node_tests(succeed(front if hubs is None else spread_out(front, hubs, shards), delta, adj, small), tests)
+            succ = node_tests(succeed(front if hubs is None else spread_out(front, hubs, shards), a, delta, adj, small), tests)
             step = succ.select("seed", F.col("nbr").alias("node"), F.col("q2").alias("q")).distinct().withColumn("length", F.lit(depth + k))
             steps.append(step)
         every = steps[0]
@@ -106,21 +132,26 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
             every = every.unionByName(x)
         if stride > 1:
             every = every.groupBy("seed", "node", "q").agg(F.min("length").alias("length"))
-        seen = parts[0]
-        for x in parts[1:]:
-            seen = seen.unionByName(x)
-        fresh = keep(every.join(seen.select("seed", "node", "q"), ["seed", "node", "q"], "left_anti"))
+        for x in seen:
+            every = every.join(x, product, "left_anti")
         depth += stride
+        # Nodes of the inner layers were expanded in this very job; only the last layer is open.
+        last = Observation()
+        fresh = keep(every.observe(last, F.count(F.when(F.col("length") == depth, 1)).alias("n")))
         parts.append(fresh)
-        if len(parts) > 12:
-            whole = parts[0]
-            for x in parts[1:]:
+        seen.append(settled(fresh))
+        if len(seen) > PARTS:
+            whole = seen[0]
+            for x in seen[1:]:
                 whole = whole.unionByName(x)
-            parts = [keep(whole.coalesce(n))]
-        # Nodes of the inner layers were expanded in this very job; only the last layer is open.
+            merged = settled(keep(whole))
+            for x in seen:
+                x.unpersist()
+            seen = [merged]
         layer = fresh.where(F.col("length") == depth)
-        size = layer.count()
-    adj.unpersist()
+        size = last.get["n"]
+    for x in [adj, *seen]:
+        x.unpersist()
     out = parts[0]
     for x in parts[1:]:
         out = out.unionByName(x)
@@ -170,7 +201,7 @@ def connected(graph: TripleGraph, expr: str | PathExpr, start: str, end: str, tw
         return False
     if not two_sided:
         return not explore(graph, expr, _one(spark, start)).answers().where(F.col("node") == end).isEmpty()
-    adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr").repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "node").persist(StorageLevel.MEMORY_AND_DISK)
+    adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr").repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), *keys_of(a)).persist(StorageLevel.MEMORY_AND_DISK)
     ahead = a.delta(spark)
     back = ahead.select(F.col("q2").alias("q"), "label", (~F.col("t_inv")).alias("t_inv"), "negated", "excluded", F.col("q").alias("q2"))
     fronts = [keep(spark.createDataFrame([(start, 0)], "node string, q int")), keep(spark.createDataFrame([(end, q) for q in a.finals], "node string, q int"))]
@@ -179,7 +210,7 @@ def connected(graph: TripleGraph, expr: str | PathExpr, start: str, end: str, tw
     met = False
     while all(sizes) and not met:
         k = 0 if sizes[0] <= sizes[1] else 1
-        succ = succeed(fronts[k], (ahead, back)[k], adj).select(F.col("nbr").alias("node"), F.col("q2").alias("q")).distinct()
+        succ = succeed(fronts[k], a, (ahead, back)[k], adj).select(F.col("nbr").alias("node"), F.col("q2").alias("q")).distinct()
         fronts[k] = keep(succ.join(seen[k], ["node", "q"], "left_anti"))
         seen[k] = keep(seen[k].unionByName(fronts[k]))
         sizes[k] = fronts[k].count()
@@ -190,7 +221,7 @@ def connected(graph: TripleGraph, expr: str | PathExpr, start: str, end: str, tw
 
 def closure(edges: DataFrame, rounds: int = 40) -> DataFrame:
     """Transitive closure ``(s, o, length)`` of ``edges(s, o)`` by squaring: rounds grow with the logarithm of the depth. For
-    long, thin relations such as chains; the result has a row for each connected pair."""
+    long, thin relations such as chains; the result has a row for each connected pair. Raises where ``rounds`` do not do."""
     now = keep(edges.select("s", "o").distinct().withColumn("length", F.lit(1)))
     size = now.count()
     for _ in range(rounds):
@@ -200,6 +231,6 @@ def closure(edges: DataFrame, rounds: int = 40) -> DataFrame:
         now = keep(now.unionByName(longer).groupBy("s", "o").agg(F.min("length").alias("length")))
         after = now.count()
         if after == size:
-            break
+            return now
         size = after
-    return now
+    raise RuntimeError(f"no closure after {rounds} rounds")

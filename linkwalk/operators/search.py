@@ -2,14 +2,18 @@
 
 All runs of a call (strategies, batch sizes, heuristics) advance together: ``run`` is a key column, and a round is one plan
 for all of them. The state of a run is a table of product nodes; a round takes each run's next ``k`` open nodes, looks their
-documents up, and merges what they lead to. Only a few numbers for each run come to the driver.
+documents up, and merges what they lead to. Only a few numbers for each run come to the driver. A round reads and writes the
+state that a run has so far; for the reach of a start without order or budget, :func:`.product.explore` is the form that does not.
 
-Order: a document's triples are taken in the order of (transition, label, direction, neighbour). ``seq`` numbers product
-nodes as they are first generated, in the order in which a run without batches would have done so; queues take the least,
-stacks the greatest. Best-first order is (f, then h where ``tie`` is ``low_h``, then seq).
+Order: a document's triples are taken in the order of (transition, label, direction, neighbour). ``seq`` orders product nodes
+as they are first generated: by round, then as a run without batches would have come to them; queues take the least, stacks
+the greatest. It is a struct that compares, so no task has to number all successors of a round. Best-first order is (f, then
+h where ``tie`` is ``low_h``, then seq). Rounds that take all open nodes, or all of least f, need no order among them and rank
+none: their nodes count as one place.
 
 Goals are emitted when generated by the two blind strategies. Best-first search holds a goal back until no open node has a
-smaller f; its own place in the queue, with the heuristic of a further answer, only decides when it is *expanded*.
+smaller f; its own place in the queue, with the heuristic of a further answer, only decides when it is *expanded*. All
+strategies are credited with an answer at the end of the batch that brought it.
 """
 
 from __future__ import annotations
@@ -28,7 +32,7 @@ from ..plans.automaton import INF, Automaton, accepts_empty, compile_path, heuri
 from ..plans.expr import PathExpr
 from ..sources.graph import TripleGraph
 from .deref import KEY, FullDocs, Latency, Lookup
-from .product import succeed
+from .product import keys_of, succeed
 
 EVERYTHING = 1 << 40
 
@@ -77,7 +81,7 @@ class SearchRun:
     def trace(self) -> DataFrame:
         """``(run, req, round, node, q, g, f, n_triples, requests)``: a row for each expansion, numbered in order."""
         e = self.state.select("run", "node", "q", F.explode("expansions").alias("e")).select("run", "node", "q", "e.*")
-        return e.withColumn("req", F.row_number().over(Window.partitionBy("run").orderBy("round", "pos"))).select("run", "req", "round", "pos", "node", "q", "g", "f", "n_triples", "requests")
+        return e.withColumn("req", F.row_number().over(Window.partitionBy("run").orderBy("round", "pos", "node", "q"))).select("run", "req", "round", "pos", "node", "q", "g", "f", "n_triples", "requests")
 
     def answers(self, dedupe: str = "node") -> DataFrame:
         """``(run, rank, node, q, length, req_at_emit, ...)`` in order of emission; a node counts once unless ``dedupe`` is
@@ -88,7 +92,8 @@ class SearchRun:
             got = got.withColumn("r_", F.row_number().over(first)).where("r_ = 1").drop("r_")
         rank = F.row_number().over(Window.partitionBy("run").orderBy("emit_round", "emit_major", "seq"))
         limit = F.create_map(*[x for i, _ in enumerate(self.specs) for x in (F.lit(i), F.lit(self.most or EVERYTHING))])
-        out = got.withColumn("rank", rank).where(F.col("rank") <= F.element_at(limit, F.col("run")))
+        out = got.withColumn("rank", rank)
+        out = out.where(F.col("rank") <= self.most) if self.most else out.where(F.col("rank") <= F.element_at(limit, F.col("run")))
         return out.select("run", "rank", "node", "q", F.col("g").alias("length"), F.col("emit_req").cast("long").alias("req_at_emit"), "emit_round", "parent_node", "parent_q")
 
     most: int | None = None
@@ -114,7 +119,7 @@ class SearchRun:
 
 
 _STATE = (
-    "run int, node string, q int, g double, f double, h double, seq long, parent_node string, parent_q int, via_label string, via_inv boolean,"
+    "run int, node string, q int, g double, f double, h double, seq struct<round:int,turn:int,t_rank:int,label:string,inv:boolean,node:string,q:int>, parent_node string, parent_q int, via_label string, via_inv boolean,"
     " open boolean, goal boolean, emit_round int, emit_major double, emit_req long,"
     " expansions array<struct<round:int,pos:int,g:double,f:double,n_triples:long,requests:long>>"
 )
@@ -135,8 +140,8 @@ class _Rounds:
         n = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
         self.delta = self.automaton.delta(self.spark, costs)
         # Documents hold all labels; matching reads the wanted ones only.
-        self.adj = self.lookup.edges(self.automaton.labels).select("node", "p", "inv", "nbr").repartition(n, "node").persist(StorageLevel.MEMORY_AND_DISK)
-        self.docs = self.lookup.documents().select("node").repartition(n, "node").groupBy("node").agg(F.count(F.lit(1)).alias("n_triples")).persist(StorageLevel.MEMORY_AND_DISK)
+        self.adj = self.lookup.edges(self.automaton.labels).select("node", "p", "inv", "nbr").repartition(n, *keys_of(self.automaton)).persist(StorageLevel.MEMORY_AND_DISK)
+        self.docs = self.lookup.sizes().repartition(n, "node").persist(StorageLevel.MEMORY_AND_DISK)
         self.guides = {i: heuristic(self.automaton, s.heuristic, costs) if s.strategy == "astar" else dict.fromkeys(range(self.automaton.size), 0.0) for i, s in enumerate(specs)}
         dead = heuristic(self.automaton, "pathmax", costs)
         rows = [(i, q, (None if h == INF or dead[q] == INF else float(h))) for i, by in self.guides.items() for q, h in by.items()]
@@ -155,7 +160,7 @@ class _Rounds:
             h = self.guides[i][0]
             live = h < INF and bool(self.automaton.outgoing(0)) and not self.start.startswith('"')
             goal = accepts_empty(self.automaton)
-            rows.append((i, self.start, 0, 0.0, h if live else 0.0, h if live else 0.0, 0, None, None, None, None, live, goal, 0 if goal else None, 0.0, 0, []))
+            rows.append((i, self.start, 0, 0.0, h if live else 0.0, h if live else 0.0, (0, 0, 0, "", False, self.start, 0), None, None, None, None, live, goal, 0 if goal else None, 0.0, 0, []))
         return keep(self.spark.createDataFrame(rows, _STATE))
 
     def pick(self, state: DataFrame) -> DataFrame:
@@ -163,7 +168,7 @@ class _Rounds:
         best, queue = self.kind("astar"), self.kind("bfs", "astar")
         lifo = F.col("run").isin([i for i, s in enumerate(self.specs) if s.strategy == "astar" and s.tie == "lifo"])
         low = F.col("run").isin([i for i, s in enumerate(self.specs) if s.tie == "low_h"])
-        order = [F.when(best, F.col("f")).otherwise(0.0), F.when(best & low, F.col("h")).otherwise(0.0), F.when(queue & ~lifo, F.col("seq")).otherwise(-F.col("seq"))]
+        order = [F.when(best, F.col("f")).otherwise(0.0), F.when(best & low, F.col("h")).otherwise(0.0), F.when(queue & ~lifo, F.col("seq")).asc(), F.when(~(queue & ~lifo), F.col("seq")).desc()]
         left = {i: (s.k or EVERYTHING) if self.limits.max_requests is None else min(s.k or EVERYTHING, max(0, self.limits.max_requests - self.requests[i])) for i, s in enumerate(self.specs)}
         ready = state.where(F.col("open") & F.col("run").isin(sorted(self.active)))
         buckets = [i for i, s in enumerate(self.specs) if s.batch == "bucket"]
@@ -171,25 +176,27 @@ class _Rounds:
             least = _per_run({i: self.least_f.get(i, 0.0) for i in range(len(self.specs))}, "double")
             ready = ready.where(~F.col("run").isin(buckets) | (F.col("f") <= least))
             left |= {i: EVERYTHING for i in buckets if self.limits.max_requests is None}
+        ranked = [i for i, m in left.items() if m < EVERYTHING and i in self.active]
+        whole = ready.where(~F.col("run").isin(ranked)).withColumn("pos", F.lit(0))
+        if not ranked:
+            return whole
         w = Window.partitionBy("run").orderBy(*order)
-        most = max(left.values())
         # The literal bound lets Spark keep only the first rows of each task; the exact bound differs by run.
-        picked = ready.withColumn("pos", F.row_number().over(w))
-        picked = picked.where(F.col("pos") <= most) if most < EVERYTHING else picked
-        return picked.where(F.col("pos") <= _per_run(left, "long"))
+        picked = ready.where(F.col("run").isin(ranked)).withColumn("pos", F.row_number().over(w)).where(F.col("pos") <= max(left[i] for i in ranked))
+        return picked.where(F.col("pos") <= _per_run(left, "long")).unionByName(whole)
 
     def step(self, state: DataFrame, number: int) -> DataFrame:
         """One round: picks, lookups, merge."""
         batch = self.pick(state).select(*KEY, "g", "f", "pos")
         batch = batch.persist(StorageLevel.MEMORY_AND_DISK)
-        matched = succeed(batch.drop("f"), self.delta, self.adj).where(~is_literal("node"))
-        paid = self.lookup.cost(batch, matched, self.automaton, _Counted(self.docs))
+        matched = succeed(batch.drop("f"), self.automaton, self.delta, self.adj).where(~is_literal("node"))
+        paid = self.lookup.cost(batch, matched, self.automaton, self.docs)
         done = batch.join(paid, KEY).select(*KEY, F.struct(F.lit(number).alias("round"), F.col("pos").alias("pos"), "g", "f", "n_triples", "requests").alias("now"))
         made = matched.select("run", F.col("node").alias("parent_node"), F.col("q").alias("parent_q"), F.col("nbr").alias("node"), F.col("q2").alias("q"), (F.col("g") + F.col("cost")).alias("g"), F.when(self.kind("dfs"), -F.col("pos")).otherwise(F.col("pos")).alias("turn"), "t_rank", F.col("p").alias("via_label"), F.col("inv").alias("via_inv"), F.col("goal").alias("goal"), "pos")
         route = F.struct(F.when(self.kind("astar"), F.col("g")).otherwise(0.0).alias("a"), "turn", "t_rank", "via_label", "via_inv", "parent_node", "parent_q", "g", "goal", "pos")
         best = made.groupBy(*KEY).agg(F.min(route).alias("r")).select(*KEY, "r.*")
         best = best.join(F.broadcast(self.guide), ["run", "q"], "left")
-        best = best.withColumn("new_seq", F.row_number().over(Window.partitionBy("run").orderBy("turn", "t_rank", "via_label", "via_inv", "node", "q")) + F.lit(number << 32))
+        best = best.withColumn("new_seq", F.struct(F.lit(number).alias("round"), "turn", "t_rank", F.col("via_label").alias("label"), F.col("via_inv").alias("inv"), "node", "q"))
         old = state.select(*KEY, *[F.col(c).alias(f"o_{c}") for c in state.columns if c not in KEY]).join(done, KEY, "left")
         new = best.select(*KEY, *[F.col(c).alias(f"n_{c}") for c in best.columns if c not in KEY])
         both = old.join(new, KEY, "full_outer")
@@ -213,10 +220,10 @@ class _Rounds:
             F.coalesce("o_goal", "n_goal").alias("goal"),
             F.when(at_once, F.lit(number)).otherwise(F.col("o_emit_round")).alias("emit_round"),
             F.when(at_once, F.col("n_pos").cast("double")).otherwise(F.col("o_emit_major")).alias("emit_major"),
-            F.when(at_once, _per_run(self.requests, "long") + F.col("n_pos")).otherwise(F.col("o_emit_req")).alias("emit_req"),
+            "o_emit_req",
             F.when(F.col("now").isNotNull(), F.concat(F.coalesce("o_expansions", F.array().cast(_STATE.rsplit("expansions ")[1])), F.array("now"))).otherwise(F.coalesce("o_expansions", F.array().cast(_STATE.rsplit("expansions ")[1]))).alias("expansions"),
         )
-        kept = keep(out)
+        kept = keep(out.withColumnRenamed("o_emit_req", "emit_req"))
         batch.unpersist()
         return kept
 
@@ -245,30 +252,38 @@ class _Rounds:
         return total, waiting
 
     def release(self, state: DataFrame, number: int) -> DataFrame:
-        """Marks waiting goals that nothing open can undercut."""
+        """Marks waiting goals that nothing open can undercut; what was emitted in this round is credited at its end."""
         early = {i: self.least_f.get(i, INF) for i in range(len(self.specs))}
         bound = _per_run({i: (1e300 if f == INF else f) for i, f in early.items()}, "double")
         strict = F.col("run").isin([i for i, s in enumerate(self.specs) if s.emit_rule == "on_extract"])
         reached = F.when(strict, (F.col("g") < bound) | (F.size("expansions") > 0)).otherwise(F.col("g") <= bound)
         free = F.col("goal") & F.col("emit_round").isNull() & self.kind("astar") & reached
-        return state.withColumns({"emit_round": F.when(free, F.lit(number)).otherwise(F.col("emit_round")), "emit_major": F.when(free, F.col("g")).otherwise(F.col("emit_major")), "emit_req": F.when(free, _per_run(self.requests, "long")).otherwise(F.col("emit_req"))})
+        out = free | F.col("emit_round").isNotNull()
+        return state.withColumns({"emit_round": F.when(free, F.lit(number)).otherwise(F.col("emit_round")), "emit_major": F.when(free, F.col("g")).otherwise(F.col("emit_major")), "emit_req": F.when(out, F.coalesce("emit_req", _per_run(self.requests, "long"))).cast("long")})
 
     def loop(self) -> Iterator[SearchRun]:
         state, number = self.seed(), 0
         while True:
             total, waiting = self.survey(state)
             self.least_f = {i: t["f"] for i, t in total.items()}
+            self.requests |= {i: t["requests"] for i, t in total.items()}
+            released = self.release(state, number)
+            # A node that answers in several states is one answer, and goals may wait for their own lookup: then answers are
+            # counted by node, otherwise the totals tell.
+            answers = {}
+            if self.limits.max_answers is not None and (len(self.automaton.finals) > 1 or any(s.emit_rule == "on_extract" for s in self.specs)):
+                answers = {r["run"]: r["n"] for r in released.where("emit_round is not null").groupBy("run").agg(F.count_distinct("node").alias("n")).collect()}
             for i, t in total.items():
-                self.requests[i] = t["requests"]
                 if i not in self.active:
                     continue
                 ready = sum(n for g, n in waiting.get(i, {}).items() if g <= t["f"]) if self.specs[i].strategy == "astar" else 0
+                out = answers.get(i, t["out"] + ready if not answers else 0)
                 self.result.open_peak[i] = max(self.result.open_peak.get(i, 0), t["open"])
                 self.result.seen_size[i], self.result.rounds[i] = t["n"], number
                 lim = self.limits
                 why = (
                     "exhausted" if not t["open"]
-                    else "answers" if lim.max_answers is not None and t["out"] + ready >= lim.max_answers
+                    else "answers" if lim.max_answers is not None and out >= lim.max_answers
                     else "triples" if lim.max_triples is not None and t["triples"] > lim.max_triples
                     else "requests" if lim.max_requests is not None and t["requests"] >= lim.max_requests
                     else "seconds" if lim.max_seconds is not None and time.time() - self.began > lim.max_seconds
@@ -277,7 +292,6 @@ class _Rounds:
                 if why:
                     self.result.stopped[i] = why
                     self.active.discard(i)
-            released = self.release(state, number)
             self.result.state = released
             yield self.result
             if not self.active:
@@ -291,19 +305,6 @@ class _Rounds:
         self.docs.unpersist()
 
 
-class _Counted:
-    """Document sizes, counted once: stands in for the documents themselves where only their size is asked for."""
-
-    def __init__(self, sizes: DataFrame):
-        self.sizes = sizes
-
-    def groupBy(self, *_: str):  # noqa: N802
-        return self
-
-    def agg(self, *_: Column) -> DataFrame:
-        return self.sizes
-
-
 def run_many(graph: TripleGraph, expr: str | PathExpr, start: str, specs: list[Spec], limits: Limits = Limits(), lookup: Lookup | None = None, costs: dict[str, float] | None = None) -> SearchRun:  # noqa: B008
     """All runs to their end."""
     out = None
@@ -331,10 +332,11 @@ def complete(result: SearchRun) -> SearchRun:
 
 
 def iter_answers(graph: TripleGraph, expr: str | PathExpr, start: str, limits: Limits = Limits(), lookup: Lookup | None = None, **spec) -> Iterator[DataFrame]:  # noqa: B008
-    """Answers as they come: after each round the table of those that the round released."""
+    """Answers as they come: after each round the table of those that the round released, in files of its own, which stay when
+    the search has gone on."""
     rounds = _Rounds(graph, expr, start, [Spec(**spec)], limits, lookup, None)
     for number, now in enumerate(rounds.loop()):
-        yield now.answers().where(F.col("emit_round") == number)
+        yield keep(now.answers().where(F.col("emit_round") == number))
 
 
 def timed(run: SearchRun, latency: Latency) -> DataFrame:

@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-from functools import reduce as fold
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import measures
+from ..operators.client import ClientRun, Job, search_all
 from ..operators.deref import Combined, Endpoint, Latency, Lookup, PartialDocs
-from ..operators.search import Limits, SearchRun, Spec, run_many
+from ..operators.search import Limits, Spec
 from .workloads import GRID, Workload
 
 STRATEGIES = ("astar", "bfs", "dfs")
@@ -20,33 +19,27 @@ def combined(graph) -> Lookup:
     return Combined(PartialDocs(graph, 0.5), Endpoint(graph))
 
 
-def grid_run(spark: SparkSession, sf_dir: str, w: Workload, ks: tuple[int, ...] = (1,), limits: Limits = Limits(), strategies: tuple[str, ...] = STRATEGIES) -> SearchRun:  # noqa: B008
-    """All strategies and batch sizes of one workload, as runs of one call."""
-    g = w.graph(spark, sf_dir)
-    return run_many(g, w.expr, w.start, [Spec(s, k) for k in ks for s in strategies], limits, combined(g))
-
-
-def named(run: SearchRun, df: DataFrame) -> DataFrame:
-    """Adds ``strategy`` and ``k`` to rows keyed by run."""
-    rows = [(i, s.strategy, s.k) for i, s in enumerate(run.specs)]
-    return df.join(F.broadcast(df.sparkSession.createDataFrame(rows, "run int, strategy string, k int")), "run")
-
-
-def dominance_of(run: SearchRun, axis: str, latency: Latency | None = None) -> DataFrame:
-    """``(k, strategy, dominates, share)`` of one workload; runs are compared with those of their own k."""
-    curves, ends = named(run, measures.curve(run, axis, latency=latency)), named(run, measures.finished(run, axis, latency))
-    out = []
-    for k in sorted({s.k for s in run.specs}):
-        got = measures.dominance(curves.where(F.col("k") == k).select("run", "x", "answers"), ends.where(F.col("k") == k).select("run", "x"))
-        out.append(named(run, got))
-    return fold(DataFrame.unionByName, out).select("k", "strategy", "dominates", "share")
+#: Calls at once in the published comparison.
+CALLS = (1, 10, 20, 40)
 
 
-def dominance_table(spark: SparkSession, sf_dir: str, workloads: list[Workload] = GRID, ks: tuple[int, ...] = (1, 10, 20, 40), axes: tuple[str, ...] = ("requests", "seconds"), limits: Limits = Limits(max_answers=1000)) -> DataFrame:  # noqa: B008
-    """``(workload, axis, k, strategy, dominates, share)`` for the whole grid; feed it to ``measures.tally``."""
-    rows = []
+def grid_run(spark: SparkSession, sf_dir: str, workloads: list[Workload] = GRID, ks: tuple[int, ...] = CALLS, limits: Limits = Limits(), strategies: tuple[str, ...] = STRATEGIES, latency: Latency = Latency()) -> ClientRun:  # noqa: B008
+    """All strategies and batch sizes of the workloads, stopped by the published limits: 1,000 answers, 100,000 triples or ten
+    minutes (of simulated lookups)."""
+    jobs = []
     for w in workloads:
-        result = grid_run(spark, sf_dir, w, ks, limits)
-        for axis in axes:
-            rows.append(dominance_of(result, axis).select(F.lit(w.id).alias("workload"), F.lit(axis).alias("axis"), "k", "strategy", "dominates", "share"))
-    return fold(DataFrame.unionByName, rows)
+        lookup = combined(w.graph(spark, sf_dir))
+        jobs += [Job(lookup, w.expr, w.start, Spec(s, k), w.id) for k in ks for s in strategies]
+    return search_all(jobs, limits, latency)
+
+
+def dominance_rows(run: ClientRun, axes: tuple[str, ...] = ("requests", "seconds"), latency: Latency = Latency()) -> DataFrame:  # noqa: B008
+    """``(workload, axis, k, strategy, dominates, share)``; runs are compared with those of their own workload and k."""
+    curves, ends = None, None
+    for axis in axes:
+        c = run.named(measures.curve(run, axis, latency=latency)).withColumn("axis", F.lit(axis))
+        e = run.named(measures.finished(run, axis, latency)).withColumn("axis", F.lit(axis))
+        curves, ends = (c, e) if curves is None else (curves.unionByName(c), ends.unionByName(e))
+    got = measures.dominance(curves, ends, by=("axis", "name", "k"))
+    who = run.spark.createDataFrame([(s.number, s.spec.strategy) for s in run.searches], "run int, strategy string")
+    return got.join(F.broadcast(who), "run").select(F.col("name").alias("workload"), "axis", "k", "strategy", "dominates", "share")

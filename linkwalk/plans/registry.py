@@ -14,14 +14,15 @@ from pyspark.sql import functions as F
 
 from ..functions.tables import shared_dir
 from ..operators import algebra, bgp, measures, paths, product
-from ..operators.deref import Combined, Endpoint, PartialDocs, PatternPages
-from ..operators.search import Limits, Spec, answers_only, complete, run, run_many
+from ..operators.client import Job, search, search_all
+from ..operators.deref import Combined, Endpoint, FullDocs, MultiSource, PartialDocs, PatternPages
+from ..operators.search import Limits, Spec, answers_only, complete, iter_answers, run, run_many
 from ..sources.graph import TripleGraph, construct, from_testdata
 from . import pathsql
-from .automaton import compile_path, pathmax_distance, state_distance
-from .grid import combined, dominance_of, grid_run, named
+from .automaton import compile_path
+from .grid import combined, dominance_rows, grid_run
 from .twins import delta_sql, pairs_sql, reach_sql, triples_sql, walk_ctes
-from .workloads import WORKLOADS
+from .workloads import GRID, WORKLOADS
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLE_SQL: dict[str, str] = {}
@@ -124,15 +125,12 @@ def single_source_answers(spark, sf_dir):
     return product.reach(from_testdata(spark, sf_dir, ["sales", "supply"]).only("sales"), "(^placed_by/placed_by)*/name", "customer:0")
 
 
-def _states_sql(expr: str) -> str:
-    a = compile_path(expr)
-    h, hat = state_distance(a), pathmax_distance(a)
-    null = lambda x: "NULL" if x == float("inf") else str(int(x))
-    rows = ", ".join(f"({q}, {str(q in a.finals).lower()}, {null(h[q])}, {null(hat[q])})" for q in range(a.size))
-    return f"SELECT q::INTEGER AS q, is_final, h::INTEGER AS h, h_hat::INTEGER AS h_hat FROM (VALUES {rows}) AS t(q, is_final, h, h_hat)"
+#: Written out by hand from the expression: state 0 stands at a person of either kind, 1 at an order that a person placed or
+#: that shares an item with one, 2 at an item between two orders.
+_STATES = "SELECT q::INTEGER AS q, is_final, h::INTEGER AS h, h_hat::INTEGER AS h_hat FROM (VALUES (0, true, 0, 1), (1, false, 1, 1), (2, false, 2, 2)) AS t(q, is_final, h, h_hat)"
 
 
-@query("state_table", _states_sql(WORKLOADS["collab_multi_source"].expr))
+@query("state_table", _STATES)
 def state_table(spark, sf_dir):
     return compile_path(WORKLOADS["collab_multi_source"].expr).states(spark)
 
@@ -179,81 +177,216 @@ def nearest_answers(spark, sf_dir):
 
 
 # --- ordered searches -------------------------------------------------------------------------------------------------------
+#
+# Stopped by the published limits: 1,000 answers, 100,000 triples or ten minutes of simulated lookups.
 
-_TRACE = Limits(max_requests=40)
 
+def _bfs_sql(w) -> str:
+    """Breadth-first order in SQL: layers are numbered one after the other; a node met again later is dropped at the end."""
+    live = ", ".join(str(q) for q in sorted({q for q, _, _ in compile_path(w.expr).edges}))
+    ctes = walk_ctes(w.expr, w.sources, f"SELECT '{w.start}' AS seed", w.cap).rsplit("walk(seed", 1)[0]
+    return f"""WITH RECURSIVE {ctes}
+bfs(node, q, d, ord) AS (
+  SELECT '{w.start}', 0, 0, 1::BIGINT
+  UNION ALL
+  SELECT nbr, q2, d, row_number() OVER (ORDER BY best) FROM (
+    SELECT e.nbr, e.q2, b.d + 1 AS d, min({{'a': b.ord, 'b': e.t_rank, 'c': e.p, 'd': e.inv, 'e': e.nbr, 'f': e.q2}}) AS best
+    FROM bfs b JOIN edge e ON e.node = b.node AND e.q = b.q WHERE b.d < {w.cap} GROUP BY e.nbr, e.q2, b.d)),
+seen AS (SELECT node, q, min(d) AS d, min_by(ord, d) AS ord FROM bfs GROUP BY node, q)
+SELECT row_number() OVER (ORDER BY d, ord)::INTEGER AS req, node, q::INTEGER AS q, d::DOUBLE AS g FROM seen WHERE q IN ({live}) AND NOT starts_with(node, '"')"""
 
-def _trace(name: str, spec: Spec):
-    query(name)(lambda spark, sf_dir: run_many(_W1L.graph(spark, sf_dir), _W1L.expr, _W1L.start, [spec], _TRACE).trace().drop("run"))
 
+@query("trace_bfs", f"SELECT * FROM ({_bfs_sql(_W1L)}) WHERE req <= 400")
+def trace_bfs(spark, sf_dir):
+    """The first 400 lookups of sequential breadth-first search."""
+    got = search(_W1L.graph(spark, sf_dir), _W1L.expr, _W1L.start, [Spec("bfs")], Limits(None, None, None, 400))
+    return got.trace().select("req", "node", "q", "g")
 
-_trace("trace_bfs", Spec("bfs", 8))
-_trace("trace_dfs", Spec("dfs", 8))
-_trace("trace_astar", Spec("astar", 8))
-_trace("trace_astar_plain", Spec("astar", 8, heuristic="state"))
-_trace("trace_astar_fifo_ties", Spec("astar", 8, tie="fifo"))
-_trace("trace_astar_on_extract", Spec("astar", 8, emit_rule="on_extract"))
+
+@query("trace_bfs_batches", f"SELECT * FROM ({_bfs_sql(_W1L)}) WHERE req <= 400")
+def trace_bfs_batches(spark, sf_dir):
+    """Forty lookups at once, as tables: the order is that of sequential search."""
+    result = run_many(_W1L.graph(spark, sf_dir), _W1L.expr, _W1L.start, [Spec("bfs", 40)], Limits(None, None, None, 400))
+    return result.trace().select("req", "node", "q", "g")
+
+
+def _trace(name: str, spec: Spec, w=_W1L):
+    query(name)(lambda spark, sf_dir: search(w.graph(spark, sf_dir), w.expr, w.start, [spec], lookup=combined(w.graph(spark, sf_dir))).trace().drop("run"))
+
+
+_trace("trace_dfs", Spec("dfs"))
+_trace("trace_dfs_batches", Spec("dfs", 10))
+_trace("trace_astar", Spec("astar"))
+_trace("trace_astar_plain", Spec("astar", heuristic="state"))
+_trace("trace_astar_fifo_ties", Spec("astar", tie="fifo"))
+_trace("trace_astar_on_extract", Spec("astar", emit_rule="on_extract"))
+
+#: The three queries whose curves are published: coauthor reach, the shallow one, and the one over several sources.
+_DRAWN = [_W1L, WORKLOADS["region_trade_star"], WORKLOADS["collab_multi_source"]]
 
 
 @query("curve_requests")
 def curve_requests(spark, sf_dir):
-    result = grid_run(spark, sf_dir, _W1L, (10,), Limits(max_requests=80))
-    return named(result, measures.curve(result)).select("strategy", "k", "x", "answers")
+    got = grid_run(spark, sf_dir, _DRAWN, (1,))
+    return got.named(measures.curve(got)).select(F.col("name").alias("workload"), "strategy", "x", "answers")
 
 
 @query("curve_seconds_share")
 def curve_seconds_share(spark, sf_dir):
-    available = _W1L.exact(spark, sf_dir).count()
-    result = grid_run(spark, sf_dir, _W1L, (20,), Limits(max_requests=80))
-    return named(result, measures.curve(result, "seconds", available=available)).select("strategy", "k", "x", "answers")
+    """Sequential and 20 calls at once, against time, as a share of all answers."""
+    available = _W1.exact(spark, sf_dir).count()
+    got = grid_run(spark, sf_dir, [_W1], (1, 20))
+    return got.named(measures.curve(got, "seconds", available=available)).select("strategy", "k", "x", "answers")
+
+
+@query("dominance_grid")
+def dominance_grid(spark, sf_dir):
+    return dominance_rows(grid_run(spark, sf_dir))
+
+
+@query("dominance_tally")
+def dominance_tally(spark, sf_dir):
+    """How often each strategy dominates, of eleven workloads, by axis and calls at once: the published comparison."""
+    return measures.tally(dominance_rows(grid_run(spark, sf_dir)))
 
 
 @query("dominance_requests")
 def dominance_requests(spark, sf_dir):
-    result = grid_run(spark, sf_dir, _W1L, (10,), Limits(max_requests=80))
-    return dominance_of(result, "requests")
+    return dominance_rows(grid_run(spark, sf_dir, ks=(1,)), ("requests",)).drop("axis", "k")
 
 
 @query("dominance_by_k")
 def dominance_by_k(spark, sf_dir):
-    result = grid_run(spark, sf_dir, _W7, (20, 40), Limits(max_requests=160))
-    return dominance_of(result, "seconds")
+    return measures.tally(dominance_rows(grid_run(spark, sf_dir), ("seconds",))).drop("axis")
 
 
 @query("first_answer_requests")
 def first_answer_requests(spark, sf_dir):
-    result = grid_run(spark, sf_dir, _W1L, (4,), Limits(max_answers=3, max_requests=80))
-    second = result.answers().where("rank = 2").select("run", F.col("req_at_emit").alias("second"))
-    return named(result, measures.first_answer(result).join(second, "run", "left")).select("strategy", "requests", "second")
+    got = grid_run(spark, sf_dir, [*GRID, _W1L], (1,))
+    second = got.answers().where("rank = 2").select("run", F.col("req_at_emit").alias("second"))
+    return got.named(measures.first_answer(got).join(second, "run", "left")).select(F.col("name").alias("workload"), "strategy", "requests", "second")
+
+
+_W7N = WORKLOADS["customer_reach_names"]
 
 
 @query("lengths_at_ranks")
 def lengths_at_ranks(spark, sf_dir):
-    result = grid_run(spark, sf_dir, _W1L, (10,), Limits(max_requests=100))
-    return named(result, measures.lengths_at(result, [5, 10, 50, 200])).select("strategy", "rank", "length")
+    """Walk lengths at the published ranks, on workloads with more than 200 answers."""
+    got = grid_run(spark, sf_dir, [_W1, _W7N, _W2], (1,))
+    return got.named(measures.lengths_at(got, [5, 10, 50, 200])).select(F.col("name").alias("workload"), "strategy", "rank", "length")
 
 
 @query("speed_up_by_k")
 def speed_up_by_k(spark, sf_dir):
-    g = _W1.graph(spark, sf_dir)
-    result = run_many(g, _W1.expr, _W1.start, [Spec("astar", k) for k in (5, 10, 20, 40)], Limits(max_requests=80), combined(g))
-    return named(result, measures.speed_up(result, 0)).select("k", "answers", "speed_up")
+    """Simulated time of sequential search over that of 10, 20 and 40 calls at once, at the last answer that both have."""
+    out = None
+    for s in ("astar", "bfs", "dfs"):
+        got = grid_run(spark, sf_dir, [_W1], strategies=(s,))
+        rows = got.named(measures.speed_up(got, 0)).select("strategy", "k", "answers", "speed_up")
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 @query("run_memory")
 def run_memory(spark, sf_dir):
-    result = grid_run(spark, sf_dir, _W1L, (20,), Limits(max_requests=80))
-    return named(result, measures.memory(result)).drop("run")
+    got = grid_run(spark, sf_dir, [_W1L, _W1, _W7], (1, 20))
+    return got.named(measures.memory(got)).drop("run").withColumnRenamed("name", "workload")
+
+
+@query("triples_fetched")
+def triples_fetched(spark, sf_dir):
+    """Triples, and why each run stopped."""
+    got = grid_run(spark, sf_dir, ks=(1,))
+    why = spark.createDataFrame([(i, x) for i, x in got.stopped.items()], "run int, stopped string")
+    return got.named(measures.triples(got).join(F.broadcast(why), "run")).select(F.col("name").alias("workload"), "strategy", "triples", "stopped")
+
+
+def _ranks_sql(w, n: int, column: str) -> str:
+    return f"SELECT row_number() OVER (ORDER BY length, node) AS rank, {column} FROM ({w.sql()}) ORDER BY rank LIMIT {n}"
+
+
+#: The n-th answer has the n-th shortest length in what was discovered; breadth-first and both guides, in batches too.
+_OPTIMAL = [Spec("bfs"), Spec("bfs", 10), Spec("astar"), Spec("astar", 10), Spec("astar", heuristic="zero"), Spec("astar", heuristic="state")]
+_NAMES = "(VALUES " + ", ".join(f"({i})" for i in range(len(_OPTIMAL))) + ") AS t(run)"
+
+
+@query("optimality_gaps", f"SELECT run, rank, 0 AS gap FROM ({_ranks_sql(_W1L, 40, 'length')}), {_NAMES}")
+def optimality_gaps(spark, sf_dir):
+    """Length of the n-th answer less the n-th shortest one over the graph that the run discovered: nought, everywhere."""
+    g = _W1L.graph(spark, sf_dir)
+    got = search(g, _W1L.expr, _W1L.start, _OPTIMAL, Limits(max_answers=40, max_triples=None, max_seconds=None))
+    gaps = measures.optimality_gap(got, measures.discovered_lengths(got, product.materialize(g, got.automaton)))
+    return gaps.select("run", F.col("rank").cast("long").alias("rank"), "gap")
+
+
+@query("expansions_contained", f"SELECT count(*) AS expanded, 0::BIGINT AS outside FROM ({_bfs_sql(_W1L)}) WHERE g < (SELECT max(length) FROM ({_ranks_sql(_W1L, 40, 'length')}))")
+def expansions_contained(spark, sf_dir):
+    """Of best-first search for 40 answers, the lookups that breadth-first search does not make by the end of the same layer: none. ``expanded``
+    counts what breadth-first search looks up below the length of the 40th answer."""
+    g = _W1L.graph(spark, sf_dir)
+    guided = search(g, _W1L.expr, _W1L.start, [Spec("astar")], Limits(max_answers=40, max_triples=None, max_seconds=None))
+    last = guided.answers().agg(F.max("length")).first()[0]
+    whole = search(g, _W1L.expr, _W1L.start, [Spec("bfs", None)], Limits(max_answers=None, max_triples=1 << 40, max_seconds=None))
+    layers = whole.trace().where(F.col("g") < last).select("node", "q")
+    outside = guided.trace().select("node", "q").distinct().join(layers, ["node", "q"], "left_anti").count()
+    return layers.agg(F.count(F.lit(1)).alias("expanded")).withColumn("outside", F.lit(outside).cast("long"))
+
+
+@query("cheapest_walks", f"""WITH RECURSIVE t AS MATERIALIZED ({triples_sql(('geo',))}), r(node, cost) AS (
+  SELECT 'region:3', 0.0::DOUBLE UNION ALL
+  SELECT CASE WHEN inv THEN s ELSE o END, cost + CASE WHEN p = 'in_region' THEN 5.0 ELSE 1.0 END FROM r JOIN (SELECT *, unnest([true, false]) AS inv FROM t WHERE p IN ('in_region', 'in_nation')) t ON r.node = CASE WHEN inv THEN o ELSE s END WHERE cost <= 7.0)
+SELECT node, min(cost) AS length FROM r GROUP BY node""")
+def cheapest_walks(spark, sf_dir):
+    """Best-first search where labels cost differently: all nodes within the least costs that walks of the graph have."""
+    result = run(from_testdata(spark, sf_dir, ["geo"]), "(in_region|^in_region|in_nation|^in_nation)*", "region:3", k=None, batch="bucket", limits=Limits(None, None, None, None), costs={"in_region": 5.0})
+    return complete(result).answers().select("node", "length")
+
+
+@query("answers_as_they_come", f"SELECT rank, length, 1 AS times FROM ({_ranks_sql(_W1L, 60, 'length')})")
+def answers_as_they_come(spark, sf_dir):
+    """Every answer is handed out once, nearest first, by the round that released it."""
+    out = None
+    for part in iter_answers(_W1L.graph(spark, sf_dir), _W1L.expr, _W1L.start, answers_only(60), strategy="astar", k=40):
+        part = part.select("rank", "length", "emit_round")
+        out = part if out is None else out.unionByName(part)
+    return out.groupBy("rank").agg(F.min("length").cast("int").alias("length"), F.count(F.lit(1)).cast("int").alias("times")).select(F.col("rank").cast("long").alias("rank"), "length", "times")
+
+
+@query("several_publishers", f"SELECT node, length, 3::BIGINT AS asked FROM ({WORKLOADS['coorder_names_fixed'].sql()})")
+def several_publishers(spark, sf_dir):
+    """Answers over three publishers, each of which is asked at every lookup."""
+    w = WORKLOADS["coorder_names_fixed"]
+    g = from_testdata(spark, sf_dir, ["supply", "catalog", "sales"])
+    got = search(g, w.expr, w.start, [Spec("bfs", None)], Limits(max_answers=None, max_triples=1 << 40, max_seconds=None), MultiSource(g))
+    asked = got.trace().agg(F.max("requests").alias("asked"))
+    return got.answers().select("node", F.col("length").cast("int").alias("length")).join(F.broadcast(asked))
+
+
+@query("cached_documents", f"SELECT count(*) AS lookups, count(DISTINCT node) AS requests FROM ({_bfs_sql(WORKLOADS['reach_orders'])})")
+def cached_documents(spark, sf_dir):
+    """Lookups of a whole breadth-first search, and the requests left where documents are kept: one for each node."""
+    lookup = FullDocs(_W2.graph(spark, sf_dir))
+    got = search_all([Job(lookup, _W2.expr, _W2.start, Spec("bfs", None), cache=True)], Limits(max_answers=None, max_triples=1 << 40, max_seconds=None))
+    return got.trace().agg(F.count(F.lit(1)).alias("lookups"), F.sum("requests").alias("requests"))
+
+
+@query("tested_nodes", "SELECT DISTINCT 'part:' || b.l_partkey AS node, 2 AS length FROM lineitem a JOIN lineitem b ON a.l_suppkey = b.l_suppkey JOIN part ON p_partkey = b.l_partkey WHERE a.l_orderkey = 1 AND p_size > 40")
+def tested_nodes(spark, sf_dir):
+    """A transition that only nodes of a given table pass."""
+    large = spark.read.parquet(f"{sf_dir}/part.parquet").where("p_size > 40").select(F.concat(F.lit("part:"), F.col("p_partkey").cast("string")).alias("node"))
+    return product.reach(from_testdata(spark, sf_dir, ["supply"]), "filled_by/supplies[large]", "order:1", tests={"large": large})
 
 
 @query("endpoint_search")
 def endpoint_search(spark, sf_dir):
     g = _W1L.graph(spark, sf_dir)
-    return run(g, _W1L.expr, _W1L.start, "astar", 20, Limits(max_requests=60), Endpoint(g)).trace().drop("run")
+    return search(g, _W1L.expr, _W1L.start, [Spec("astar", 20)], lookup=Endpoint(g)).trace().drop("run")
 
 
 @query("paged_search")
 def paged_search(spark, sf_dir):
+    """As tables: pages depend on what a pattern matches."""
     g = _W1L.graph(spark, sf_dir)
     return run(g, _W1L.expr, _W1L.start, "astar", 20, Limits(max_requests=60), PatternPages(g, 10)).trace().drop("run")
 
@@ -309,11 +442,30 @@ def partial_docs_recall(spark, sf_dir):
     return measures.recall(partial_docs_reach(spark, sf_dir), _W2.exact(spark, sf_dir))
 
 
-@query("helped_docs_recall", f"SELECT count(*) AS found, count(*) AS there, 1.0::DOUBLE AS recall FROM ({_W2.sql()})")
+@query(
+    "helped_docs_share",
+    f"""WITH t AS ({triples_sql(('supply',))}), adj AS (SELECT s AS node, p, false AS inv, o AS nbr, true AS kept FROM t UNION ALL SELECT o, p, true, s, substr(md5(s || '|' || p || '|' || o), 1, 2) < '80' FROM t),
+a AS (SELECT inv, count(*) FILTER (WHERE kept) AS shown, count(*) FILTER (WHERE p = 'contains' AND NOT kept) AS helped, count(*) AS there FROM adj GROUP BY inv) SELECT * FROM a""",
+)
+def helped_docs_share(spark, sf_dir):
+    """By direction: triples that incomplete documents hold, those that only the endpoint adds for one label, and all there are."""
+    g = from_testdata(spark, sf_dir, ["supply"])
+    both, docs = Combined(PartialDocs(g, 0.5), Endpoint(g)), PartialDocs(g, 0.5)
+    keys = ["node", "p", "inv", "nbr"]
+    added = both.edges({"contains"}).join(docs.edges({"contains"}), keys, "left_anti").groupBy("inv").agg(F.count(F.lit(1)).alias("helped"))
+    every = both.rows().groupBy("inv").agg(F.sum(F.col("shown").cast("long")).alias("shown"), F.count(F.lit(1)).alias("there"))
+    return every.join(added, "inv", "left").select("inv", "shown", F.coalesce("helped", F.lit(0)).alias("helped"), "there")
+
+
+@query("helped_docs_recall", f"SELECT (SELECT count(*) FROM ({reach_sql(_W2.expr, _W2.sources, _W2.start, 24, 0.5)})) AS alone, (SELECT count(*) FROM ({_W2.sql()})) AS helped")
 def helped_docs_recall(spark, sf_dir):
+    """Answers that search finds over incomplete documents alone, and with the endpoint's help."""
     g = _W2.graph(spark, sf_dir)
-    helped = _Seen(Combined(PartialDocs(g, 0.5), Endpoint(g)))
-    return measures.recall(product.reach(helped, _W2.expr, _W2.start), _W2.exact(spark, sf_dir))
+    docs, every = PartialDocs(g, 0.5), Limits(max_answers=None, max_triples=1 << 40, max_seconds=None)
+    counts = []
+    for lookup in (docs, Combined(docs, Endpoint(g))):
+        counts.append(search(g, _W2.expr, _W2.start, [Spec("bfs", None)], every, lookup).answers().count())
+    return spark.createDataFrame([tuple(counts)], "alone long, helped long")
 
 
 _PATTERN = "SELECT 'order:' || l_orderkey AS nbr FROM lineitem WHERE l_partkey = 0 GROUP BY 1"

@@ -63,7 +63,7 @@ class LiveReach:
             front = keep(self._new(front, self.adj))
 
     def _new(self, front: DataFrame, adj: DataFrame) -> DataFrame:
-        ahead = succeed(front, self.delta, adj).select(F.col("nbr").alias("node"), F.col("q2").alias("q")).distinct()
+        ahead = succeed(front, self.automaton, self.delta, adj).select(F.col("nbr").alias("node"), F.col("q2").alias("q")).distinct()
         return ahead.join(self.seen.select("node", "q"), ["node", "q"], "left_anti")
 
     def answers(self) -> DataFrame:

@@ -18,7 +18,8 @@ def reads(symbol, p, inv):
 
 
 def simulate(triples, expr, start, strategy, k=1, guide="pathmax", tie="low_h", most=10**9):
-    """(expanded nodes, [(node, length, request)]) of one run."""
+    """(expanded nodes, [(node, length, request)]) of one run. ``k`` None takes all open nodes, without an order among them."""
+    flat, k = k is None, k or 10**9
     adj, a = neighbours(triples), compile_path(expr)
     h = heuristic(a, guide) if strategy == "astar" else dict.fromkeys(range(a.size), 0.0)
     dead = heuristic(a, "pathmax")
@@ -48,11 +49,12 @@ def simulate(triples, expr, start, strategy, k=1, guide="pathmax", tie="low_h",
         open_.add((start, 0))
     while open_ and len(trace) < most:
         batch = heapq.nsmallest(min(k, most - len(trace), len(open_)), open_, key=priority)
-        base = len(trace)
+        if flat:
+            batch.sort()
         trace += [n[0] for n in batch]
         open_ -= set(batch)
         made = {}
-        for pos, n in enumerate(batch, 1):
+        for pos, n in [(0, n) for n in batch] if flat else enumerate(batch, 1):
             for rank, (symbol, q2) in enumerate(a.outgoing(n[1])):
                 for p, inv, o in adj.get(n[0], ()):
                     if reads(symbol, p, inv):
@@ -74,7 +76,7 @@ def simulate(triples, expr, start, strategy, k=1, guide="pathmax", tie="low_h",
                         waiting.add(new)
                     elif fresh:
                         emitted[new] = True
-                        answers.append((new[0], g[new], base + route[7], route[7], seq[new]))
+                        answers.append((new[0], g[new], len(trace), route[7], seq[new]))
         if strategy == "astar":
             release()
         else:

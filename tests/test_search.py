@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 from simulate import G1, G2, G3, exact, simulate
 
-from linkwalk.operators import algebra, measures, paths, product
+from linkwalk.operators import algebra, client, measures, paths, product
 from linkwalk.operators.deref import Combined, Endpoint, FullDocs, Latency, MultiSource, PartialDocs, PatternPages
 from linkwalk.operators.search import Limits, Spec, answers_only, complete, iter_answers, run, run_many, timed
 from linkwalk.sources.graph import from_triples
@@ -56,7 +56,7 @@ def test_batches_against_the_simulator(spark):
     specs = [Spec(s, k) for s in ("bfs", "dfs", "astar") for k in (2, 3, None)]
     result = run_many(graph(spark, G1), COAUTHORS, "A", specs)
     for i, s in enumerate(specs):
-        assert lists(result, i) == simulate(G1, COAUTHORS, "A", s.strategy, s.k or 10**6)
+        assert lists(result, i) == simulate(G1, COAUTHORS, "A", s.strategy, s.k)
     assert [x for x in result.rounds.values()][:1] == [7]
     whole = [i for i, s in enumerate(specs) if s.k is None]
     assert len({result.rounds[i] for i in whole}) == 1 and len({frozenset(n for n, _, _ in lists(result, i)[1]) for i in whole}) == 1
@@ -116,13 +116,15 @@ def test_random_graphs(spark):
         assert pairs == (set(want) if "n0" in known else set())
         specs = [Spec("bfs", 3), Spec("dfs", 2), Spec("astar", 1), Spec("astar", 7), Spec("astar", None, batch="bucket"), Spec("astar", 2, heuristic="zero"), Spec("astar", 3, heuristic="state")]
         result = run_many(g, expr, "n0", specs, Limits(max_answers=None))
+        by_client = client.search(g, expr, "n0", specs, Limits(max_answers=None, max_triples=10**9, max_seconds=None))
         for i, s in enumerate(specs):
             trace, answers = lists(result, i)
             assert {n for n, _, _ in answers} == set(want)
             if s.strategy != "dfs":
                 assert [n for _, n, _ in answers] == sorted(want.values())
+            assert lists(by_client, i) == (trace, answers)
             if s.batch == "top":
-                assert (trace, answers) == simulate(triples, expr, "n0", s.strategy, s.k or 10**6, s.heuristic)
+                assert (trace, answers) == simulate(triples, expr, "n0", s.strategy, s.k, s.heuristic)
         gap = measures.optimality_gap(result, measures.discovered_lengths(result, product.materialize(g, result.automaton)))
         assert gap.where(F.col("run").isin([0, 2, 3, 4, 5, 6]) & (F.col("gap") != 0)).count() == 0
         assert measures.expansion_containment(result, 2, 0).count() == 0
@@ -144,6 +146,52 @@ def test_limits_and_increments(spark):
     assert [x[0] for x in late] == list("ABCDE") and all(a[2] >= b[2] for a, b in zip(late, lists(run(g, COAUTHORS, "A"))[1], strict=True))
 
 
+def test_clients_and_tables_agree(spark):
+    """Both engines, over every lookup: the same lookups in the same order, answers, triples, requests and ends."""
+    from linkwalk.operators.client import Job, search_all
+
+    r = random.Random(3)
+    triples = [(f"n{r.randint(0, 25)}", r.choice("abc"), f"n{r.randint(0, 25)}") for _ in range(90)]
+    g = graph(spark, triples)
+    expr, limits = "(a|^b)*/c?", Limits(max_answers=8, max_triples=40, max_seconds=None)
+    specs = [Spec("bfs", 2), Spec("dfs", 2), Spec("astar", 3), Spec("astar", 2, emit_rule="on_extract"), Spec("astar", 2, tie="lifo")]
+    for lookup in (FullDocs(g), Combined(PartialDocs(g, 0.5), Endpoint(g), "each")):
+        tables = run_many(g, expr, "n0", specs, limits, lookup)
+        mine = client.search(g, expr, "n0", specs, limits, lookup)
+        of = lambda x, *c: [tuple(y) for y in x.select("run", *c).orderBy("run", c[0]).collect()]
+        columns = ("req", "round", "node", "q", "g", "f", "n_triples", "requests")
+        assert of(mine.trace(), *columns) == of(tables.trace(), *columns)
+        assert of(mine.answers(), "rank", "node", "q", "length", "req_at_emit") == of(tables.answers(), "rank", "node", "q", "length", "req_at_emit")
+        assert mine.stopped == tables.stopped and mine.rounds == tables.rounds
+        walks = paths.witness(mine)
+        assert paths.invalid_hops(g, walks).count() == 0
+    # Fetching by rounds instead of whole, and a document too large to bring.
+    for local, ahead in ((0, 1), (0, 40)):
+        old = client.LOCAL, client.AHEAD
+        client.LOCAL, client.AHEAD = local, ahead
+        try:
+            again = client.search(g, expr, "n0", specs, limits)
+        finally:
+            client.LOCAL, client.AHEAD = old
+        assert [lists(again, i) for i in range(5)] == [lists(client.search(g, expr, "n0", specs, limits), i) for i in range(5)]
+    with pytest.raises(ValueError, match="limits"):
+        client.search(g, expr, "n0", specs, Limits(None, None, None, None))
+    # The same node in two states: with a cache it is paid once.
+    plain, cached = (search_all([Job(FullDocs(g), "(a|^b)*/(a|b)", "n0", Spec("bfs", None), cache=c)], Limits(max_answers=None)) for c in (False, True))
+    total = lambda x: x.trace().agg(F.sum("requests")).first()[0]
+    assert total(cached) == cached.trace().select("node").distinct().count() < total(plain)
+    assert lists(plain) == lists(cached)
+
+
+def test_large_documents_end_a_run(spark, monkeypatch):
+    hub = spark.range(500).selectExpr("'A' AS s", "'c' AS p", "'x' || id AS o")
+    g = from_triples(hub.unionByName(spark.createDataFrame([("S", "c", "A"), ("S", "c", "B")], "s string, p string, o string")))
+    monkeypatch.setattr(client, "LOCAL", 0)
+    monkeypatch.setattr(client, "ROUND", 100)
+    got = client.search(g, "c*", "S", [Spec("bfs", 1)], Limits(max_triples=50))
+    assert got.stopped == {0: "triples"} and [r["node"] for r in got.trace().orderBy("req").collect()] == ["S", "A"]
+
+
 def test_costs(spark):
     g = graph(spark, [("s", "a", "m"), ("m", "a", "t"), ("s", "b", "t")])
     got = lists(run(g, "a/a|b", "s", costs={"b": 5.0}))[1]
