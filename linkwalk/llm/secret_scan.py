@@ -42,10 +42,10 @@ def blob_name(text: Column) -> Column:
 
 def scan_unseen(blobs: DataFrame, ledger: DataFrame | None = None, rule_version: str = RULE_VERSION) -> DataFrame:
     """``blobs(blob, text)``, repeats allowed → new ledger rows, one for each blob that ``ledger`` lacks at this version."""
-    if ledger is not None:
-        known = ledger.where(F.col("rule_version") == rule_version).select("blob").distinct()
-        blobs = blobs.join(known, "blob", "left_anti")
+    # Copies are combined before they move, then what is known goes.
     once = blobs.groupBy("blob").agg(F.first("text").alias("text"))
+    if ledger is not None:
+        once = once.join(ledger.where(F.col("rule_version") == rule_version).select("blob").distinct(), "blob", "left_anti")
     return once.select("blob", F.lit(rule_version).alias("rule_version"), secret_spans(F.col("text")).alias("spans"))
 
 

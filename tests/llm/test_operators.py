@@ -761,3 +761,68 @@ def test_vectors_odd_ids(spark):
     df = spark.createDataFrame(rows, "vec_id long, label int, embedding array<double>, kept int")
     got = Counter((r["vec_id"], r["n_links"], r["component_id"], r["kept"]) for r in vectors.near_vectors(df).collect())
     assert got == Counter({(4, 3, 4, True): 1, (4, 3, 4, False): 1, (None, 3, 4, False): 2, (2, 0, 2, True): 1, (3, 0, 3, True): 1})
+
+
+def applied(spark, odd, name):
+    """Each operator on a table, as its callers use it."""
+    ranks, multi = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    labels = spark.createDataFrame([(1, 1), (6, 0)], "doc_id long, toxic int")
+    return {
+        "toxicity": lambda d: toxicity.score(d, toxicity.fit(d, labels)),
+        "sharding": sharding.shard_documents,
+        "secrets": lambda d: secret_scan.scan_secrets(d, secret_scan.new_ledger(spark)),
+        "substring": substring.remove_repeats,
+        "fingerprints": fingerprints.edit_probe,
+        "bpe": lambda d: bpe.encode_documents(d, multi),
+        "packing": lambda d: packing.pack(packing.pieces(d, ranks, public_tokenizers.PATTERN)),
+        "neardup": neardup.near_duplicates,
+        "pii": pii.find_pii,
+        "vectors": lambda d: vectors.near_vectors(d.selectExpr("doc_id AS vec_id", "1 AS label", "array(1.0D, 2.0D) AS embedding")),
+    }[name](odd)
+
+
+OPERATORS = ["toxicity", "sharding", "secrets", "substring", "fingerprints", "bpe", "packing", "neardup", "pii", "vectors"]
+
+
+@pytest.mark.parametrize("name", OPERATORS)
+def test_empty_tables(spark, odd, name):
+    out = applied(spark, odd.limit(0), name)
+    assert out.collect() == [] and len(set(out.columns)) == len(out.columns)
+
+
+@pytest.mark.parametrize("name", ["toxicity", "secrets", "substring", "bpe", "neardup", "pii"])
+def test_clashing_names(spark, odd, name):
+    added = [c for c in applied(spark, odd.select("doc_id", "text").limit(0), name).columns if c not in ("doc_id", "text")]
+    rows = odd.select("doc_id", "text", *[F.lit("own").alias(c) for c in added], F.lit("too").alias(added[0] + "_in"))
+    out = applied(spark, rows, name)
+    assert len(set(out.columns)) == len(out.columns) and set(added) <= set(out.columns)
+    first = out.first()
+    assert [first[c + "_in"] for c in added[1:]] == ["own"] * (len(added) - 1) and first[added[0] + "_in"] == "too" and first[added[0] + "_in_in"] == "own"
+    assert out.count() == len(ODD)
+
+
+OUTSIDE = """
+import sys
+sys.path.insert(0, {root!r})
+from pyspark.sql import SparkSession
+spark = SparkSession.builder.master("local[2]").config("spark.ui.enabled", "false").config("spark.sql.shuffle.partitions", "2").config("spark.checkpoint.dir", {shared!r}).getOrCreate()
+import pyspark.sql.functions as F
+import __spark_entry__
+assert spark.range(1).mapInArrow(lambda bs: [b for b in bs if not __import__("importlib").util.find_spec("linkwalk")], "id long").count() == 1
+for name in ("op1_toxicity", "op4_substring", "op6_bpe", "op7_packing", "op8_neardup", "op10_vectors", "similar_reach"):
+    __spark_entry__.queries()[name](spark, {sf!r}).write.format("noop").mode("overwrite").save()
+    print("ran", name, flush=True)
+"""
+
+
+def test_executors_need_no_copy_of_the_repository(sf, tmp_path):
+    import os
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = str(Path(__file__).resolve().parents[2])
+    env = {k: v for k, v in os.environ.items() if k != "PYTHONPATH"}
+    code = OUTSIDE.format(root=root, shared=str(tmp_path / "shared"), sf=sf)
+    done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env=env, capture_output=True, text=True, timeout=300, check=False)
+    assert done.stdout.count("ran ") == 7, done.stderr[-3000:]

@@ -1,7 +1,7 @@
 """The pipeline: stages in order, each on what its predecessor kept, each decision in effect."""
 
 import re
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 from pyspark.sql import functions as F
 
@@ -48,3 +48,21 @@ def test_stages(spark, sf):
     for r in final:
         use[r["sequence_id"]] += r["length"]
     assert max(use.values()) <= 1024
+
+
+def test_odd_rows(spark, sf):
+    rows = [(1, "one two three", "en", "a", 13), (1, "one two three", None, None, None), (None, "call +1 555 123 4567 now", "en", "a", 24), (2, None, None, None, None), (3, "", "en", "a", 0), (4, "x " * 30000, "en", "a", 60000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    for table, kept in ((docs, 5), (docs.limit(0), 0)):
+        for name, stage in corpus_pipeline.STAGES[:-1]:
+            table = cut(stage(spark, table, sf))
+            assert table.columns == COLUMNS, name
+        assert table.count() == kept
+        out = corpus_pipeline.STAGES[-1][1](spark, table, sf).collect()
+        assert Counter(r["doc_id"] for r in out if r["piece"] == 0) == Counter(r["doc_id"] for r in table.collect())
+
+
+def test_later_stages_change_no_text_they_need_not(spark, sf):
+    docs = spark.createDataFrame([(1, "version 10.20.30.40 of it", "en", "a", 25), (2, "server 10.20.30.40 there", "en", "a", 24)], "doc_id long, text string, lang string, source string, n_chars long")
+    got = {r["doc_id"]: r["text"] for r in corpus_pipeline.mask_personal_data(spark, docs, sf).collect()}
+    assert got == {1: "version 10.20.30.40 of it", 2: "server <IP> there"}
