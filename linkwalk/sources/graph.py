@@ -79,18 +79,37 @@ def _web(t) -> dict[str, DataFrame]:
     return links_from_pages(t("pages"))
 
 
+#: Words of an anchor, and how many items too short for one may be compared with every text.
+ANCHOR, SHORT = 3, 10_000
+
+
+def quoted(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """``(doc_id, text, item_id, item)`` where the text holds the item. An item's words but its first and last stand between blanks
+    in any text that holds it, so ``ANCHOR`` of them in a row are looked up among the texts' word runs, and what meets is verified.
+    Items too short for an anchor are compared with every text; they are few, which is checked."""
+    words = items.where("item is not null").withColumn("w", F.split("item", " "))
+    long_ = words.where(F.size("w") >= ANCHOR + 2).select("item_id", "item", F.array_join(F.slice("w", 2, ANCHOR), " ").alias("anchor"))
+    short = words.where(F.size("w") < ANCHOR + 2).select("item_id", "item")
+    if short.limit(SHORT + 1).count() > SHORT:
+        raise ValueError(f"more than {SHORT} items of fewer than {ANCHOR + 2} words")
+    texts = docs.where("text is not null").select("doc_id", "text")
+    runs = texts.select("doc_id", F.split("text", " ").alias("w")).where(F.size("w") >= ANCHOR)
+    runs = runs.select("doc_id", F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - ANCHOR + 1), lambda i: F.array_join(F.slice("w", i, ANCHOR), " "))).alias("anchor"))
+    met = runs.join(long_, "anchor").select("doc_id", "item_id", "item").distinct()
+    found = met.join(texts, "doc_id").where(F.contains("text", "item")).select("doc_id", "text", "item_id", "item")
+    return found.unionByName(texts.join(F.broadcast(short), F.contains("text", "item")).select("doc_id", "text", "item_id", "item"))
+
+
 def _corpus(t) -> dict[str, DataFrame]:
     d, b, labels = t("documents"), t("benchmark"), t("labels")
     doc = named("doc", "doc_id")
     first = d.groupBy(F.sha2(F.col("text").cast("binary"), 256).alias("h")).agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
     copies = d.select("doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("h")).join(first, "h").where("doc_id <> first")
-    # The benchmark's size does not grow with the corpus.
-    quoted = d.select("doc_id", "text").join(F.broadcast(b.select("item_id", F.col("text").alias("item"))), F.contains("text", "item"))
     return {
         "in_lang": d.select(doc, F.concat(F.lit("lang:"), "lang")),
         "from_source": d.select(doc, F.concat(F.lit("source:"), "source")),
         "copy_of": copies.select(doc, named("doc", "first")),
-        "quotes": quoted.select(doc, named("item", "item_id")),
+        "quotes": lambda: quoted(d.select("doc_id", "text"), b.select("item_id", F.col("text").alias("item"))).select(doc, named("item", "item_id")),
         "rated": labels.select(doc, named("quality", "quality")),
     }
 
@@ -102,8 +121,8 @@ def _dialog(t) -> dict[str, DataFrame]:
 
 
 def nearest(vectors: DataFrame, m: int = 3) -> DataFrame:
-    """``(vec_id, other, rank)``: the m nearest by cosine, ties to the smaller id. The vectors are compared in blocks of rows
-    against the broadcast table, which the caller has checked to be small."""
+    """``(vec_id, other, rank)``: the m nearest by cosine, ties to the smaller id. All vectors are compared with the broadcast
+    table, which the caller has checked to be small; see :func:`nearest_in_blocks` for more."""
     v = vectors.select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("x"))
     v = v.withColumn("norm", F.sqrt(F.aggregate("x", F.lit(0.0), lambda a, b: a + b * b)))
     o = v.select(F.col("vec_id").alias("other"), F.col("x").alias("y"), F.col("norm").alias("norm_o"))
@@ -113,12 +132,51 @@ def nearest(vectors: DataFrame, m: int = 3) -> DataFrame:
     return scored.withColumn("rank", rank).where(F.col("rank") <= m).select("vec_id", "other", "rank")
 
 
-def _vectors(t, most: int = 20_000) -> dict[str, DataFrame]:
+def nearest_in_blocks(vectors: DataFrame, n: int, m: int = 3, block: int = 4096) -> DataFrame:
+    """The same for any number of vectors: blocks meet pairwise, each pair as one product of matrices in a task that holds two
+    blocks, and the m best of each pair are merged. Cosines are compared to 12 decimals, so that equal vectors tie."""
+    k = max(1, -(-n // block))
+    every = F.sequence(F.lit(0), F.lit(k - 1))
+    own = vectors.select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("x"), F.pmod(F.xxhash64("vec_id"), F.lit(k)).cast("int").alias("b"))
+    left = own.select(F.col("b").alias("i"), F.explode(every).alias("j"), "vec_id", "x")
+    right = own.select(F.explode(every).alias("i"), F.col("b").alias("j"), "vec_id", "x")
+
+    def compare(a, b):
+        import numpy as np
+        import pyarrow as pa
+
+        of = lambda t: np.array(t["x"].to_pylist(), float)
+        x, y, ids, others = of(a), of(b), a["vec_id"].to_numpy(), b["vec_id"].to_numpy()
+        out = {"vec_id": [], "other": [], "cos": []}
+        if len(ids) and len(others):
+            y = y / np.linalg.norm(y, axis=1, keepdims=True)
+            for lo in range(0, len(ids), 512):
+                c = np.round(x[lo : lo + 512] / np.linalg.norm(x[lo : lo + 512], axis=1, keepdims=True) @ y.T, 12)
+                c[ids[lo : lo + 512, None] == others[None, :]] = -np.inf
+                order = np.lexsort((np.broadcast_to(others, c.shape), -c), axis=1)[:, :m]
+                out["vec_id"] += np.repeat(ids[lo : lo + 512], order.shape[1]).tolist()
+                out["other"] += others[order].ravel().tolist()
+                out["cos"] += np.take_along_axis(c, order, 1).ravel().tolist()
+        return pa.table({"vec_id": pa.array(out["vec_id"], pa.int64()), "other": pa.array(out["other"], pa.int64()), "cos": pa.array(out["cos"], pa.float64())})
+
+    best = left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInArrow(compare, "vec_id long, other long, cos double").where("vec_id <> other")
+    rank = F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc("cos"), "other"))
+    return best.withColumn("rank", rank).where(F.col("rank") <= m).select("vec_id", "other", "rank")
+
+
+#: Vectors up to which all are broadcast.
+BROADCAST = 20_000
+
+
+def _vectors(t) -> dict:
     v = t("embeddings")
-    n = v.limit(most + 1).count()
-    if n > most:
-        raise ValueError(f"more than {most} vectors: build neighbour links with an index first")
-    return {"near": nearest(v).select(named("vec", "vec_id"), named("vec", "other")), "cluster": v.select(named("vec", "vec_id"), named("cluster", "label"))}
+
+    def near() -> DataFrame:
+        n = v.count()
+        found = nearest(v) if n <= BROADCAST else nearest_in_blocks(v, n)
+        return found.select(named("vec", "vec_id"), named("vec", "other"))
+
+    return {"near": near, "cluster": v.select(named("vec", "vec_id"), named("cluster", "label"))}
 
 
 SOURCES: dict[str, Callable] = {"supply": _supply, "sales": _sales, "geo": _geo, "catalog": _catalog, "clicks": _clicks, "web": _web, "corpus": _corpus, "dialog": _dialog, "vectors": _vectors}
@@ -138,9 +196,10 @@ LABELS = {
 
 @dataclass
 class TripleGraph:
-    """A set of triples ``(s, p, o, src)``, held apart by (source, label) so that unread labels cost nothing."""
+    """A set of triples ``(s, p, o, src)``, held apart by (source, label) so that unread labels cost nothing. A part may be a
+    function that builds its table when the label is read."""
 
-    parts: dict[tuple[str, str], DataFrame]
+    parts: dict[tuple[str, str], DataFrame | Callable[[], DataFrame]]
     spark: SparkSession
 
     @property
@@ -150,7 +209,8 @@ class TripleGraph:
 
     def select_labels(self, labels: Iterable[str] | None) -> DataFrame:
         wanted = None if labels is None else set(labels)
-        found = [df.toDF("s", "o").select("s", F.lit(p).alias("p"), "o", F.lit(src).alias("src")) for (src, p), df in self.parts.items() if p != "*" and (wanted is None or p in wanted)]
+        made = lambda df: df() if callable(df) else df
+        found = [made(df).toDF("s", "o").select("s", F.lit(p).alias("p"), "o", F.lit(src).alias("src")) for (src, p), df in self.parts.items() if p != "*" and (wanted is None or p in wanted)]
         found += [df.select("s", "p", "o", "src") if wanted is None else df.select("s", "p", "o", "src").where(F.col("p").isin(sorted(wanted))) for (_, p), df in self.parts.items() if p == "*"]
         if not found:
             return self.spark.createDataFrame([], TRIPLE)

@@ -16,7 +16,7 @@ from linkwalk.sources.graph import from_testdata, from_triples, read_layout, rea
 from linkwalk.streaming import live
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-FAST = ["reach_coorder", "reach_coorder_names", "customer_reach", "plus_closure", "negated_set", "page_hosts", "multi_star_optional", "algebra_union", "algebra_negated_small", "algebra_star_small", "connected_pair", "reach_from_many", "bfs_layer_requests", "shortest_walks", "partial_docs_recall", "triples_by_label", "degree_stats", "source_overlap", "pattern_optional", "constructed_triples", "tally_cube", "pattern_pages", "session_windows", "state_table", "bucket_lengths_n"]
+FAST = ["reach_coorder", "reach_coorder_names", "customer_reach", "plus_closure", "negated_set", "page_hosts", "multi_star_optional", "algebra_union", "algebra_negated_small", "algebra_star_small", "connected_pair", "reach_from_many", "bfs_layer_requests", "shortest_walks", "partial_docs_recall", "triples_by_label", "degree_stats", "source_overlap", "pattern_optional", "constructed_triples", "tally_cube", "pattern_pages", "session_windows", "state_table", "bucket_lengths_n", "trace_bfs", "optimality_gaps", "expansions_contained", "cheapest_walks", "several_publishers", "cached_documents", "tested_nodes", "helped_docs_share", "helped_docs_recall", "answers_as_they_come", "quote_langs"]
 
 
 @pytest.fixture(scope="module")
@@ -71,21 +71,103 @@ def test_scan_reads_only_what_the_automaton_wants(spark, sf):
     assert "Python" not in plan
 
 
-def test_adjacency_stays_where_it_is(spark, sf):
-    g = from_testdata(spark, sf, ["supply"])
-    a = compile_path("(^contains/contains)*")
-    adj = g.adjacency(a.labels).select("node", "p", "inv", "nbr").repartition(8, "node").persist()
-    adj.count()
-    front = adj.select("node").distinct().withColumn("q", F.lit(0))
+def moved(df):
+    """Exchanges of a plan by what they are keyed on, without those inside tables that are held."""
+    out, inside = [], None
+    for line in df._jdf.queryExecution().executedPlan().toString().split("\n"):
+        depth = len(line) - len(line.lstrip(" :+-*"))
+        if inside is not None and depth > inside:
+            continue
+        inside = depth if "InMemoryTableScan" in line else None
+        if "Exchange hashpartitioning(" in line or "Exchange rangepartitioning(" in line or "Exchange SinglePartition" in line:
+            out.append(re.sub(r"#\d+", "", line.split("partitioning(")[-1].split("),")[0]))
+    return out
+
+
+def test_a_round_moves_frontiers_only(spark, sf, monkeypatch):
+    rounds, held = [], product.keep
+    monkeypatch.setattr(product, "keep", lambda df: (rounds.append(moved(df)), held(df))[1])
+    monkeypatch.setattr(product, "NARROW", -1)
     spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
     try:
-        joined = product.succeed(front, a.delta(spark), adj)
-        plan = joined._jdf.queryExecution().executedPlan().toString()
+        got = product.explore(from_testdata(spark, sf, ["supply"]), "(^contains/contains)*", spark.createDataFrame([("part:0",)], "seed string"))
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
-        adj.unpersist()
-    head = plan.split("InMemoryTableScan")[0]
-    assert len(re.findall(r"Exchange hashpartitioning\(node", head)) == 0
+    assert got.answers().count() == 200
+    # The first two tables are the hubs and the seeds. A round moves the frontier to the adjacency and its successors to what is
+    # seen: neither the adjacency nor the layers before take part.
+    assert len(rounds) >= 6 and all(len(r) == 2 and r[0].startswith("seed, node, q") and r[1].startswith("node, p, inv") for r in rounds[2:]), rounds
+
+
+def test_no_task_numbers_all_successors(spark, sf):
+    from linkwalk.operators import search as engine
+
+    w = WORKLOADS["reach_coorder"]
+    for spec in (Spec("bfs", None), Spec("astar", None, batch="bucket")):
+        r = engine._Rounds(w.graph(spark, sf), w.expr, w.start, [spec], Limits(None, None, None, None), None, None)
+        plans, held = [], engine.keep
+        engine.keep = lambda df: (plans.append(df._jdf.queryExecution().executedPlan().toString()), held(df))[1]
+        try:
+            for i, _ in enumerate(r.loop()):
+                if i == 2:
+                    break
+        finally:
+            engine.keep = held
+        assert len(plans) >= 2 and not any("Window" in p or "SinglePartition" in p for p in plans)
+
+
+def test_hubs_are_found_and_cut(spark):
+    star = spark.range(300).selectExpr("'hub' AS s", "'a' AS p", "'x' || id AS o").unionByName(spark.createDataFrame([("x7", "b", "end")], "s string, p string, o string"))
+    seeds = spark.createDataFrame([("hub",)], "seed string")
+    plain, cut = (Counter(tuple(r) for r in product.explore(from_triples(star), "a/b?", seeds, hub=h).answers().collect()) for h in (1000, 100))
+    assert plain == cut and len(cut) == 301
+
+
+def test_budgeted_searches_against_the_simulator(spark, sf):
+    """Lookups and answers of the experiments, on the given tables: every strategy, one by one and in batches."""
+    from simulate import simulate
+
+    from linkwalk.operators.client import search
+
+    for key in ("reach_coorder_names", "collab_multi_source"):
+        w = WORKLOADS[key]
+        g = w.graph(spark, sf)
+        triples = [tuple(r) for r in g.triples.select("s", "p", "o").collect()]
+        specs = [Spec(s, k) for s in ("bfs", "dfs", "astar") for k in (1, 10)]
+        got = search(g, w.expr, w.start, specs, Limits(None, None, None, 150))
+        trace, answers = got.trace().orderBy("run", "req").collect(), got.answers().orderBy("run", "rank").collect()
+        for i, s in enumerate(specs):
+            want = simulate(triples, w.expr, w.start, s.strategy, s.k, most=150)
+            assert [r["node"] for r in trace if r["run"] == i] == want[0]
+            assert [(r["node"], int(r["length"]), r["req_at_emit"]) for r in answers if r["run"] == i] == want[1]
+
+
+def test_the_published_comparison(spark, sf):
+    rows = {(r["axis"], r["k"]): r for r in QUERIES["dominance_tally"](spark, sf).collect()}
+    assert set(rows) == {(a, k) for a in ("requests", "seconds") for k in (1, 10, 20, 40)}
+    assert all(rows[a, 1]["astar"] > max(rows[a, 1]["bfs"], rows[a, 1]["dfs"]) for a in ("requests", "seconds"))
+    lengths = {(r["workload"], r["strategy"], r["rank"]): r["length"] for r in QUERIES["lengths_at_ranks"](spark, sf).collect()}
+    assert all(lengths[w, "dfs", n] >= lengths[w, "astar", n] for w, s, n in lengths if s == "dfs" and (w, "astar", n) in lengths)
+    faster = {(r["strategy"], r["k"]): r["speed_up"] for r in QUERIES["speed_up_by_k"](spark, sf).collect()}
+    assert all(faster[s, 1] == 1 and faster[s, 20] > 3 for s in ("astar", "bfs", "dfs"))
+
+
+def test_quotes_against_every_pair(spark):
+    from linkwalk.sources.graph import quoted
+
+    items = ["one two three four five six", "ab", "x y", "two three four five", " lead and trail ", "tab\tone two three four"]
+    texts = ["zone two three four five sixty", "one two three four five six", "cab", "x  y", "x y z", None, "", "a lead and trail b", "tab\tone two three fourth", "one two three"]
+    docs, bench = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), spark.createDataFrame(list(enumerate(items)), "item_id long, item string")
+    got = Counter((r["doc_id"], r["item_id"]) for r in quoted(docs, bench).collect())
+    assert got == Counter((i, j) for i, t in enumerate(texts) for j, x in enumerate(items) if t is not None and x in t)
+
+
+def test_nearest_in_blocks_equals_the_broadcast_form(spark, sf):
+    from linkwalk.sources.graph import nearest, nearest_in_blocks
+
+    v = spark.read.parquet(f"{sf}/embeddings.parquet").where("embedding is not null")
+    of = lambda df: sorted(tuple(r) for r in df.collect())
+    assert of(nearest_in_blocks(v, 500, block=100)) == of(nearest(v))
 
 
 def test_layout_prunes_partitions(spark, sf, tmp_path):
