@@ -27,18 +27,20 @@ HUB, PARTS = 1_000_000, 12
 
 
 def keys_of(a: Automaton) -> list[str]:
-    """What an edge is looked up by. A transition that reads any label but some can only be looked up by node."""
-    return ["node"] if a.labels is None else ["node", "p", "inv"]
+    """What an edge is looked up by. A transition that reads any label but some can only be looked up by node; where all read one
+    label, it tells no edges apart (and as a constant would hide the partitioning from the planner)."""
+    return ["node"] if a.labels is None else ["node", "inv"] if len(a.labels) == 1 else ["node", "p", "inv"]
 
 
 def succeed(front: DataFrame, a: Automaton, delta: DataFrame, adj: DataFrame, small: bool = False) -> DataFrame:
     """Product steps out of ``front``: its columns plus transition and edge columns. Transitions of ``a`` are unfolded first, so
-    a node meets only its edges with the label and direction that one of them reads. A small frontier is sent to the adjacency
+    a node meets only its edges with the label and direction that one of them reads; ``adj`` holds labels of ``a`` alone. A small frontier is sent to the adjacency
     instead of both being shuffled; the caller vouches for its size."""
     wanted = front.join(F.broadcast(delta), "q")
     if a.labels is not None:
+        keys = keys_of(a) + ["salt"] * ("salt" in adj.columns)
         wanted = wanted.drop("negated", "excluded").withColumnsRenamed({"label": "p", "t_inv": "inv"})
-        keys = ["node", "p", "inv"] + ["salt"] * ("salt" in adj.columns)
+        wanted = wanted if "p" in keys else wanted.drop("p")
         return (F.broadcast(wanted) if small else wanted).join(adj, keys).drop("salt")
     read = (F.col("t_inv") == F.col("inv")) & F.when(F.col("negated"), ~F.array_contains("excluded", F.col("p"))).otherwise(F.col("label") == F.col("p"))
     keys = ["node", "salt"] if "salt" in adj.columns else ["node"]
@@ -111,7 +113,13 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
     layer = keep(first.select("seed", F.col("seed").alias("node"), F.lit(0).alias("q"), F.lit(0).alias("length")))
     parts, depth, size, narrow = [layer], 0, layer.count(), 0
     product = ["seed", "node", "q"]
-    settled = lambda df: df.select(*product).repartition(n, *product).persist(StorageLevel.MEMORY_AND_DISK)
+
+    def settled(df: DataFrame) -> DataFrame:
+        """A part of what is seen, dealt out by its key and held; how it is dealt out is known to the planner once it is made."""
+        out = df.select(*product).repartition(n, *product).persist(StorageLevel.MEMORY_AND_DISK)
+        out.count()
+        return out
+
     seen = [settled(layer)]
     while size:
         if depth >= most_layers:
@@ -139,6 +147,9 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
         last = Observation()
         fresh = keep(every.observe(last, F.count(F.when(F.col("length") == depth, 1)).alias("n")))
         parts.append(fresh)
+        layer, size = fresh.where(F.col("length") == depth), last.get["n"]
+        if not size:
+            break
         seen.append(settled(fresh))
         if len(seen) > PARTS:
             whole = seen[0]
@@ -148,8 +159,6 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
             for x in seen:
                 x.unpersist()
             seen = [merged]
-        layer = fresh.where(F.col("length") == depth)
-        size = last.get["n"]
     for x in [adj, *seen]:
         x.unpersist()
     out = parts[0]
