@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import re
 import tempfile
 import uuid
@@ -58,6 +59,13 @@ def discard(df: DataFrame) -> None:
         target.getFileSystem(conf).delete(target, True)
 
 
+def release(spark: SparkSession) -> None:
+    """Has the driver collect its garbage, upon which Spark removes shuffle files that only finished plans used. Between large
+    steps this bounds the disk that executors hold; otherwise the files stay until the driver happens to collect."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def with_uid(df: DataFrame, id_col: str, *ties: str, name: str = "uid") -> DataFrame:
     """Adds a unique non-null long that sorts as ``id_col`` does.
 

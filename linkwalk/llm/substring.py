@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .storage import cut, discard, names_out, with_uid
+from .storage import cut, names_out, release, with_uid
 from .words import Hasher, chunks, find_words, kept_by_worker, mix, texts
 
 GRAM = 5
@@ -131,9 +131,11 @@ def matches(docs: DataFrame, text_col: str = "text", span: int = 20) -> DataFram
     w = Window.partitionBy("key")
     sent = _earliest(found, "key", "content").withColumn("mixed", F.min("content").over(w) != F.max("content").over(w))
     sent = cut(sent.withColumn("later", (F.col("uid") != F.col("ref_uid")) | (F.col("start") != F.col("ref_start"))).where("mixed or later").drop("send", "content"))
+    release(docs.sparkSession)
     out = ["uid", "start", "n", "ref_uid", "ref_start"]
     partly = sent.where("mixed and not later").groupBy("uid").agg(F.collect_list(F.struct("key", "start", "n")).alias("blocks"))
     single = cut(source.join(partly, "uid").select("uid", "text", "blocks").mapInArrow(_windows(span), BLOCK))
+    release(docs.sparkSession)
     late = _earliest(single, "key", "content").where("uid <> ref_uid or start <> ref_start")
     return found.where("not send").select(out).unionByName(sent.where("later").select(out)).unionByName(single.where("not send").select(out)).unionByName(late.select(out))
 
