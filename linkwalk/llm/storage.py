@@ -61,7 +61,9 @@ def discard(df: DataFrame) -> None:
 
 def release(spark: SparkSession) -> None:
     """Has the driver collect its garbage, upon which Spark removes shuffle files that only finished plans used. Between large
-    steps this bounds the disk that executors hold; otherwise the files stay until the driver happens to collect."""
+    steps this bounds the disk that executors hold; otherwise the files stay until the driver happens to collect. Spark holds on
+    to the plan that ran last, so an empty one runs first."""
+    spark.range(0).count()
     gc.collect()
     spark._jvm.System.gc()
 
