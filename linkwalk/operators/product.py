@@ -23,7 +23,8 @@ from ..sources.graph import TripleGraph
 #: A layer up to this size counts as narrow; then up to this many layers share a job.
 NARROW, STRIDE = 2000, 6
 #: From this many triples of one node, label and direction on, they are cut into shards. Seen parts are merged beyond ``PARTS``.
-HUB, PARTS = 1_000_000, 12
+#: A layer of fewer than ``MADE`` rows is dealt out when the next round needs it.
+HUB, PARTS, MADE = 1_000_000, 12, 100_000
 
 
 def keys_of(a: Automaton) -> list[str]:
@@ -117,7 +118,8 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
     def settled(df: DataFrame) -> DataFrame:
         """A part of what is seen, dealt out by its key and held; how it is dealt out is known to the planner once it is made."""
         out = df.select(*product).repartition(n, *product).persist(StorageLevel.MEMORY_AND_DISK)
-        out.count()
+        if size >= MADE:
+            out.count()
         return out
 
     seen = [settled(layer)]

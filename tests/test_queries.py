@@ -89,6 +89,7 @@ def test_a_round_moves_frontiers_only(spark, sf, monkeypatch, expr, answers, key
     rounds, held = [], product.keep
     monkeypatch.setattr(product, "keep", lambda df: (rounds.append(moved(df)), held(df))[1])
     monkeypatch.setattr(product, "NARROW", -1)
+    monkeypatch.setattr(product, "MADE", 0)
     spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
     try:
         got = product.explore(from_testdata(spark, sf, ["supply"]), expr, spark.createDataFrame([("part:0",)], "seed string"))
