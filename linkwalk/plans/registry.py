@@ -1,7 +1,8 @@
 """Registered queries and their SQL twins.
 
-Every query takes (spark, sf_dir). Exact results have a twin in :data:`ORACLE_SQL`; ordered traces and what is drawn from them
-depend on the order of search and have none: tests hold them against a simulator.
+Every query takes (spark, sf_dir). Exact results have a twin in :data:`ORACLE_SQL`, as have the order of lookups and of answers
+over whole documents. Searches that limits of triples or seconds stop, and what is drawn from them, have none: tests hold them
+against a simulator.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from ..sources.graph import TripleGraph, construct, from_testdata
 from . import pathsql
 from .automaton import compile_path
 from .grid import combined, dominance_rows, grid_run
-from .twins import delta_sql, pairs_sql, reach_sql, triples_sql, walk_ctes
+from .twins import delta_sql, emission_sql, order_sql, pairs_sql, reach_sql, triples_sql, walk_ctes
 from .workloads import GRID, WORKLOADS
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -210,6 +211,41 @@ def trace_bfs_batches(spark, sf_dir):
     return result.trace().select("req", "node", "q", "g")
 
 
+def _order(name: str, spec: Spec, w=_W1L, most: int = 300, tables: bool = False):
+    """The first lookups in order, and the answers that they bring: searched by the client or as tables, and in SQL from a state
+    of rows."""
+
+    def searched(spark, sf_dir):
+        limits = Limits(None, None, None, most)
+        return run_many(w.graph(spark, sf_dir), w.expr, w.start, [spec], limits) if tables else search(w.graph(spark, sf_dir), w.expr, w.start, [spec], limits)
+
+    def order(spark, sf_dir):
+        return searched(spark, sf_dir).trace().select("req", "node", "q", "g")
+
+    def emission(spark, sf_dir):
+        return searched(spark, sf_dir).answers().select("rank", "node", F.col("length").cast("double").alias("length"), "req_at_emit")
+
+    how = (w.expr, w.sources, w.start, spec.strategy, spec.k, spec.heuristic, spec.tie)
+    query(f"order_{name}", order_sql(*how, most))(order)
+    query(f"emission_{name}", emission_sql(*how, spec.emit_rule, most))(emission)
+
+
+_order("bfs", Spec("bfs"))
+_order("dfs", Spec("dfs"))
+_order("dfs_batches", Spec("dfs", 10))
+_order("dfs_tables", Spec("dfs", 20), most=100, tables=True)
+_order("astar", Spec("astar"))
+_order("astar_plain", Spec("astar", heuristic="state"))
+_order("astar_zero", Spec("astar", heuristic="zero"))
+_order("astar_fifo_ties", Spec("astar", tie="fifo"))
+_order("astar_lifo_ties", Spec("astar", tie="lifo"))
+_order("astar_on_extract", Spec("astar", emit_rule="on_extract"))
+_order("astar_batches", Spec("astar", 20))
+_order("astar_tables", Spec("astar", 20), most=100, tables=True)
+_order("dfs_multi_source", Spec("dfs"), WORKLOADS["collab_multi_source"])
+_order("astar_multi_source", Spec("astar"), WORKLOADS["collab_multi_source"])
+
+
 def _trace(name: str, spec: Spec, w=_W1L):
     query(name)(lambda spark, sf_dir: search(w.graph(spark, sf_dir), w.expr, w.start, [spec], lookup=combined(w.graph(spark, sf_dir))).trace().drop("run"))
 

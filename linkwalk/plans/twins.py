@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterable
 
-from .automaton import Automaton, compile_path
+from .automaton import INF, Automaton, compile_path, heuristic
 
 #: The triples of each (source, label), as SQL over the given tables.
 TRIPLES: dict[tuple[str, str], str] = {
@@ -78,3 +78,61 @@ def pairs_sql(expr: str, sources: Iterable[str], start_sql: str, cap: int) -> st
     """``(seed, node, length)`` for the starts that a query gives."""
     finals = ", ".join(map(str, sorted(compile_path(expr).finals)))
     return f"WITH RECURSIVE {walk_ctes(expr, sources, start_sql, cap)}\nSELECT seed, node, min(d)::INTEGER AS length FROM walk WHERE q IN ({finals}) GROUP BY seed, node"
+
+
+def _state_ctes(expr: str, sources: Iterable[str], start: str, strategy: str, k: int, guide: str, tie: str, most: int) -> str:
+    """Common table expressions of a search over whole documents, down to ``st``: the state after every round, as rows. A step
+    picks the next ``k`` open rows and merges what they lead to, until ``most`` lookups are ``done``. A row of ``hop`` without
+    neighbour stands for the picked node itself."""
+    a = compile_path(expr)
+    h = heuristic(a, guide) if strategy == "astar" else dict.fromkeys(range(a.size), 0.0)
+    dead = heuristic(a, "pathmax")
+    guides = ", ".join(f"({q}, {float(h[q])}::DOUBLE)" for q in range(a.size) if h[q] < INF and dead[q] < INF)
+    best = strategy == "astar"
+    order = f"g + h, {'h, ' if tie == 'low_h' else ''}seq {'DESC' if tie == 'lifo' else 'ASC'}" if best else f"seq {'DESC' if strategy == 'dfs' else 'ASC'}"
+    ctes = walk_ctes(expr, sources, f"SELECT '{start}' AS seed", 0).rsplit("walk(seed", 1)[0]
+    route = f"{{'g': {'g + 1' if best else '0'}, 't': {'-' if strategy == 'dfs' else ''}place, 'v': via, 'n': s.node, 'q': s.q, 'l': g + 1}}"
+    better = "r IS NOT NULL AND (old_seq IS NULL" + (" OR r.l < old_g)" if best else ")")
+    return f"""{ctes}
+guide(q, h) AS (VALUES {guides}),
+hop AS MATERIALIZED (
+  SELECT node, q, nbr, q2, min({{'a': t_rank, 'b': p, 'c': inv}}) AS via FROM edge GROUP BY node, q, nbr, q2
+  UNION ALL SELECT DISTINCT node, q, NULL, NULL, NULL FROM edge),
+st(round, done, node, q, g, seq, open, pos, paid) AS (
+  SELECT 0, 0::BIGINT, '{start}', 0, 0::DOUBLE, {{'r': 0, 't': 0::BIGINT, 'v': {{'a': 0, 'b': '', 'c': false}}, 'n': '', 'q': 0}}, true, NULL::BIGINT, NULL::DOUBLE
+  UNION ALL
+  SELECT round + 1, done + picked, node, q, CASE WHEN {better} THEN r.l ELSE old_g END,
+    coalesce(old_seq, {{'r': round + 1, 't': r.t, 'v': r.v, 'n': node, 'q': q}}),
+    CASE WHEN {better} THEN q IN (SELECT q FROM guide) AND NOT starts_with(node, '"') ELSE old_open AND pos IS NULL END,
+    pos, CASE WHEN pos IS NOT NULL THEN old_g END
+  FROM (
+    SELECT round, done, picked, coalesce(nbr, s.node) AS node, coalesce(q2, s.q) AS q, max(g) FILTER (nbr IS NULL) AS old_g, max(seq) FILTER (nbr IS NULL) AS old_seq,
+      bool_or(open) FILTER (nbr IS NULL) AS old_open, max(place) FILTER (nbr IS NULL AND place <= room) AS pos, min({route}) FILTER (nbr IS NOT NULL) AS r
+    FROM (
+      SELECT *, count(*) FILTER (place <= room) OVER () AS picked
+      FROM (SELECT st.*, least({k}, {most} - done) AS room, CASE WHEN open THEN row_number() OVER (PARTITION BY open ORDER BY {order}) END AS place FROM st LEFT JOIN guide USING (q) WHERE round < {most} AND done < {most})) AS s
+      LEFT JOIN hop ON hop.node = s.node AND hop.q = s.q AND place <= room
+    GROUP BY ALL))"""
+
+
+def order_sql(expr: str, sources: Iterable[str], start: str, strategy: str, k: int = 1, guide: str = "pathmax", tie: str = "low_h", most: int = 300) -> str:
+    """``(req, node, q, g)``: the first ``most`` lookups in order."""
+    return f"""WITH RECURSIVE {_state_ctes(expr, sources, start, strategy, k, guide, tie, most)}
+SELECT row_number() OVER (ORDER BY round, pos)::INTEGER AS req, node, q::INTEGER AS q, paid AS g FROM st WHERE pos IS NOT NULL"""
+
+
+def emission_sql(expr: str, sources: Iterable[str], start: str, strategy: str, k: int = 1, guide: str = "pathmax", tie: str = "low_h", emit_rule: str = "early", most: int = 300) -> str:
+    """``(rank, node, length, req_at_emit)``: the answers of the first ``most`` lookups. Blind search emits a goal after the batch
+    that generated it; best-first search after the first one that leaves no open row of smaller f (or, on extraction, of none up to
+    its length, unless it was looked up itself)."""
+    a = compile_path(expr)
+    finals = ", ".join(map(str, sorted(a.finals)))
+    free = {"early": "st.g <= coalesce(least, 1e300)", "on_extract": "(st.g < coalesce(least, 1e300) OR looked <= st.round)"}[emit_rule] if strategy == "astar" else "true"
+    major = "g" if strategy == "astar" else "abs(seq.t)"
+    return f"""WITH RECURSIVE {_state_ctes(expr, sources, start, strategy, k, guide, tie, most)},
+bound AS (SELECT round, min(g + h) FILTER (open) AS least FROM st LEFT JOIN guide USING (q) GROUP BY round),
+once AS (SELECT node, q, min(round) FILTER (pos IS NOT NULL) AS looked FROM st GROUP BY node, q),
+goal AS (SELECT st.node, st.q, min({{'r': st.round, 'd': st.done, 'g': st.g, 's': st.seq}}) AS e FROM st JOIN bound USING (round) JOIN once USING (node, q) WHERE st.q IN ({finals}) AND {free} GROUP BY st.node, st.q),
+named AS (SELECT node, e.r AS r, e.d AS d, e.g AS g, e.s AS seq FROM goal),
+first AS (SELECT node, r, d, g, seq, {major} AS major FROM named QUALIFY row_number() OVER (PARTITION BY node ORDER BY r, major, seq) = 1)
+SELECT row_number() OVER (ORDER BY r, major, seq)::INTEGER AS rank, node, g::DOUBLE AS length, d::BIGINT AS req_at_emit FROM first"""

@@ -16,7 +16,7 @@ from linkwalk.sources.graph import from_testdata, from_triples, read_layout, rea
 from linkwalk.streaming import live
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-FAST = ["reach_coorder", "reach_coorder_names", "customer_reach", "plus_closure", "negated_set", "page_hosts", "multi_star_optional", "algebra_union", "algebra_negated_small", "algebra_star_small", "connected_pair", "reach_from_many", "bfs_layer_requests", "shortest_walks", "partial_docs_recall", "triples_by_label", "degree_stats", "source_overlap", "pattern_optional", "constructed_triples", "tally_cube", "pattern_pages", "session_windows", "state_table", "bucket_lengths_n", "trace_bfs", "optimality_gaps", "expansions_contained", "cheapest_walks", "several_publishers", "cached_documents", "tested_nodes", "helped_docs_share", "helped_docs_recall", "answers_as_they_come", "quote_langs"]
+FAST = ["reach_coorder", "reach_coorder_names", "customer_reach", "plus_closure", "negated_set", "page_hosts", "multi_star_optional", "algebra_union", "algebra_negated_small", "algebra_star_small", "connected_pair", "reach_from_many", "bfs_layer_requests", "shortest_walks", "partial_docs_recall", "triples_by_label", "degree_stats", "source_overlap", "pattern_optional", "constructed_triples", "tally_cube", "pattern_pages", "session_windows", "state_table", "bucket_lengths_n", "trace_bfs", "optimality_gaps", "expansions_contained", "cheapest_walks", "several_publishers", "cached_documents", "tested_nodes", "helped_docs_share", "helped_docs_recall", "answers_as_they_come", "quote_langs", "order_dfs", "order_dfs_batches", "order_astar", "order_astar_plain", "order_astar_lifo_ties", "order_astar_multi_source", "emission_bfs", "emission_dfs_batches", "emission_astar_fifo_ties", "emission_astar_on_extract", "emission_astar_batches", "emission_dfs_multi_source"]
 
 
 @pytest.fixture(scope="module")
