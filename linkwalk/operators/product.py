@@ -14,7 +14,7 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.tables import keep
+from ..functions.tables import drop, keep
 from ..functions.terms import is_literal
 from ..plans.automaton import Automaton, accepts_empty, compile_path
 from ..plans.expr import PathExpr
@@ -101,6 +101,7 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     keys = keys_of(a)
     adj = graph.adjacency(a.labels).select("node", "p", "inv", "nbr").repartition(n, *keys).persist(StorageLevel.MEMORY_AND_DISK)
+    found = merged = None
     if hubs is None:
         found = keep(adj.groupBy("node", "p", "inv").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= hub).select("node").distinct())
         hubs = None if found.isEmpty() else found
@@ -157,12 +158,16 @@ def explore(graph: TripleGraph, expr: str | PathExpr, seeds: DataFrame, zero_len
             whole = seen[0]
             for x in seen[1:]:
                 whole = whole.unionByName(x)
-            merged = settled(keep(whole))
+            older, merged = merged, keep(whole)
             for x in seen:
                 x.unpersist()
-            seen = [merged]
+            drop(older)
+            seen = [settled(merged)]
     for x in [adj, *seen]:
         x.unpersist()
+    # Layers make up the result; what only the rounds read goes.
+    for x in (found, merged):
+        drop(x)
     out = parts[0]
     for x in parts[1:]:
         out = out.unionByName(x)
@@ -222,11 +227,16 @@ def connected(graph: TripleGraph, expr: str | PathExpr, start: str, end: str, tw
     while all(sizes) and not met:
         k = 0 if sizes[0] <= sizes[1] else 1
         succ = succeed(fronts[k], a, (ahead, back)[k], adj).select(F.col("nbr").alias("node"), F.col("q2").alias("q")).distinct()
+        old = (fronts[k], seen[k])
         fronts[k] = keep(succ.join(seen[k], ["node", "q"], "left_anti"))
         seen[k] = keep(seen[k].unionByName(fronts[k]))
+        for x in old:
+            drop(x)
         sizes[k] = fronts[k].count()
         met = not fronts[k].join(seen[1 - k], ["node", "q"], "left_semi").isEmpty()
     adj.unpersist()
+    for x in (*fronts, *seen):
+        drop(x)
     return met
 
 
@@ -239,8 +249,9 @@ def closure(edges: DataFrame, rounds: int = 40) -> DataFrame:
         left = now.select("s", F.col("o").alias("m"), F.col("length").alias("a"))
         right = now.select(F.col("s").alias("m"), "o", F.col("length").alias("b"))
         longer = left.join(right, "m").select("s", "o", (F.col("a") + F.col("b")).alias("length"))
-        now = keep(now.unionByName(longer).groupBy("s", "o").agg(F.min("length").alias("length")))
-        after = now.count()
+        grown = keep(now.unionByName(longer).groupBy("s", "o").agg(F.min("length").alias("length")))
+        drop(now)
+        now, after = grown, grown.count()
         if after == size:
             return now
         size = after

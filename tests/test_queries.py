@@ -1,5 +1,6 @@
 """Registered queries against their SQL twins, and the plans of the parts that must scale."""
 
+import os
 import re
 from collections import Counter
 
@@ -7,6 +8,7 @@ import duckdb
 import pytest
 from pyspark.sql import functions as F
 
+from linkwalk.functions.tables import shared_dir
 from linkwalk.operators import product
 from linkwalk.operators.search import Limits, Spec, run_many
 from linkwalk.plans.automaton import compile_path
@@ -227,3 +229,18 @@ def test_codes_round_trip(spark, sf):
     assert d.count() == d.select("code").distinct().count() == adj.select("node").distinct().count()
     back = encode(adj, d).join(d.withColumnRenamed("node", "name"), F.col("node") == F.col("code"))
     assert back.count() == adj.count()
+
+
+def test_only_results_stay_on_disk(spark, monkeypatch):
+    """Tables that only the rounds read are deleted; a reach keeps its layers, a closure its last table."""
+    chain = from_triples(spark.createDataFrame([(f"n{i}", "next", f"n{i + 1}") for i in range(9)], "s string, p string, o string"))
+    tables = lambda: {x for x in os.listdir(shared_dir(spark).removeprefix("file:")) if x.startswith("walk-")}
+    before = tables()
+    assert product.connected(chain, "next*", "n3", "n5") and not product.connected(chain, "next*", "n8", "n6")
+    assert tables() == before
+    made = product.closure(spark.createDataFrame([(f"n{i}", f"n{i + 1}") for i in range(5)], "s string, o string"))
+    assert made.count() == 15 and len(tables() - before) == 1
+    before = tables()
+    monkeypatch.setattr(product, "PARTS", 3)  # so that what is seen is merged
+    reached = product.explore(chain, "next*", spark.createDataFrame([("n0",)], "seed string"))
+    assert len(tables() - before) == len({f.rsplit("/", 2)[-2] for f in reached.table.inputFiles()}) and reached.answers().count() == 10
